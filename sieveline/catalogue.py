@@ -1,0 +1,11 @@
+"""Registered queries of the semantic operators and their SQL twins."""
+
+FLAGSHIP = "chunked_contacts"
+
+
+def queries() -> dict:
+    return {}
+
+
+def oracle_sql() -> dict:
+    return {}
