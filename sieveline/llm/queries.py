@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, langid, mixing, pii, quality, warc
+from . import bpe, html, langid, mixing, pii, quality, warc
 from .common import table
 
 VOCABULARY = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
@@ -31,6 +31,11 @@ def op5_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixed.select("doc_id", "size", "source_size", "target", "taken", F.size("positions").alias("copies"), first.alias("position")).orderBy("position", "doc_id")
 
 
+def op6_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    pages = html.extract(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
+    return pages.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
+
+
 def op8_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digests(pii.find(table(spark, sf_dir, "documents").select("doc_id", "text")))
 
@@ -48,6 +53,6 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     f.__name__: f
-    for f in (op2_quality_rules, op3_language_id, op5_mix_sources, op8_personal_data, op9_warc, op10_byte_bpe)
+    for f in (op2_quality_rules, op3_language_id, op5_mix_sources, op6_html_text, op8_personal_data, op9_warc, op10_byte_bpe)
 }
 ORACLES: dict[str, str] = {}
