@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, html, langid, mixing, pii, quality, warc
+from . import bpe, html, jaccard, langid, mixing, pii, quality, warc
 from .common import table
 
 VOCABULARY = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
@@ -25,6 +25,10 @@ def op3_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return langid.identify(docs.select("doc_id", held.alias("held_out"), "text"), model).select("doc_id", "held_out", "lang_pred", "score")
 
 
+def op4_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.near_duplicates(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op5_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixed = mixing.mix(table(spark, sf_dir, "documents").select("doc_id", "text", "source"))
     first = F.get("positions", F.lit(0))["position"]
@@ -53,6 +57,6 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     f.__name__: f
-    for f in (op2_quality_rules, op3_language_id, op5_mix_sources, op6_html_text, op8_personal_data, op9_warc, op10_byte_bpe)
+    for f in (op2_quality_rules, op3_language_id, op4_ngram_jaccard, op5_mix_sources, op6_html_text, op8_personal_data, op9_warc, op10_byte_bpe)
 }
 ORACLES: dict[str, str] = {}
