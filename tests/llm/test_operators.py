@@ -1,0 +1,326 @@
+"""The ten operators and the pipeline against brute force, round trips and edge cases."""
+
+import hashlib
+import random
+import re
+import zlib
+from collections import Counter
+
+import pytest
+from pyspark.sql import functions as F
+
+from sieveline.llm import bpe, html, jaccard, langid, mixing, pii, quality, suffixes, warc
+from sieveline.llm.queries import ORACLES, PATTERN, QUERIES, VOCABULARY
+
+EDGE = [(1, None, None), (2, "", "b"), (3, " \n\t ", "a"), (4, "one", None), (4, "one", None), (None, "q w e", "z"), (5, "é" * 5000 + " x", "a")]
+
+
+@pytest.fixture(scope="module")
+def docs(spark, sf):
+    """Documents of the smallest tables and edge cases, with columns of clashing names."""
+    extra = spark.createDataFrame(EDGE, "doc_id long, text string, source string")
+    d = spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text", "source").unionByName(extra)
+    return d.withColumn("size", F.lit(1)).withColumn("key", F.lit(2)).withColumn("ids", F.lit("x")).cache()
+
+
+@pytest.fixture(scope="module")
+def empty(docs):
+    return docs.limit(0)
+
+
+def rows_of(docs):
+    return [(r.doc_id, r.text) for r in docs.select("doc_id", "text").collect()]
+
+
+@pytest.mark.parametrize("keep_first", [False, True])
+@pytest.mark.parametrize("crowded", [2000, 1])
+def test_suffix_dedup(spark, sf, keep_first, crowded, monkeypatch):
+    monkeypatch.setattr(suffixes, "CROWDED", crowded)
+    rng = random.Random(3)
+    base = "".join(rng.choice("abcdé ") for _ in range(3000))
+
+    def mutant():
+        a = rng.randrange(2500)
+        return "".join(rng.choice("xyz") for _ in range(rng.randrange(200))) + base[a : a + rng.randrange(600)] + "".join(rng.choice("uvw") for _ in range(rng.randrange(200)))
+
+    made = [(10**6 + i, mutant()) for i in range(60)] + [(2 * 10**6, "a" * 1000), (2 * 10**6 + 1, "ab" * 700), (2 * 10**6 + 2, None), (2 * 10**6 + 3, "q" * 200)]
+    d = spark.createDataFrame(made, "doc_id long, text string").unionByName(spark.read.parquet(f"{sf}/documents.parquet").select("doc_id", "text").filter("doc_id < 60"))
+    rows = sorted((i, (t or "").encode()) for i, t in rows_of(d))
+    n = 200
+    count = Counter(b[i : i + n] for _, b in rows for i in range(len(b) - n + 1))
+    seen, expect = set(), {}
+    for doc_id, b in rows:
+        cover = bytearray(len(b))
+        for i in range(len(b) - n + 1):
+            w = b[i : i + n]
+            if (w in seen) if keep_first else count[w] > 1:
+                cover[i : i + n] = b"\1" * n
+            seen.add(w)
+        spans = sum(1 for i in range(len(b)) if cover[i] and (i == 0 or not cover[i - 1]))
+        expect[doc_id] = (len(b), sum(cover), spans, bytes(x for x, y in zip(b, cover) if not y))
+    got = {r.doc_id: (r.n_bytes, r.n_removed, r.n_spans, bytes(r.kept)) for r in suffixes.remove_repeats(d, keep_first=keep_first).collect()}
+    assert got == expect
+
+
+def test_suffix_edges(docs, empty):
+    assert suffixes.remove_repeats(empty).count() == 0
+    assert suffixes.remove_repeats(docs).count() == docs.count()
+
+
+def test_longest_previous_factors():
+    text = b"abaababaabaab"
+    brute = [max([m for j in range(i) for m in [next((k for k in range(len(text) - i) if text[i + k] != text[j + k]), len(text) - i)]], default=0) for i in range(len(text))]
+    assert suffixes.longest_previous_factors(text).tolist() == brute
+    assert suffixes.longest_previous_factors(b"").tolist() == []
+
+
+def test_quality(docs, empty):
+    for r in quality.score(docs).collect():
+        text = r.text or ""
+        w = text.encode().split()
+        grams = Counter(tuple(w[i : i + 5]) for i in range(len(w) - 4))
+        cover = {i + k for i in range(len(w) - 4) if grams[tuple(w[i : i + 5])] > 1 for k in range(5)}
+        lines = [x for x in text.encode().split(b"\n") if x.split()]
+        expect = (len(w), sum(len(x.decode()) for x in w), sum(text.count(s) for s in "#*$%&|<>"), len(lines) - len(set(lines)), len(cover))
+        assert (r.n_words, r.word_chars, r.n_symbols, r.n_dup_lines, r.n_repeat_words) == expect
+        assert r.base_failed == (len(w) < 10 or 100 * len(cover) > 20 * len(w)) and not (r.base_failed and r.kept)
+    assert quality.score(empty).count() == 0
+
+
+def test_quality_plan_has_no_functions_of_users(docs):
+    plan = quality.score(docs)._jdf.queryExecution().executedPlan().toString()
+    assert "Python" not in plan and "Arrow" not in plan
+
+
+def test_quality_keeps_labelled_text(spark):
+    sf = "/root/testdata/sf0.01"
+    scored = quality.score(spark.read.parquet(f"{sf}/documents.parquet")).join(spark.read.parquet(f"{sf}/labels.parquet"), "doc_id")
+    r = scored.agg(F.sum(F.expr("int(quality = 0 and kept)")), F.sum(F.expr("int(quality = 1 and not kept and not base_failed)"))).first()
+    assert tuple(r) == (0, 0)
+
+
+def test_language(spark, empty, docs):
+    d = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    out = QUERIES["op3_language_id"](spark, "/root/testdata/sf0.01").join(d.select("doc_id", "lang"), "doc_id")
+    r = out.filter("held_out").agg(F.avg(F.expr("int(lang = lang_pred)")), F.min("score"), F.max("score")).first()
+    assert r[0] > 0.97 and r[1] >= 0 and r[2] <= 1
+    held = {r.doc_id: r.held_out for r in out.collect()}
+    assert all(h == (zlib.crc32(str(i).encode()) % 3 == 1) for i, h in held.items())
+    model = langid.learn(d)
+    assert {r.lang_pred for r in langid.identify(spark.createDataFrame([(None,), ("",), ("12 !",)], "text string"), model).collect()} == {"und"}
+    assert langid.identify(empty, model).count() == 0
+    assert {r.lang_pred for r in langid.identify(docs, langid.learn(empty.withColumn("lang", F.lit("en")))).collect()} == {"und"}
+    assert langid.learn(d.repartition(7)) == model
+
+
+def _components(rows):
+    def shingles(t):
+        w = bytes(c + 32 if 65 <= c <= 90 else c for c in (t or "").encode()).split()
+        return frozenset() if not w else frozenset([tuple(w)]) if len(w) < 5 else frozenset(tuple(w[i : i + 5]) for i in range(len(w) - 4))
+
+    sets, parent, index = [shingles(t) for _, t in rows], list(range(len(rows))), {}
+
+    def find(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for i, s in enumerate(sets):
+        shared = Counter(j for x in s for j in index.get(x, ()))
+        for j, n in shared.items():
+            if 100 * n >= 80 * (len(s) + len(sets[j]) - n):
+                parent[find(i)] = find(j)
+        for x in s:
+            index.setdefault(x, []).append(i)
+    groups = {}
+    for i, (doc_id, _) in enumerate(rows):
+        groups.setdefault(find(i), []).append(doc_id)
+    return Counter((d, len(sets[i]), min((x for x in groups[find(i)] if x is not None), default=None)) for i, (d, _) in enumerate(rows))
+
+
+@pytest.mark.parametrize("first", [40, 2])
+def test_jaccard(spark, docs, empty, first, monkeypatch):
+    numbers = [(10**5 + i, " ".join(map(str, range(n)))) for i, n in enumerate((100, 103, 110, 118, 124, 125, 126))]
+    d = docs.select("doc_id", "text").unionByName(spark.createDataFrame(numbers, "doc_id long, text string"))
+    if first == 2:
+        monkeypatch.setattr(jaccard, "FIRST", 10**9)  # the exact prefix for every set
+    rows = rows_of(d)
+    got = Counter((r.doc_id, r.n_shingles, r.component_id) for r in jaccard.near_duplicates(d).collect())
+    assert got == _components(rows)
+    assert jaccard.near_duplicates(empty).count() == 0
+
+
+def test_jaccard_bitmaps_bound_from_above():
+    rng = random.Random(1)
+    import numpy as np
+
+    for _ in range(50):
+        u = np.unique(np.array([rng.getrandbits(64) for _ in range(rng.randrange(2, 3000))], np.uint64))
+        v = np.unique(np.concatenate([u[: rng.randrange(1, len(u) + 1)], np.array([rng.getrandbits(64) for _ in range(rng.randrange(1, 900))], np.uint64)]))
+        both = len(np.intersect1d(u, v))
+        assert jaccard.most_overlap(jaccard.bitmap(u), jaccard.bitmap(v), len(u), len(v)) >= both
+
+
+def test_mixing(spark, docs, empty):
+    out = mixing.mix(docs).collect()
+    assert len(out) == docs.count()
+    sizes, target, taken = Counter(), {}, Counter()
+    for r in out:
+        sizes[r.source] += r.size
+        taken[r.source] += r.taken
+        target[r.source] = r.target
+        assert 0 <= r.taken <= 2 * r.size and sum(p.n_words for p in r.positions) == r.taken
+        assert all(0 <= p.position < 1 for p in r.positions)
+    order = sorted(sizes, key=lambda s: (s is None, s))
+    weight = {s: (3, 1, 2)[i % 3] for i, s in enumerate(order)}
+    total, capped = 1.5 * sum(sizes.values()), set()
+    while True:
+        rest = total - sum(2 * sizes[s] for s in capped)
+        level = rest / sum(weight[s] for s in order if s not in capped)
+        more = {s for s in order if s not in capped and weight[s] * level > 2 * sizes[s]}
+        if not more:
+            break
+        capped |= more
+    for s in order:
+        expect = 2 * sizes[s] if s in capped else weight[s] * level
+        assert target[s] == pytest.approx(expect) and abs(taken[s] - expect) <= 1
+    positions = [r.position for r in mixing.curriculum(mixing.mix(docs)).select("position").collect()]
+    assert positions == sorted(positions)
+    assert mixing.mix(empty).count() == 0
+
+
+def test_curriculum_inverts_the_integral(spark):
+    row = spark.range(1).select(*[mixing.invert_demand(F.lit(c), F.lit(t)).alias(f"x{i}") for i, (c, t) in enumerate([(0.5, 1.0), (0.25, 0.5), (0.9, 2.0), (0.0, 0.5)])]).first()
+    for x, (c, t) in zip(row, [(0.5, 1.0), (0.25, 0.5), (0.9, 2.0), (0.0, 0.5)]):
+        assert (t * x + (1 - t) * x * x / 2) / ((t + 1) / 2) == pytest.approx(c)
+
+
+def test_html(spark, sf):
+    pages = spark.read.parquet(f"{sf}/pages.parquet")
+    import html as std
+
+    for r in html.extract(pages).collect():
+        a = re.search(r"<article>(.*)</article>", r.html, re.S)[1]
+        a = re.sub(r"<[^>]+>", " ", re.sub(r"</?(b|a)\b[^>]*>", "", a))
+        assert r.text == " ".join(std.unescape(a).split())
+    assert html.extract(pages.limit(0)).count() == 0
+
+
+def test_html_wrapper(spark):
+    made = [(i, f"http://a.b/{i}", f"<body><div class='menu'>M</div><div><p>Read all about it<div><h1>T{i}</h1><p>word{i} &amp; <b>mo</b>re &lt;{i * 7}</p><!-- c --><script>var x='</p>'</script><div id=comments><p>nice</p></div></div></div><footer>x</footer>") for i in range(8)]
+    made += [(99, None, None), (100, "http://a.b/c", ""), (101, "http://one/", "<p>alone<br>here"), (101, "http://one/", "<p>alone<br>here")]
+    got = Counter((r.page_id, r.text) for r in html.extract(spark.createDataFrame(made, "page_id long, url string, html string")).collect())
+    assert got == Counter([*((i, f"T{i} word{i} & more <{i * 7}") for i in range(8)), (99, ""), (100, ""), (101, "alone here"), (101, "alone here")])
+
+
+def test_tree_matching():
+    tree = lambda label, *kids: (label, kids, 0, -1)
+    a = tree("a", tree("b"), tree("c", tree("d"), tree("e")), tree("f"))
+    b = tree("a", tree("x"), tree("c", tree("e")), tree("b"), tree("f"))
+    assert [(x[0], y[0]) for x, y in html.align(a, b)] == [("e", "e"), ("f", "f")]
+
+
+def test_personal_data(spark, docs, empty):
+    patterns = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
+
+    def luhn(d):
+        v = [int(c) * (1 + i % 2) for i, c in enumerate(reversed(d))]
+        return sum(x - 9 if x > 9 else x for x in v) % 10 == 0
+
+    def ok(kind, m):
+        d = re.sub("[^0-9]", "", m)
+        return {"email": True, "ip": kind == "ip" and all(int(x) <= 255 for x in m.split(".")), "card": 13 <= len(d) <= 19 and luhn(d), "phone": 9 <= len(d) <= 15}[kind]
+
+    rng = random.Random(5)
+    parts = ["a@b.c", "1.2.3.4", "x", "@", ".", "+1 ", "4", "111 1111-", "é😀", " ", "_", "%", "0", "255.", "(55) ", " 4111 1111 1111 1111 ", "a.b"]
+    made = [(10**6 + i, "".join(rng.choice(parts) for _ in range(rng.randrange(40)))) for i in range(800)] + [(3 * 10**6, "@a" + ".b" * 20000), (3 * 10**6 + 1, "1.2.3.4 " * 2000)]
+    d = docs.select("doc_id", "text").unionByName(spark.createDataFrame(made, "doc_id long, text string"))
+    found = pii.find(d)
+    for r in found.collect():
+        expect = [(k, m.start(), m.end()) for k, p in patterns.items() for m in re.finditer(p, r.text or "") if ok(k, m[0])]
+        assert [(s.kind, s.start, s.end) for s in r.spans if s.kind in patterns] == expect
+    r = pii.digests(pii.find(spark.createDataFrame([(1, "card 4111 1111 1111 1111, IBAN GB82 WEST 1234 5698 7654 32, GB83 WEST 1234 5698 7654 32")], "doc_id long, text string"))).first()
+    assert r.spans == "card:5:24,iban:31:58" and r.base_sha256 == hashlib.sha256(b"card:5:24").hexdigest()
+    card = spark.createDataFrame([(1, "é 4111 1111 1111 1111, a@b.c"), (2, None)], "doc_id long, text string")
+    assert [r.text for r in pii.redact(card).orderBy("doc_id").collect()] == ["é [CARD], [EMAIL]", None]
+    assert pii.find(empty).count() == 0
+    assert "Python" not in found._jdf.queryExecution().executedPlan().toString()
+
+
+def test_warc(spark, sf):
+    pages = spark.read.parquet(f"{sf}/pages.parquet")
+    big = "x" * 150
+    made = [(10**6 + 2, "u", big), (10**6 + 1, "v", big), (10**6 + 3, None, big), (10**6 + 4, "", None), (10**6 + 5, "w", "small"), (10**6 + 6, "w", "small"), (None, "n", "y" * 120)]
+    all_pages = pages.unionByName(spark.createDataFrame(made, pages.schema))
+    archives = warc.write_archives(warc.record_plan(all_pages))
+    got = {r.page_id: r for r in warc.read_archives(archives).collect()}
+    for r in all_pages.collect():
+        b = (r.html or "").encode()
+        x = got[r.page_id]
+        assert (x.payload_bytes, x.payload_digest, x.url) == (len(b), hashlib.sha256(b).hexdigest(), r.url or "")
+        assert x.record_type == "revisit" or bytes(x.payload) == b
+    assert [got[10**6 + i].refers_to for i in (1, 2, 3, 5, 6)] == [None, 10**6 + 1, 10**6 + 1, None, None]
+    assert warc.read_archives(warc.write_archives(warc.record_plan(pages.limit(0)))).count() == 0
+
+
+def test_warc_normaliser():
+    records = [warc._record(i, f"u{i}", bytes([i]) * i * 40000, "d", None) for i in range(9)]
+    z = zlib.compressobj(6, zlib.DEFLATED, 31)
+    stream = b"".join(z.compress(r) for r in records) + z.flush()
+    data, index = warc.normalise(stream)
+    assert [p for _, p in warc.members(data, index)] == [bytes([i]) * i * 40000 for i in range(9)]
+    assert warc.normalise(data) == (data, index)
+    assert warc.normalise(b"") == (b"", b"")
+
+
+def test_bpe(spark, docs, empty):
+    import tiktoken
+
+    tokenizer = tiktoken.Encoding("own", pat_str=PATTERN, mergeable_ranks=bpe.read_ranks(VOCABULARY), special_tokens={})
+    extra = spark.createDataFrame([(9, "a" * 3000), (10, " \n x  y\x00z \x1c日本 😀½ it's  "), (11, "  "), (12, "a\n b")], "doc_id long, text string")
+    d = docs.select("doc_id", "text", "ids").unionByName(extra, allowMissingColumns=True)
+    out = bpe.decode(bpe.encode(d, VOCABULARY, PATTERN), VOCABULARY, PATTERN).collect()
+    for r in out:
+        assert r.ids == tokenizer.encode_ordinary(r.text or "") and bytes(r.decoded) == (r.text or "").encode()
+    assert len(out) == d.count() and bpe.decode(bpe.encode(empty, VOCABULARY, PATTERN), VOCABULARY, PATTERN).count() == 0
+    r = bpe.digests(bpe.decode(bpe.encode(extra.filter("doc_id = 9"), VOCABULARY, PATTERN), VOCABULARY, PATTERN)).first()
+    assert r.ids_sha256 == hashlib.sha256(",".join(map(str, tokenizer.encode_ordinary("a" * 3000))).encode()).hexdigest()
+
+
+def test_pipeline(spark, sf):
+    import corpus_pipeline
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    stage = dict(corpus_pipeline.STAGES)
+    assert [n for n, _ in corpus_pipeline.STAGES] == ["language_id", "near_duplicates", "personal_data", "mixing", "byte_bpe"]
+    good = stage["language_id"](spark, docs, sf).cache()
+    assert good.columns == docs.columns and 0.95 * docs.count() <= good.count() <= docs.count()
+    unique = stage["near_duplicates"](spark, good, sf).cache()
+    leads = {c for _, _, c in _components(rows_of(good))}
+    assert sorted(r.doc_id for r in unique.collect()) == sorted(leads)
+    clean = stage["personal_data"](spark, unique, sf).cache()
+    assert clean.count() == unique.count() and clean.filter(F.expr("n_chars != length(text)")).count() == 0
+    kinds = pii.find(clean).select(F.explode("spans.kind")).count()
+    assert kinds == 0
+    mixed = stage["mixing"](spark, clean, sf).cache()
+    per = Counter(r.doc_id for r in mixed.collect())
+    assert max(per.values()) <= 2 and mixed.columns == docs.columns
+    ran = corpus_pipeline.run(spark, sf)
+    assert Counter(r.doc_id for r in ran.collect()) == per
+    nothing = docs.limit(0)
+    for _, f in corpus_pipeline.STAGES:
+        assert f(spark, nothing, sf).count() == 0
+
+
+@pytest.mark.parametrize("name", sorted(ORACLES))
+def test_oracles(spark, sf, name):
+    import duckdb
+
+    con = duckdb.connect()
+    for t in ("documents", "pages"):
+        con.execute(f"create view {t} as select * from read_parquet('{sf}/{t}.parquet')")
+    cur = con.execute(ORACLES[name])
+    names = [c[0] for c in cur.description]
+    expect = Counter(cur.fetchall())
+    got = Counter(tuple(r[c] for c in names) for r in QUERIES[name](spark, sf).collect())
+    assert got == expect
