@@ -5,17 +5,18 @@ class, known by a hash of the set. For the classes:
 
 1. Each set lists its first shingles in an order that all share: shingles of crowded hash
    buckets last, else by hash. Two sets of similarity t share one of the first
-   n - ceil(t n) + 1; and where at least 60 % of a set's shingles are uncrowded, its first
-   :data:`FIRST` do as well, but for odds under 1e-15 a pair, since the order of the
-   uncrowded ones is random and at least 58 % of their union is shared.
+   n - ceil(t n) + 1; and where at least 75 % of a set's shingles are uncrowded, its first
+   :data:`FIRST` do as well, but for odds under 1e-11 a pair (1e-16 without crowded ones),
+   since the order of the uncrowded is random and at least two thirds of their union are shared.
 2. Rows (shingle, set) that no other set has are dropped; the others meet in tiles of one
    shingle and one band of sizes, each band also visited by the next one, as sets whose
    sizes differ more cannot be similar.
 3. In a tile, bit counts of the sets' bitmaps bound the overlap from above; a bitmap has
-   about a bit a shingle and is folded to the size of the smaller one.
+   about a bit a shingle, in the last round four, and is folded to the size of the smaller one.
 4. Pairs that pass are verified by exact intersection of the sorted arrays. First each set
-   with one earlier set of each tile only; then, with components known, all pairs that pass
-   between different components. No group's pairs are all emitted, no link is lost.
+   with one earlier set of each tile only; then, with components known, with one of another
+   component; last all pairs that pass between different components, each by the tile of its least shared listed shingle alone.
+   No group's pairs are all emitted, no link is lost.
 
 Only a fixed table (a level a bucket) is sent to all tasks.
 
@@ -40,7 +41,7 @@ from .components import components
 
 SHINGLE_WORDS, PERCENT = 5, 80
 #: Listed shingles of sets that are mostly uncrowded.
-FIRST = 40
+FIRST = 24
 BUCKETS, CHUNKS = 1 << 18, 64
 #: Odd multipliers that mix word hashes into shingle hashes.
 MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5], dtype=np.uint64)
@@ -129,9 +130,9 @@ def crowded_levels(texts: DataFrame, width: int = SHINGLE_WORDS) -> np.ndarray:
     return np.where(over > 1, np.minimum(2 + np.log2(np.maximum(over, 1)), 40), 0).astype(np.uint8)
 
 
-def bitmap(s: np.ndarray) -> bytes:
-    """A bit for each shingle's hash modulo the bitmap's size, a power of two of at least 64."""
-    bits = 64 << max(0, math.ceil(math.log2(len(s) / 64)))
+def bitmap(s: np.ndarray, scale: int = 1) -> bytes:
+    """A bit for each shingle's hash modulo the bitmap's size: a power of two, ``scale`` to twice that a shingle."""
+    bits = (64 << max(0, math.ceil(math.log2(len(s) / 64)))) * scale
     out = np.zeros(bits, np.uint8)
     out[(s & np.uint64(bits - 1)).astype(np.int64)] = 1
     return np.packbits(out, bitorder="little").tobytes()
@@ -161,7 +162,7 @@ def _sets(levels, width, percent):
                 seen.add(a)
                 level = levels[_bucket(s)]
                 most = n - -(-percent * n // 100) + 1
-                if (level == 0).sum() >= 0.6 * n:
+                if (level == 0).sum() >= 0.75 * n:
                     most = min(most, FIRST)
                 first = s[np.lexsort((s, level))[:most]]
                 out.append((n, a, first.view(np.int64), bitmap(s), _band(n, percent)))
@@ -191,14 +192,22 @@ class _Tile:
     def __init__(self, percent):
         self.percent, self.rows = percent, {}
 
-    def close(self, cross: bool):
-        """Pairs (x, y) that pass: each set with its first earlier match, or all across labels."""
+    def close(self, mode: str, token: int):
+        """Pairs (x, y) that pass: each set with its first earlier match (``first``), with one
+        earlier match of another label, another in each tile (``one``), or with ``all`` of them."""
+        cross = mode != "first"
         home = np.array([r[0] for r in self.rows], bool)
         a = np.array([r[1] for r in self.rows], np.int64)
         n = np.array([r[2] for r in self.rows], np.int64)
         label = np.array([r[4] for r in self.rows], np.int64)
         if not home.any() or (cross and (label == label[0]).all()):
             return
+        if mode == "all":
+            counts = np.array([len(r[5]) for r in self.rows])
+            columns = np.arange(counts.max())[None, :]
+            lists = np.zeros((len(self.rows), counts.max()), np.int64)
+            for i, r in enumerate(self.rows):
+                lists[i, : counts[i]] = r[5]
         widths = np.array([len(r[3]) // 8 for r in self.rows])
         maps = {w: (np.flatnonzero(widths == w), np.array([np.frombuffer(self.rows[i][3], np.uint64) for i in np.flatnonzero(widths == w)])) for w in sorted(set(widths.tolist()))}
         for w, (own, bits) in maps.items():
@@ -218,14 +227,21 @@ class _Tile:
                     other = f[pick]
                     most = np.minimum(n[i] - np.bitwise_count(mine & ~other).sum(axis=1, dtype=np.int64), n[at[pick]] - np.bitwise_count(other & ~mine).sum(axis=1, dtype=np.int64))
                     good = pick[100 * most >= self.percent * (n[i] + n[at[pick]] - most)]
+                    if mode == "one":
+                        good = good[[(int(a[i]) ^ token) * 0x9E3779B97F4A7C15 % (1 << 64) % len(good)]] if len(good) else good
+                    elif cross:
+                        # The same pair passes in each tile that it shares: the least shared shingle's tile gives it.
+                        common = np.isin(lists[at[good]], lists[i][: counts[i]]) & (columns < counts[at[good], None])
+                        least = np.where(common, lists[at[good]], np.iinfo(np.int64).max).min(axis=1)
+                        good = good[least == token]
                     for j in at[good[:1] if not cross else good].tolist():
                         yield int(a[i]), int(a[j])
                     if len(good) and not cross:
                         break
 
 
-def _compare(percent, cross):
-    """Rows sorted by tile: token, tile, home, a, n, bits, label."""
+def _compare(percent, mode):
+    """Rows sorted by tile: token, tile, home, a, n, bits, label, listed shingles (null but for cross)."""
 
     def run(batches):
         seen, key, rows, out = set(), None, [], []
@@ -234,7 +250,7 @@ def _compare(percent, cross):
             if len(rows) > 1:
                 t = _Tile(percent)
                 t.rows = rows
-                for x, y in t.close(cross):
+                for x, y in t.close(mode, key[0]):
                     pair = (x, y) if x < y else (y, x)
                     if pair not in seen:
                         if len(seen) > 300_000:
@@ -248,12 +264,12 @@ def _compare(percent, cross):
             return pa.RecordBatch.from_pydict({"x": pa.array(x, pa.int64()), "y": pa.array(y, pa.int64())})
 
         for batch in batches:
-            for token, tile, home, a, n, bits, label in zip(*(batch.column(i).to_pylist() for i in range(7))):
+            for token, tile, home, a, n, bits, label, listed in zip(*(batch.column(i).to_pylist() for i in range(8))):
                 if (token, tile) != key:
                     finish()
                     key, rows = (token, tile), []
                 if not rows or rows[-1][1] != a:
-                    rows.append((home, a, n, bits, label))
+                    rows.append((home, a, n, bits, label, listed))
             if out:
                 yield flush()
         finish()
@@ -262,14 +278,15 @@ def _compare(percent, cross):
     return run
 
 
-def _candidates(live: DataFrame, sets: DataFrame, labels: DataFrame | None, percent: int) -> DataFrame:
-    rows = live.join(sets.select("a", "n", "bits", "band"), "a")
+def _candidates(live: DataFrame, sets: DataFrame, labels: DataFrame | None, percent: int, mode: str) -> DataFrame:
+    listed = F.col("list") if mode == "all" else F.lit(None).cast("array<long>").alias("list")
+    rows = live.join(sets.select("a", "n", "bits", "band", listed), "a")
     rows = rows.join(labels, rows["a"] == labels["node"], "left").drop("node") if labels is not None else rows.withColumn("label", F.lit(None).cast("long"))
     rows = rows.withColumn("label", F.coalesce("label", "a"))
     tiles = F.explode(F.array(F.struct(F.col("band").alias("tile"), F.lit(True).alias("home")), F.struct((F.col("band") - 1).alias("tile"), F.lit(False).alias("home"))))
-    rows = rows.withColumn("t", tiles).select("token", F.col("t.tile").alias("tile"), F.col("t.home").alias("home"), "a", "n", "bits", "label")
+    rows = rows.withColumn("t", tiles).select("token", F.col("t.tile").alias("tile"), F.col("t.home").alias("home"), "a", "n", "bits", "label", "list")
     rows = rows.repartition("token", "tile").sortWithinPartitions("token", "tile", F.desc("home"), "a")
-    return rows.mapInArrow(_compare(percent, labels is not None), "x long, y long").distinct()
+    return rows.mapInArrow(_compare(percent, mode), "x long, y long").distinct()
 
 
 def _verify(percent):
@@ -297,6 +314,11 @@ def _arrays(width):
     return run
 
 
+def _widened(batches):
+    for batch in batches:
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([bitmap(np.frombuffer(x.as_py(), np.uint64), 4) for x in batch.column(1)], pa.binary())], names=["a", "bits"])
+
+
 def _linked(pairs: DataFrame, arrays: DataFrame, percent: int) -> DataFrame:
     left = arrays.select(F.col("a").alias("x"), F.col("s").alias("sx"))
     right = arrays.select(F.col("a").alias("y"), F.col("s").alias("sy"))
@@ -315,21 +337,26 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     levels = crowded_levels(texts.select("text"), width)
     rows = kept(texts.mapInArrow(_sets(levels, width, percent), "doc_id long, n_shingles long, a long, first array<long>, bits binary, band int"), "sets")
-    sets = rows.filter("first is not null").groupBy("a").agg(F.first("n_shingles").alias("n"), F.first("bits").alias("bits"), F.first("band").alias("band"))
+    sets = rows.filter("first is not null").groupBy("a").agg(F.first("n_shingles").alias("n"), F.first("bits").alias("bits"), F.first("band").alias("band"), F.first("first").alias("list"))
     lists = rows.filter("first is not null").select("a", F.explode("first").alias("token"))
     # A shingle stays if two sets list it, which the smallest and the largest set tell.
     shared = lists.groupBy("token").agg(F.min("a").alias("low"), F.max("a").alias("high")).filter("low < high").select("token")
     live = kept(lists.join(shared, "token").select("token", "a").distinct(), "live")
-    pairs = kept(_candidates(live, sets, None, percent), "first")
-    nodes = pairs.select(F.explode(F.array("x", "y")).alias("a")).distinct()
+    checked = kept(_candidates(live, sets, None, percent, "first"), "first")
+    nodes = kept(checked.select(F.explode(F.array("x", "y")).alias("a")).distinct(), "nodes")
     # One text of each class that is in a pair.
     heads = rows.filter("first is not null").groupBy("a").agg(F.min("doc_id").alias("doc_id")).join(nodes, "a")
     keyed = heads.join(texts, "doc_id").select("a", "text").mapInArrow(_arrays(width), "a long, s binary")
     arrays = kept(_same_key(keyed), "arrays")
-    links = kept(_linked(pairs, arrays, percent), "links")
-    labels = kept(components(links), "labels")
-    more = kept(_candidates(live.join(nodes, "a", "left_semi"), sets, labels, percent).join(pairs, ["x", "y"], "left_anti"), "second")
-    links = links.unionByName(_linked(more, arrays, percent))
+    links = kept(_linked(checked, arrays, percent), "links")
+    open_rows = live.join(nodes, "a", "left_semi")
+    wide = kept(arrays.mapInArrow(_widened, "a long, bits binary"), "wide")
+    fine = sets.drop("bits").join(wide, "a")
+    for mode, of in (("one", sets), ("all", fine)):
+        labels = kept(components(links), f"labels-{mode}")
+        more = kept(_candidates(open_rows, of, labels, percent, mode).join(checked, ["x", "y"], "left_anti"), mode)
+        checked = checked.unionByName(more)
+        links = links.unionByName(kept(_linked(more, arrays, percent), f"links-{mode}"))
     labels = components(links)
     classes = rows.filter("a is not null").groupBy("a").agg(F.min("doc_id").alias("low")).join(labels, F.col("a") == F.col("node"), "left")
     classes = classes.select("a", "low", F.coalesce("label", "a").alias("label"))
