@@ -1,8 +1,9 @@
 """Main text of web pages by wrapper induction (operator 6).
 
 Each page becomes a tree of its block elements (:func:`parse`). The pages of a host are
-aligned with a reference page of that host by simple tree matching (:func:`align`), which
-finds the largest order-preserving match of equal labels from the root down. A block of
+aligned with a reference page of that host by simple tree matching (:func:`align`), a
+large order-preserving match of equal labels from the root down: siblings at both ends pair
+off where labels are equal, and a table over what lies between finds the largest match. A block of
 the reference whose text is the same on all pages aligned with it, over at least
 :data:`MIN_PAGES` pages that are not copies of each other, is template; slots whose text
 varies are content. What is left inside the article (else the main element, else the body) and outside
@@ -183,7 +184,7 @@ def skeleton(html: str | None) -> tuple:
 
 
 def align(a: tuple, b: tuple) -> list[tuple[tuple, tuple]]:
-    """Matched leaf pairs of the largest top-down, order-preserving match of two skeletons."""
+    """Matched leaf pairs of a top-down, order-preserving match of two skeletons."""
     return _match(a, b, {})[1] if a[0] == b[0] else []
 
 
@@ -198,10 +199,18 @@ def _match(a: tuple, b: tuple, memo: dict) -> tuple[int, list]:
         return memo[key]
     size, pairs = 1, []
     labels = [x[0] for x in xs], [y[0] for y in ys]
-    if len(xs) * len(ys) > MAX_CELLS or labels[0] == labels[1] or len({*labels[0], *labels[1]}) == 1:
-        # Equal labels pair off in order; what is longer keeps its rest unmatched.
-        chosen = [(x, y) for x, y in zip(xs, ys) if x[0] == y[0]]
-    else:
+    # Siblings with equal labels at both ends pair off, and runs of a single label in order.
+    start, most = 0, min(len(xs), len(ys))
+    while start < most and labels[0][start] == labels[1][start]:
+        start += 1
+    chosen, end = list(zip(xs[:start], ys[:start])), 0
+    while end < most - start and labels[0][-1 - end] == labels[1][-1 - end]:
+        end += 1
+    chosen += zip(xs[len(xs) - end :], ys[len(ys) - end :])
+    xs, ys = xs[start : len(xs) - end], ys[start : len(ys) - end]
+    if len(xs) * len(ys) > MAX_CELLS or len({x[0] for x in (*xs, *ys)}) == 1:
+        chosen += [(x, y) for x, y in zip(xs, ys) if x[0] == y[0]]
+    elif xs and ys:
         m, n = len(xs), len(ys)
         best = [[0] * (n + 1) for _ in range(m + 1)]
         for i in range(m - 1, -1, -1):
@@ -212,7 +221,7 @@ def _match(a: tuple, b: tuple, memo: dict) -> tuple[int, list]:
                     both = below[j + 1] + _match(x, ys[j], memo)[0]
                     most = both if both > most else most
                 row[j] = most
-        chosen, i, j = [], 0, 0
+        i = j = 0
         while i < m and j < n:
             if xs[i][0] == ys[j][0] and best[i][j] == best[i + 1][j + 1] + _match(xs[i], ys[j], memo)[0]:
                 chosen.append((xs[i], ys[j]))
@@ -237,7 +246,7 @@ class _References:
 
     def __call__(self, data: bytes) -> tuple:
         if data not in self.known:
-            if len(self.known) >= 256:
+            if len(self.known) >= 4096:
                 self.known.clear()
             self.known[data] = marshal.loads(data)
         return self.known[data]
@@ -276,7 +285,7 @@ def _votes(batches):
             if id(r) not in numbered or numbered[id(r)][0] is not r:
                 numbered[id(r)] = (r, _number(r, {}))
             numbers = numbered[id(r)][1]
-            if len(numbered) > 512:
+            if len(numbered) > 4096:
                 numbered.clear()
             rows += [(host, numbers[id(a)], b[2], page) for a, b in align(r, marshal.loads(tree)) if b[3] >= 0]
         names = ["host", "node", "text", "page"]
@@ -290,7 +299,7 @@ def _drops(batches):
         for key, tree, ref, nodes in zip(*(batch.column(i).to_pylist() for i in range(4))):
             r = load(ref)
             if id(r) not in numbered or numbered[id(r)][0] is not r:
-                if len(numbered) > 512:
+                if len(numbered) > 4096:
                     numbered.clear()
                 numbered[id(r)] = (r, _number(r, {}))
             numbers, constant = numbered[id(r)][1], set(nodes)
