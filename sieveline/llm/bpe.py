@@ -31,9 +31,9 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 #: Text that one step of the encoder holds as Python strings.
-STEP_CHARS = 1 << 20
+STEP_CHARS = 1 << 19
 #: Distinct parts between blanks in each of the two generations that a worker remembers.
-REMEMBERED = 300_000
+REMEMBERED = 80_000
 
 
 def byte_chars() -> list[str]:
