@@ -6,11 +6,11 @@ is what ``bytes.split()`` cuts out in Python and what :func:`words` does in Cata
 
 from __future__ import annotations
 
-import tempfile
-
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..store import cut, shared_dir  # noqa: F401
+
 #: ASCII white space beside the blank.
 WHITE = ["\t", "\n", "\x0b", "\x0c", "\r"]
 
@@ -30,18 +30,3 @@ def blanks(text: Column) -> Column:
 def words(text: Column) -> Column:
     """Array of the words of a text; empty for null."""
     return F.array_remove(F.split(blanks(text), " "), "")
-
-
-def shared_dir(spark: SparkSession) -> str:
-    """The folder all executors share, from ``spark.checkpoint.dir``; an own one where it is unset."""
-    sc = spark.sparkContext
-    folder = spark.conf.get("spark.checkpoint.dir", None)
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(folder or tempfile.mkdtemp(prefix="shared-"))
-    return folder or sc._jsc.sc().getCheckpointDir().get()
-
-
-def cut(df: DataFrame) -> DataFrame:
-    """Materialise a frame in the shared folder, so that lost executors cost no recomputation."""
-    shared_dir(df.sparkSession)
-    return df.checkpoint(eager=True)

@@ -36,8 +36,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators.components import components
 from .common import shared_dir
-from .components import components
 
 SHINGLE_WORDS, PERCENT = 5, 80
 #: Listed shingles of sets that are mostly uncrowded.
