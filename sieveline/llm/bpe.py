@@ -30,6 +30,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import stepwise
+
 #: Text that one step of the encoder holds as Python strings.
 STEP_CHARS = 1 << 19
 #: Distinct parts between blanks in each of the two generations that a worker remembers.
@@ -79,25 +81,20 @@ def model_proto(ranks: dict[bytes, int]) -> tuple[bytes, list[int]]:
 
 
 class ByteBpe:
-    """Encoder and decoder of one vocabulary."""
+    """Encoder of one vocabulary."""
 
     def __init__(self, path: str, pattern: str):
         import sentencepiece
 
-        self.ranks = read_ranks(path)
-        proto, self.ids = model_proto(self.ranks)
+        ranks = read_ranks(path)
+        proto, self.ids = model_proto(ranks)
         self.model = sentencepiece.SentencePieceProcessor(model_proto=proto)
-        self.at = {token: i for i, token in enumerate(sorted(self.ranks, key=self.ranks.get), 1)}
+        self.at = {token: i for i, token in enumerate(sorted(ranks, key=ranks.get), 1)}
         self.ids = pa.array(self.ids, pa.int32())
         self.chars = dict(enumerate(byte_chars()))
         self.find = regex.compile(pattern).findall
         self.known: dict[str, bytes | None] = {}
         self.older: dict[str, bytes | None] = {}
-        top = max(self.ranks.values(), default=-1) + 1
-        by_id: list[bytes | None] = [None] * top
-        for token, rank in self.ranks.items():
-            by_id[rank] = token
-        self.pieces = pa.array(by_id, pa.large_binary())
 
     def _code(self, text: str) -> bytes:
         """Packed runtime ids of a text, pre-token by pre-token."""
@@ -160,6 +157,17 @@ class ByteBpe:
         ends = pa.array(accumulate((len(x) // 4 for x in out), initial=0), pa.int32())
         return pa.ListArray.from_arrays(ends, flat)
 
+
+class Pieces:
+    """Decoder of one vocabulary: the bytes of each id, without an encoder's runtime."""
+
+    def __init__(self, path: str):
+        ranks = read_ranks(path)
+        by_id: list[bytes | None] = [None] * (max(ranks.values(), default=-1) + 1)
+        for token, rank in ranks.items():
+            by_id[rank] = token
+        self.pieces = pa.array(by_id, pa.large_binary())
+
     def decode(self, ids: pa.ListArray) -> pa.LargeBinaryArray:
         """Bytes of each list of ids; one contiguous lookup for the batch."""
         flat = self.pieces.take(ids.flatten())
@@ -171,46 +179,55 @@ class ByteBpe:
 
 
 _loaded: dict[tuple[str, str], ByteBpe] = {}
+_pieces: dict[str, Pieces] = {}
 
 
 def codec(path: str, pattern: str) -> ByteBpe:
-    """The worker's codec, built once from the vocabulary file (same path on every machine)."""
+    """The worker's encoder, built once from the vocabulary file (same path on every machine)."""
     if (path, pattern) not in _loaded:
         _loaded[path, pattern] = ByteBpe(path, pattern)
     return _loaded[path, pattern]
 
 
+def pieces(path: str) -> Pieces:
+    """The worker's decoder, likewise."""
+    if path not in _pieces:
+        _pieces[path] = Pieces(path)
+    return _pieces[path]
+
+
 def _slices(column: pa.Array, most: int, sizes: pa.Array) -> Iterator[tuple[int, int]]:
     start = held = 0
     for i, n in enumerate(sizes.to_pylist()):
         if held and held + n > most:
             yield start, i - start
-            start = i
-            held = 0
+            start, held = i, 0
         held += n or 1
     if start < len(column):
         yield start, len(column) - start
 
 
-
-
 def encode(df: DataFrame, path: str, pattern: str, text_col: str = "text", ids_col: str = "ids") -> DataFrame:
     """Add ``ids_col`` (array<int>): the ids of each whole text."""
     keep = [c for c in df.columns if c != ids_col]
+    # A text that is kept anyway is not sent to the worker twice.
+    own = text_col in keep and df.schema[text_col].dataType == T.StringType()
+    at = keep.index(text_col) if own else len(keep)
 
     def run(batches):
         bpe = codec(path, pattern)
         for batch in batches:
-            texts = batch.column(batch.schema.get_field_index("__text")).cast(pa.string())
+            texts = batch.column(at).cast(pa.string())
             sizes = pc.fill_null(pc.binary_length(texts), 0)
             for start, n in _slices(texts, STEP_CHARS, sizes):
                 part = batch.slice(start, n)
                 ids = bpe.encode([x or "" for x in texts.slice(start, n).to_pylist()])
                 yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(keep))), ids], names=[*keep, ids_col])
 
-    source = df.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`").cast("string").alias("__text"))
+    sent = [] if own else [F.col(f"`{text_col}`").cast("string").alias("__text")]
+    source = df.select(*[F.col(f"`{c}`") for c in keep], *sent)
     schema = T.StructType([*(df.schema[c] for c in keep), T.StructField(ids_col, T.ArrayType(T.IntegerType()))])
-    return source.mapInArrow(run, schema)
+    return source.mapInArrow(stepwise(run), schema)
 
 
 def decode(df: DataFrame, path: str, pattern: str, ids_col: str = "ids", bytes_col: str = "decoded") -> DataFrame:
@@ -218,7 +235,7 @@ def decode(df: DataFrame, path: str, pattern: str, ids_col: str = "ids", bytes_c
     keep = [c for c in df.columns if c != bytes_col]
 
     def run(batches):
-        bpe = codec(path, pattern)
+        bpe = pieces(path)
         for batch in batches:
             ids = batch.column(len(keep))
             sizes = pc.fill_null(pc.list_value_length(ids), 0)
@@ -229,7 +246,7 @@ def decode(df: DataFrame, path: str, pattern: str, ids_col: str = "ids", bytes_c
 
     ids = F.coalesce(F.col(f"`{ids_col}`"), F.array().cast("array<int>")).alias("__ids")
     schema = T.StructType([*(df.schema[c] for c in keep), T.StructField(bytes_col, T.BinaryType())])
-    return df.select(*[F.col(f"`{c}`") for c in keep], ids).mapInArrow(run, schema)
+    return df.select(*[F.col(f"`{c}`") for c in keep], ids).mapInArrow(stepwise(run), schema)
 
 
 def digests(df: DataFrame, ids_col: str = "ids", bytes_col: str = "decoded", id_col: str = "doc_id") -> DataFrame:

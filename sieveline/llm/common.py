@@ -6,6 +6,9 @@ is what ``bytes.split()`` cuts out in Python and what :func:`words` does in Cata
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,6 +16,35 @@ from ..store import cut, shared_dir  # noqa: F401
 
 #: ASCII white space beside the blank.
 WHITE = ["\t", "\n", "\x0b", "\x0c", "\r"]
+#: Most rows that an Arrow function gets, and so returns, at once.
+STEP_ROWS = 1_000
+
+
+def release() -> None:
+    """Hand memory that the allocators hold back to the system."""
+    for pool in (pa.default_memory_pool(), pa.system_memory_pool()):
+        pool.release_unused()
+
+
+def stepwise(run: Callable) -> Callable:
+    """An Arrow function that works in small steps and keeps no freed memory.
+
+    Workers stay with their executor between stages, so that what one of them still holds
+    adds to the memory of the stages that follow.
+    """
+
+    def steps(batches):
+        def parts():
+            for batch in batches:
+                for at in range(0, batch.num_rows, STEP_ROWS):
+                    yield batch.slice(at, STEP_ROWS)
+                del batch
+                release()
+
+        yield from run(parts())
+        release()
+
+    return steps
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:

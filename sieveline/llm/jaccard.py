@@ -37,7 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.components import components
-from .common import shared_dir
+from .common import shared_dir, stepwise
 
 SHINGLE_WORDS, PERCENT = 5, 80
 #: Listed shingles of sets that are mostly uncrowded.
@@ -119,7 +119,7 @@ def _merge(batches):
 
 def crowded_levels(texts: DataFrame, width: int = SHINGLE_WORDS) -> np.ndarray:
     """A level for each hash bucket: 0 where its count is ordinary, more the more crowded it is."""
-    rows = texts.mapInArrow(_count(width), "chunk int, counts binary").repartition("chunk").mapInArrow(_merge, "chunk int, counts binary").collect()
+    rows = texts.mapInArrow(stepwise(_count(width)), "chunk int, counts binary").repartition("chunk").mapInArrow(_merge, "chunk int, counts binary").collect()
     total = np.zeros((CHUNKS, BUCKETS // CHUNKS), np.int64)
     for r in rows:  # one row a chunk
         total[r.chunk] = np.frombuffer(r.counts, np.int64)
@@ -286,7 +286,7 @@ def _candidates(live: DataFrame, sets: DataFrame, labels: DataFrame | None, perc
     tiles = F.explode(F.array(F.struct(F.col("band").alias("tile"), F.lit(True).alias("home")), F.struct((F.col("band") - 1).alias("tile"), F.lit(False).alias("home"))))
     rows = rows.withColumn("t", tiles).select("token", F.col("t.tile").alias("tile"), F.col("t.home").alias("home"), "a", "n", "bits", "label", "list")
     rows = rows.repartition("token", "tile").sortWithinPartitions("token", "tile", F.desc("home"), "a")
-    return rows.mapInArrow(_compare(percent, mode), "x long, y long").distinct()
+    return rows.mapInArrow(stepwise(_compare(percent, mode)), "x long, y long").distinct()
 
 
 def _verify(percent):
@@ -305,11 +305,15 @@ def _verify(percent):
 
 
 def _arrays(width):
+    """Arrays of texts whose set's hash is the class's: an id may belong to several texts."""
+
     def run(batches):
         for batch in batches:
             for at in range(0, batch.num_rows, 200):
                 part = batch.slice(at, 200)
-                yield pa.RecordBatch.from_arrays([part.column(0), pa.array([shingle_set(t.as_py(), width).tobytes() for t in part.column(1)], pa.binary())], names=["a", "s"])
+                sets = [shingle_set(t.as_py(), width).tobytes() for t in part.column(1)]
+                good = [xxhash.xxh3_64_intdigest(s) - (1 << 63) == a for a, s in zip(part.column(0).to_pylist(), sets)]
+                yield pa.RecordBatch.from_arrays([part.column(0), pa.array(sets, pa.binary())], names=["a", "s"]).filter(pa.array(good, pa.bool_()))
 
     return run
 
@@ -322,7 +326,7 @@ def _widened(batches):
 def _linked(pairs: DataFrame, arrays: DataFrame, percent: int) -> DataFrame:
     left = arrays.select(F.col("a").alias("x"), F.col("s").alias("sx"))
     right = arrays.select(F.col("a").alias("y"), F.col("s").alias("sy"))
-    return pairs.join(left, "x").join(right, "y").select("x", "y", "sx", "sy").mapInArrow(_verify(percent), "x long, y long")
+    return pairs.join(left, "x").join(right, "y").select("x", "y", "sx", "sy").mapInArrow(stepwise(_verify(percent)), "x long, y long")
 
 
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = SHINGLE_WORDS, percent: int = PERCENT) -> DataFrame:
@@ -336,7 +340,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     levels = crowded_levels(texts.select("text"), width)
-    rows = kept(texts.mapInArrow(_sets(levels, width, percent), "doc_id long, n_shingles long, a long, first array<long>, bits binary, band int"), "sets")
+    rows = kept(texts.mapInArrow(stepwise(_sets(levels, width, percent)), "doc_id long, n_shingles long, a long, first array<long>, bits binary, band int"), "sets")
     sets = rows.filter("first is not null").groupBy("a").agg(F.first("n_shingles").alias("n"), F.first("bits").alias("bits"), F.first("band").alias("band"), F.first("first").alias("list"))
     lists = rows.filter("first is not null").select("a", F.explode("first").alias("token"))
     # A shingle stays if two sets list it, which the smallest and the largest set tell.
@@ -346,11 +350,11 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     nodes = kept(checked.select(F.explode(F.array("x", "y")).alias("a")).distinct(), "nodes")
     # One text of each class that is in a pair.
     heads = rows.filter("first is not null").groupBy("a").agg(F.min("doc_id").alias("doc_id")).join(nodes, "a")
-    keyed = heads.join(texts, "doc_id").select("a", "text").mapInArrow(_arrays(width), "a long, s binary")
-    arrays = kept(_same_key(keyed), "arrays")
+    keyed = heads.join(texts, "doc_id").select("a", "text").mapInArrow(stepwise(_arrays(width)), "a long, s binary")
+    arrays = kept(keyed.dropDuplicates(["a"]), "arrays")
     links = kept(_linked(checked, arrays, percent), "links")
     open_rows = live.join(nodes, "a", "left_semi")
-    wide = kept(arrays.mapInArrow(_widened, "a long, bits binary"), "wide")
+    wide = kept(arrays.mapInArrow(stepwise(_widened), "a long, bits binary"), "wide")
     fine = sets.drop("bits").join(wide, "a")
     for mode, of in (("one", sets), ("all", fine)):
         labels = kept(components(links), f"labels-{mode}")
@@ -363,14 +367,3 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     least = classes.groupBy("label").agg(F.min("low").alias("component_id"))
     named = classes.join(least, "label").select("a", "component_id")
     return rows.join(named, "a", "left").select("doc_id", "n_shingles", F.coalesce("component_id", "doc_id").alias("component_id"))
-
-
-def _same_key(arrays: DataFrame) -> DataFrame:
-    """One array a class whose hash is the class's, for ids that several texts share."""
-
-    def run(batches):
-        for batch in batches:
-            good = [xxhash.xxh3_64_intdigest(s.as_py()) - (1 << 63) == a for a, s in zip(batch.column(0).to_pylist(), batch.column(1))]
-            yield batch.filter(pa.array(good, pa.bool_()))
-
-    return arrays.mapInArrow(run, arrays.schema).dropDuplicates(["a"])

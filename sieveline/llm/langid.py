@@ -21,6 +21,9 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from .common import stepwise
 
 #: Length of the vectors and letters per n-gram.
 DIMENSIONS, N = 1024, 3
@@ -102,7 +105,7 @@ def learn(labelled: DataFrame, text_col: str = "text", lang_col: str = "lang") -
             yield pa.RecordBatch.from_pydict({"lang": [lang] * DIMENSIONS, "d": pa.array(range(DIMENSIONS), pa.int32()), "v": v})
 
     rows = labelled.filter(F.col(lang_col).isNotNull()).select(F.col(text_col).cast("string"), F.col(lang_col).cast("string"))
-    sums = rows.mapInArrow(run, "lang string, d int, v long").groupBy("lang", "d").agg(F.sum("v").alias("v"))
+    sums = rows.mapInArrow(stepwise(run), "lang string, d int, v long").groupBy("lang", "d").agg(F.sum("v").alias("v"))
     model: dict[str, list[int]] = {}
     for r in sums.collect():  # languages x DIMENSIONS rows
         model.setdefault(r.lang, [0] * DIMENSIONS)[r.d] = r.v
@@ -117,6 +120,9 @@ def _unit(m: np.ndarray) -> np.ndarray:
 def identify(df: DataFrame, model: dict[str, list[int]], text_col: str = "text", lang_out: str = "lang_pred", score_out: str = "score") -> DataFrame:
     """Add the predicted language and a score from 0 to 1 (half of one plus the cosine)."""
     keep = [c for c in df.columns if c not in (lang_out, score_out)]
+    # A text that is kept anyway is not sent to the worker twice.
+    own = text_col in keep and df.schema[text_col].dataType == T.StringType()
+    at = keep.index(text_col) if own else len(keep)
     names = list(model)
     vectors = _unit(np.array([model[k] for k in names], np.float64).reshape(len(names), DIMENSIONS))
     shared = _unit(vectors.mean(axis=0, keepdims=True))[0] if len(names) > 1 else np.zeros(DIMENSIONS)
@@ -126,7 +132,7 @@ def identify(df: DataFrame, model: dict[str, list[int]], text_col: str = "text",
         enc = Encoder()
         for batch in batches:
             langs, scores = [], []
-            for text in batch.column(len(keep)):
+            for text in batch.column(at):
                 v = enc.vector(text.as_py()) if names else None
                 if v is None:
                     langs.append("und")
@@ -139,6 +145,7 @@ def identify(df: DataFrame, model: dict[str, list[int]], text_col: str = "text",
                 scores.append(float(min(1.0, max(0.0, (1 + cos[best]) / 2))))
             yield pa.RecordBatch.from_arrays([*(batch.column(i) for i in range(len(keep))), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], names=[*keep, lang_out, score_out])
 
-    source = df.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`").cast("string").alias("__text"))
-    schema = df.select(*[F.col(f"`{c}`") for c in keep]).schema.add(lang_out, "string").add(score_out, "double")
-    return source.mapInArrow(run, schema)
+    kept = df.select(*[F.col(f"`{c}`") for c in keep])
+    source = kept if own else df.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`").cast("string").alias("__text"))
+    schema = T.StructType([*kept.schema.fields, T.StructField(lang_out, T.StringType()), T.StructField(score_out, T.DoubleType())])
+    return source.mapInArrow(stepwise(run), schema)
