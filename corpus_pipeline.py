@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sieveline.llm import bpe, jaccard, langid, mixing, pii
-from sieveline.llm.common import shared_dir
+from sieveline.llm.common import shared_dir, small_batches
 from sieveline.llm.queries import PATTERN, VOCABULARY
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
@@ -25,6 +25,7 @@ MIN_SCORE = 0.5
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in a recognised language, ``lang`` being what was recognised."""
+    small_batches(spark)
     model = langid.learn(docs.filter(~langid.split(F.col("doc_id"))))
     found = langid.identify(docs.select(*COLUMNS), model)
     good = found.filter((F.col("lang_pred") != "und") & (F.col("score") >= MIN_SCORE))
@@ -33,6 +34,7 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The document with the smallest id of each group of near copies."""
+    small_batches(spark)
     groups = jaccard.near_duplicates(docs.select("doc_id", "text"))
     leads = groups.filter(F.col("doc_id").eqNullSafe(F.col("component_id"))).select(F.col("doc_id").alias("lead")).distinct()
     kept = docs.join(leads, docs["doc_id"].eqNullSafe(leads["lead"]), "left_semi")
@@ -54,8 +56,8 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """doc_id, n_tokens and the digests of ids and decoded bytes."""
-    coded = bpe.encode(docs.select("doc_id", "text"), VOCABULARY, PATTERN).select("doc_id", "ids")
-    return bpe.digests(bpe.decode(coded, VOCABULARY, PATTERN))
+    small_batches(spark)
+    return bpe.digests(bpe.round_trip(docs.select("doc_id", "text"), VOCABULARY, PATTERN))
 
 
 STAGES = [

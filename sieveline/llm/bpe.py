@@ -249,6 +249,27 @@ def decode(df: DataFrame, path: str, pattern: str, ids_col: str = "ids", bytes_c
     return df.select(*[F.col(f"`{c}`") for c in keep], ids).mapInArrow(stepwise(run), schema)
 
 
+def round_trip(df: DataFrame, path: str, pattern: str, text_col: str = "text", ids_col: str = "ids", bytes_col: str = "decoded") -> DataFrame:
+    """Ids of each whole text and the bytes that these ids stand for, in one worker; the text itself goes.
+
+    The same as :func:`decode` of :func:`encode`, without a second worker and a way of the ids through the JVM.
+    """
+    keep = [c for c in df.columns if c not in (text_col, ids_col, bytes_col)]
+
+    def run(batches):
+        coder, decoder = codec(path, pattern), pieces(path)
+        for batch in batches:
+            texts = batch.column(len(keep)).cast(pa.string())
+            for start, n in _slices(texts, STEP_CHARS, pc.fill_null(pc.binary_length(texts), 0)):
+                ids = coder.encode([x or "" for x in texts.slice(start, n).to_pylist()])
+                raw = decoder.decode(ids).cast(pa.binary())
+                yield pa.RecordBatch.from_arrays([*(batch.column(i).slice(start, n) for i in range(len(keep))), ids, raw], names=[*keep, ids_col, bytes_col])
+
+    source = df.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{text_col}`").cast("string").alias("__text"))
+    schema = T.StructType([*(df.schema[c] for c in keep), T.StructField(ids_col, T.ArrayType(T.IntegerType())), T.StructField(bytes_col, T.BinaryType())])
+    return source.mapInArrow(stepwise(run), schema)
+
+
 def digests(df: DataFrame, ids_col: str = "ids", bytes_col: str = "decoded", id_col: str = "doc_id") -> DataFrame:
     """doc_id, n_tokens, ids_sha256 and decoded_sha256 of encoded and decoded rows."""
     listed = F.array_join(F.transform(ids_col, lambda x: x.cast("string")), ",")

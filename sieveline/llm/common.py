@@ -26,6 +26,17 @@ def release() -> None:
         pool.release_unused()
 
 
+def small_batches(spark: SparkSession) -> None:
+    """Have the session send batches of at most :data:`STEP_ROWS` rows to Arrow functions.
+
+    Several Arrow stages that follow each other on the same executors otherwise leave
+    buffers of whole default batches behind. A smaller setting of the session stays.
+    """
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= STEP_ROWS:
+        spark.conf.set(key, str(STEP_ROWS))
+
+
 def stepwise(run: Callable) -> Callable:
     """An Arrow function that works in small steps and keeps no freed memory.
 

@@ -56,8 +56,7 @@ def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    coded = bpe.encode(docs, VOCABULARY, PATTERN).select("doc_id", "ids")
-    return bpe.digests(bpe.decode(coded, VOCABULARY, PATTERN))
+    return bpe.digests(bpe.round_trip(docs, VOCABULARY, PATTERN))
 
 
 QUERIES = {

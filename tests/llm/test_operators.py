@@ -282,6 +282,9 @@ def test_bpe(spark, docs, empty):
     out = bpe.decode(bpe.encode(d, VOCABULARY, PATTERN), VOCABULARY, PATTERN).collect()
     for r in out:
         assert r.ids == tokenizer.encode_ordinary(r.text or "") and bytes(r.decoded) == (r.text or "").encode()
+    both = bpe.round_trip(d, VOCABULARY, PATTERN).collect()
+    assert sorted((r.doc_id or 0, r.ids, bytes(r.decoded)) for r in both) == sorted((r.doc_id or 0, r.ids, bytes(r.decoded)) for r in out)
+    assert bpe.round_trip(empty, VOCABULARY, PATTERN).count() == 0
     assert len(out) == d.count() and bpe.decode(bpe.encode(empty, VOCABULARY, PATTERN), VOCABULARY, PATTERN).count() == 0
     r = bpe.digests(bpe.decode(bpe.encode(extra.filter("doc_id = 9"), VOCABULARY, PATTERN), VOCABULARY, PATTERN)).first()
     assert r.ids_sha256 == hashlib.sha256(",".join(map(str, tokenizer.encode_ordinary("a" * 3000))).encode()).hexdigest()
