@@ -14,7 +14,9 @@ class, known by a hash of the set. For the classes:
 3. In a tile, bit counts of the sets' bitmaps bound the overlap from above; a bitmap has
    about a bit a shingle, in the last round four, and is folded to the size of the smaller one.
 4. Pairs that pass are verified by exact intersection of the sorted arrays. First each set
-   with one earlier set of each tile only; then, with components known, with one of another
+   with one earlier set of each tile, and with those before it that have no pair in the tile
+   yet, so that every set that passes with any is in a pair and stays for the later rounds;
+   then, with components known, with one of another
    component; last all pairs that pass between different components, each by the tile of its least shared listed shingle alone.
    No group's pairs are all emitted, no link is lost.
 
@@ -193,9 +195,11 @@ class _Tile:
         self.percent, self.rows = percent, {}
 
     def close(self, mode: str, token: int):
-        """Pairs (x, y) that pass: each set with its first earlier match (``first``), with one
-        earlier match of another label, another in each tile (``one``), or with ``all`` of them."""
+        """Pairs (x, y) that pass: each set with its first earlier match and the earlier ones not yet
+        in a pair (``first``), with one earlier match of another label, another in each tile
+        (``one``), or with ``all`` of them."""
         cross = mode != "first"
+        paired = np.zeros(len(self.rows), bool)
         home = np.array([r[0] for r in self.rows], bool)
         a = np.array([r[1] for r in self.rows], np.int64)
         n = np.array([r[2] for r in self.rows], np.int64)
@@ -213,10 +217,13 @@ class _Tile:
         for w, (own, bits) in maps.items():
             folded = {v: (at, m, _fold(m, min(v, w))) for v, (at, m) in maps.items()}
             for i, row in zip(own.tolist(), bits):
+                matched = False
                 for v, (at, m, f) in folded.items():
                     before = at < i
                     if cross:
                         before &= label[at] != label[i]
+                    elif matched:
+                        before &= ~paired[at]
                     if not home[i]:
                         before &= home[at]
                     before &= (100 * n[at] >= self.percent * n[i]) & (self.percent * n[at] <= 100 * n[i])
@@ -234,10 +241,13 @@ class _Tile:
                         common = np.isin(lists[at[good]], lists[i][: counts[i]]) & (columns < counts[at[good], None])
                         least = np.where(common, lists[at[good]], np.iinfo(np.int64).max).min(axis=1)
                         good = good[least == token]
-                    for j in at[good[:1] if not cross else good].tolist():
+                    elif len(good):
+                        new = ~paired[at[good]]
+                        new[0] |= not matched
+                        good = good[new]
+                        paired[i] = paired[at[good]] = matched = True
+                    for j in at[good].tolist():
                         yield int(a[i]), int(a[j])
-                    if len(good) and not cross:
-                        break
 
 
 def _compare(percent, mode):

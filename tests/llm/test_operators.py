@@ -150,6 +150,30 @@ def test_jaccard(spark, docs, empty, first, monkeypatch):
     assert jaccard.near_duplicates(empty).count() == 0
 
 
+def test_jaccard_stars(spark):
+    """Hubs whose two leaves are linked through them only: both leaves pick the hub, the hub one leaf."""
+    made = []
+    for k in range(150):
+        hub = [f"w{k}x{i}" for i in range(34)]
+        made += [(3 * k, " ".join(hub[:29])), (3 * k + 1, " ".join(hub)), (3 * k + 2, " ".join(hub[-29:]))]
+    got = {r.doc_id: r.component_id for r in jaccard.near_duplicates(spark.createDataFrame(made, "doc_id long, text string")).collect()}
+    assert got == {i: i // 3 * 3 for i in range(450)}
+
+
+@pytest.mark.parametrize("n", [3, 7])
+def test_jaccard_tile_names_every_set_that_passes(n):
+    import numpy as np
+
+    rng = np.random.default_rng(n)
+    hub = np.unique(rng.integers(0, 1 << 63, 240, dtype=np.uint64))
+    leaves = [np.delete(hub, np.arange(30) + 30 * k) for k in range(n)]
+    tile = jaccard._Tile(80)
+    tile.rows = [(True, i, len(s), jaccard.bitmap(s, 16), i, None) for i, s in enumerate([*leaves, hub])]
+    exact = {i for i, s in enumerate(leaves) if len(np.intersect1d(s, hub)) * 100 >= 80 * len(hub)}
+    pairs = list(tile.close("first", 0))
+    assert exact | {n} <= {x for p in pairs for x in p} and len(pairs) <= 2 * n
+
+
 def test_jaccard_bitmaps_bound_from_above():
     rng = random.Random(1)
     import numpy as np
