@@ -52,6 +52,29 @@ def mod97(x: Column) -> Column:
     return F.aggregate(F.sequence(F.lit(1), F.greatest(F.length(moved), F.lit(1))), F.lit(0), step) == 1
 
 
+#: Registered account number lengths by country.
+ACCOUNT_LENGTHS = (
+    "AD24 AE23 AL28 AT20 AZ28 BA20 BE16 BG22 BH22 BI27 BR29 BY28 CH21 CR22 CY28 CZ24 DE22 DJ27 DK18 DO28 EE20 EG29 ES24 FI18 FK18 FO18 "
+    "FR27 GB22 GE22 GI23 GL18 GR27 GT28 HR21 HU28 IE22 IL23 IQ23 IS26 IT27 JO30 KW30 KZ20 LB28 LC32 LI21 LT20 LU20 LV21 LY25 MC27 MD24 "
+    "ME22 MK19 MN20 MR27 MT31 MU30 NI28 NL18 NO15 OM23 PK24 PL28 PS29 PT25 QA29 RO24 RS22 RU33 SA24 SC31 SD18 SE24 SI19 SK24 SM27 SO23 "
+    "ST25 SV28 TL23 TN24 TR26 UA29 VA22 VG24 XK20 YE30"
+)
+
+
+def account(x: Column) -> Column:
+    """Length of the account number that x starts with, 0 for none.
+
+    Every end of a group of 15 to 34 letters and digits so far is tried by mod 97; of those that
+    pass, the one of the country's registered length counts, else the longest.
+    """
+    parts = F.split(x, " ")
+    heads = F.transform(F.sequence(F.lit(1), F.size(parts)), lambda k: F.array_join(F.slice(parts, F.lit(1), k), " "))
+    bare = lambda h: F.length(F.replace(h, F.lit(" "), F.lit("")))
+    good = F.filter(heads, lambda h: F.when(h.rlike("^[A-Z0-9 ]+$") & bare(h).between(15, 34), mod97(h)).otherwise(False))
+    ends = F.transform(good, lambda h: F.struct(F.contains(F.lit(ACCOUNT_LENGTHS), F.concat(F.substring(h, 1, 2), bare(h).cast("string"))).alias("known"), F.length(h).alias("n")))
+    return F.coalesce(F.array_max(ends)["n"], F.lit(0))
+
+
 def octets(x: Column) -> Column:
     def small(part):
         bare = F.ltrim(part, F.lit("0"))
@@ -73,6 +96,9 @@ class Kind:
     valid: Callable[[Column], Column]
     words: tuple[str, ...] = field(default=())
     base: bool = True
+    #: Length of the span that starts a proposed string, 0 for none. The pattern then consumes a
+    #: character and proposes by its group 1, so that proposals may overlap.
+    cut: Callable[[Column], Column] | None = None
 
 
 BASE = (
@@ -83,7 +109,7 @@ BASE = (
 )
 #: Kinds that the method adds to the base ones.
 ADDED = (
-    Kind("iban", r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}+(?![A-Za-z0-9])", r"[A-Z]{2}[0-9]{2}", mod97, ("iban", "account", "bank"), False),
+    Kind("iban", r"(?<![A-Za-z0-9])(?=([A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}+[A-Za-z0-9]?))[A-Z]", r"[A-Z]{2}[0-9]{2}", lambda x: account(x) > 0, ("iban", "account", "bank"), False, account),
     Kind("local_phone", r"\([0-9]{3}\) [0-9]{3}-[0-9]{4}(?![0-9])", r"\([0-9]{3}\)", lambda x: F.lit(True), ("phone", "call", "tel"), False),
 )
 KINDS = BASE + ADDED
@@ -103,10 +129,16 @@ def _running(lengths: Column, block: int = 64) -> Column:
 def _spans(kind: Kind, text: Column, matches: Column, pieces: Column) -> Column:
     """Valid spans from the matches and the pieces of text between them."""
     # Piece i and match i alternate; the start of match i is all before it.
-    rows = F.zip_with(pieces, matches, lambda p, m: F.struct(F.length(p).alias("gap"), F.coalesce(F.length(m), F.lit(0)).alias("len"), m.alias("m")))
+    size = lambda m: F.lit(1) if kind.cut else F.length(m)
+    rows = F.zip_with(pieces, matches, lambda p, m: F.struct(F.length(p).alias("gap"), F.when(m.isNotNull(), size(m)).otherwise(0).alias("len"), m.alias("m")))
     before = _running(F.transform(rows, lambda r: r["gap"] + r["len"]))
     placed = F.zip_with(rows, before, lambda r, b: F.struct(r["m"].alias("m"), (b + r["gap"]).alias("start"), (b + r["gap"] + r["len"]).alias("end")))
     good = F.filter(placed, lambda r: F.when(r["m"].isNotNull(), kind.valid(r["m"])).otherwise(False))
+    if kind.cut:
+        good = F.transform(good, lambda r: F.struct(r["start"].alias("start"), (r["start"] + kind.cut(r["m"])).alias("end")))
+        # Of spans that overlap the first stays.
+        none = F.array().cast("array<struct<start:int,end:int>>")
+        good = F.aggregate(good, none, lambda acc, r: F.when((F.size(acc) > 0) & (r["start"] < F.coalesce(F.get(acc, F.size(acc) - 1)["end"], F.lit(0))), acc).otherwise(F.concat(acc, F.array(r))))
 
     def scored(r):
         left = F.greatest(r["start"] - CONTEXT, F.lit(0))
@@ -129,7 +161,7 @@ def find(df: DataFrame, text_col: str = "text", kinds: tuple[Kind, ...] = KINDS,
     texts, found = F.col("__t"), []
     for k in kinds:
         needed = F.contains(texts, F.lit(k.needs)) if len(k.needs) == 1 else texts.rlike(k.needs)
-        out = out.withColumn(f"__m_{k.name}", F.when(needed, F.regexp_extract_all(texts, F.lit(k.pattern), F.lit(0))))
+        out = out.withColumn(f"__m_{k.name}", F.when(needed, F.regexp_extract_all(texts, F.lit(k.pattern), F.lit(1 if k.cut else 0))))
     for k in kinds:
         matches = F.col(f"__m_{k.name}")
         some = F.exists(matches, k.valid)

@@ -271,6 +271,32 @@ def test_personal_data(spark, docs, empty):
     assert "Python" not in found._jdf.queryExecution().executedPlan().toString()
 
 
+def test_account_numbers_before_capitals_and_digits(spark):
+    def mod97(x):
+        return int("".join(str(int(c, 36)) for c in x[4:] + x[:4])) % 97 == 1
+
+    de, gb = "DE89 3704 0044 0532 0130 00", "GB82 WEST 1234 5698 7654 32"
+    bare = "ZZ00ABCDEFGHIJKLMN"
+    free = next(x for k in range(100) if mod97(x := f"ZZ{k:02d}{bare[4:]}"))  # a country without a registered length
+    texts = [
+        (f"IBAN {de.replace(' ', '')} BIC COBADEFFXXX", [de.replace(" ", "")]),
+        (f"{gb} Please", [gb]),
+        (f"{de} TO ME", [de]),
+        (f"é {de} 17 PAID 4 TIMES", [de]),
+        (f"{de} {gb} NL91 ABNA 0417 1643 00 A", [de, gb, "NL91 ABNA 0417 1643 00"]),
+        (f"AB12 {de} X", [de]),
+        (f"{free} x", [free]),
+        (f"{de}7 {de}A x{de} {gb}x", []),
+        ("DE88 3704 0044 0532 0130 00, DE89 3704", []),
+    ]
+    rows = [(i, t) for i, (t, _) in enumerate(texts)]
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: [r.text[s.start : s.end] for s in r.spans if s.kind == "iban"] for r in pii.find(d).collect()}
+    assert got == {i: x for i, (_, x) in enumerate(texts)}
+    clean = {r.doc_id: r.text for r in pii.redact(d, kinds=pii.ADDED).collect()}
+    assert clean[0] == "IBAN [IBAN] BIC COBADEFFXXX" and clean[4] == "[IBAN] [IBAN] [IBAN] A"
+
+
 def test_warc(spark, sf):
     pages = spark.read.parquet(f"{sf}/pages.parquet")
     big = "x" * 150
