@@ -3,7 +3,8 @@
 Each page becomes a tree of its block elements (:func:`parse`). The pages of a host are
 aligned with a reference page of that host by simple tree matching (:func:`align`), a
 large order-preserving match of equal labels from the root down: siblings at both ends pair
-off where labels are equal, and a table over what lies between finds the largest match. A block of
+off where labels are equal, and a table over what lies between finds the largest match. The
+pages of each layout of a host (:func:`layout`) have a reference of their own besides. A block of
 the reference whose text is the same on all pages aligned with it, over at least
 :data:`MIN_PAGES` pages that are not copies of each other, is template; slots whose text
 varies are content. What is left inside the article (else the main element, else the body) and outside
@@ -24,10 +25,12 @@ include no-break spaces.
 from __future__ import annotations
 
 import marshal
+import math
 import re
 import uuid
 from html import unescape
 
+import numpy as np
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
@@ -37,8 +40,12 @@ from .common import shared_dir
 
 #: Different pages of a host on which a constant block counts as template.
 MIN_PAGES = 5
-#: Most cells of one alignment table; longer child lists are paired from both ends.
+#: Most cells of an alignment table that is kept whole; of larger ones some rows are kept and the others computed again.
 MAX_CELLS = 40_000
+#: Depth to which the elements with children make up a page's layout.
+LAYOUT_DEPTH = 3
+#: Parts of a host that meet its reference in tasks of their own.
+PARTS = 16
 
 # Element names of the public HTML standard.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
@@ -183,59 +190,125 @@ def skeleton(html: str | None) -> tuple:
     return shrink(root)
 
 
-def align(a: tuple, b: tuple) -> list[tuple[tuple, tuple]]:
-    """Matched leaf pairs of a top-down, order-preserving match of two skeletons."""
-    return _match(a, b, {})[1] if a[0] == b[0] else []
-
-
-def _match(a: tuple, b: tuple, memo: dict) -> tuple[int, list]:
-    """(matched nodes, matched leaves) of two nodes with equal labels."""
-    key = (id(a), id(b))
-    if key in memo:
-        return memo[key]
-    xs, ys = a[1], b[1]
-    if not xs and not ys:
-        memo[key] = (1, [(a, b)])
-        return memo[key]
-    size, pairs = 1, []
-    labels = [x[0] for x in xs], [y[0] for y in ys]
-    # Siblings with equal labels at both ends pair off, and runs of a single label in order.
-    start, most = 0, min(len(xs), len(ys))
-    while start < most and labels[0][start] == labels[1][start]:
-        start += 1
-    chosen, end = list(zip(xs[:start], ys[:start])), 0
-    while end < most - start and labels[0][-1 - end] == labels[1][-1 - end]:
-        end += 1
-    chosen += zip(xs[len(xs) - end :], ys[len(ys) - end :])
-    xs, ys = xs[start : len(xs) - end], ys[start : len(ys) - end]
-    if len(xs) * len(ys) > MAX_CELLS or len({x[0] for x in (*xs, *ys)}) == 1:
-        chosen += [(x, y) for x, y in zip(xs, ys) if x[0] == y[0]]
-    elif xs and ys:
+class _Shapes:
+    """Trees by their labels alone; equal shapes have one number, so that a pair of shapes is matched once."""
+
+    def __init__(self):
+        self.numbers: dict[tuple, int] = {}
+        self.all: list[tuple] = []
+        self.memo: dict[tuple[int, int], tuple[int, list]] = {}
+
+    def number(self, tree: tuple, of: dict) -> int:
+        """The number of a tree's shape; ``of`` takes those of all its nodes by identity."""
+        shape = (tree[0], tuple(self.number(k, of) for k in tree[1]))
+        if shape not in self.numbers:
+            self.numbers[shape] = len(self.all)
+            self.all.append(shape)
+        of[id(tree)] = self.numbers[shape]
+        return of[id(tree)]
+
+    def match(self, a: int, b: int) -> tuple[int, list]:
+        """(matched nodes, places of the matched children) of two shapes with equal labels."""
+        if (a, b) in self.memo:
+            return self.memo[a, b]
+        xs, ys = self.all[a][1], self.all[b][1]
+        labels = [self.all[x][0] for x in xs], [self.all[y][0] for y in ys]
+        # Siblings with equal labels at both ends pair off, and runs of a single label in order.
+        start, end, most = 0, 0, min(len(xs), len(ys))
+        while start < most and labels[0][start] == labels[1][start]:
+            start += 1
+        while end < most - start and labels[0][-1 - end] == labels[1][-1 - end]:
+            end += 1
+        places = [(i, i) for i in range(start)] + [(len(xs) - k, len(ys) - k) for k in range(1, end + 1)]
+        m, n = len(xs) - end - start, len(ys) - end - start
+        if m and n:
+            if len({*labels[0][start : start + m], *labels[1][start : start + n]}) == 1:
+                places += [(start + i, start + i) for i in range(min(m, n))]
+            else:
+                places += [(start + i, start + j) for i, j in self._table(xs[start : start + m], ys[start : start + n])]
+        self.memo[a, b] = (1 + sum(self.match(xs[i], ys[j])[0] for i, j in places), places)
+        return self.memo[a, b]
+
+    def _table(self, xs: tuple, ys: tuple) -> list[tuple[int, int]]:
+        """The pairs of the largest order-preserving match of two lists of shapes."""
         m, n = len(xs), len(ys)
-        best = [[0] * (n + 1) for _ in range(m + 1)]
-        for i in range(m - 1, -1, -1):
-            row, below, x = best[i], best[i + 1], xs[i]
+        kinds = sorted(set(ys))
+        at = {y: k for k, y in enumerate(kinds)}
+        column = np.array([at[y] for y in ys])
+        gains: dict[int, list] = {}
+
+        def gain(x):
+            """Nodes that x matches with each of ys, 0 where labels differ."""
+            if x not in gains:
+                by_kind = [self.match(x, y)[0] if self.all[x][0] == self.all[y][0] else 0 for y in kinds]
+                gains[x] = np.array(by_kind, np.int64)[column] if n >= 64 else [by_kind[k] for k in column]
+            return gains[x]
+
+        def row(x, below):
+            g = gain(x)
+            if n >= 64:
+                top = np.where(g > 0, np.maximum(below[:-1], below[1:] + g), below[:-1])
+                return np.append(np.maximum.accumulate(top[::-1])[::-1], 0)
+            out = [0] * (n + 1)
             for j in range(n - 1, -1, -1):
-                most = below[j] if below[j] >= row[j + 1] else row[j + 1]
-                if x[0] == ys[j][0]:
-                    both = below[j + 1] + _match(x, ys[j], memo)[0]
-                    most = both if both > most else most
-                row[j] = most
+                out[j] = max(below[j], out[j + 1], below[j + 1] + g[j] if g[j] else 0)
+            return out
+
+        step = 1 if m * n <= MAX_CELLS else math.isqrt(m) + 1
+        rows = {m: np.zeros(n + 1, np.int64) if n >= 64 else [0] * (n + 1)}
+        below = rows[m]
+        for i in range(m - 1, -1, -1):
+            below = row(xs[i], below)
+            if i % step == 0:
+                rows[i] = below
         i = j = 0
+        pairs = []
         while i < m and j < n:
-            if xs[i][0] == ys[j][0] and best[i][j] == best[i + 1][j + 1] + _match(xs[i], ys[j], memo)[0]:
-                chosen.append((xs[i], ys[j]))
+            if i + 1 not in rows:
+                # The rows up to the next one kept, from it.
+                for k in range(min(m, (i // step + 1) * step) - 1, i, -1):
+                    rows[k] = row(xs[k], rows[k + 1])
+            here, under, g = rows[i][j], rows[i + 1], gain(xs[i])[j]
+            if g and here == under[j + 1] + g:
+                pairs.append((i, j))
                 i, j = i + 1, j + 1
-            elif best[i][j] == best[i + 1][j]:
+                rows.pop(i - 1)
+            elif here == under[j]:
                 i += 1
+                rows.pop(i - 1)
             else:
                 j += 1
-    for x, y in chosen:
-        s, p = _match(x, y, memo)
-        size += s
-        pairs += p
-    memo[key] = (size, pairs)
-    return memo[key]
+        return pairs
+
+
+def align(a: tuple, b: tuple) -> list[tuple[tuple, tuple]]:
+    """Matched leaf pairs of a top-down, order-preserving match of two skeletons."""
+    if a[0] != b[0]:
+        return []
+    shapes, of, leaves = _Shapes(), {}, []
+    shapes.number(a, of)
+    shapes.number(b, of)
+    todo = [(a, b)]
+    while todo:
+        x, y = todo.pop()
+        if not x[1] and not y[1]:
+            leaves.append((x, y))
+        todo += [(x[1][i], y[1][j]) for i, j in shapes.match(of[id(x)], of[id(y)])[1]]
+    return leaves
+
+
+def layout(tree: tuple, depth: int = LAYOUT_DEPTH) -> int:
+    """A hash of the paths of labels to elements with children, down to a depth."""
+    paths: set[tuple] = set()
+
+    def walk(node, path):
+        if node[1] and len(path) < depth:
+            paths.add((*path, node[0]))
+            for k in node[1]:
+                walk(k, (*path, node[0]))
+
+    walk(tree, ())
+    return xxhash.xxh64_intdigest(repr(sorted(paths))) >> 1
 
 
 class _References:
@@ -258,7 +331,7 @@ def _skeletons(batches):
             part = batch.slice(at, 500)
             trees = [skeleton(x.as_py()) for x in part.column(2)]
             hashes = [xxhash.xxh64_intdigest(repr([y for y in _texts(t)])) >> 1 for t in trees]
-            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array([marshal.dumps(t) for t in trees], pa.binary()), pa.array(hashes, pa.int64())], names=["key", "host", "tree", "page"])
+            yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array([marshal.dumps(t) for t in trees], pa.binary()), pa.array(hashes, pa.int64()), pa.array([layout(t) for t in trees], pa.int64())], names=["key", "host", "tree", "page", "layout"])
 
 
 def _texts(tree: tuple):
@@ -310,11 +383,23 @@ def _drops(batches):
         yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(drops, pa.list_(pa.int32()))], names=["key", "drops"])
 
 
+def grouped(trees: DataFrame) -> DataFrame:
+    """Each skeleton twice: with all of its host (null layout) and with those of its layout there."""
+    return trees.withColumn("layout", F.explode(F.array(F.lit(None).cast("long"), F.col("layout")))).withColumn("host", F.concat_ws("|", F.coalesce(F.col("layout").cast("string"), F.lit("")), "host")).drop("layout")
+
+
+def _beside(trees: DataFrame, small: DataFrame) -> DataFrame:
+    """Join skeletons with one row a host, a large host's over many tasks."""
+    dealt = trees.withColumn("part", F.pmod("key", F.lit(PARTS)).cast("int"))
+    return dealt.join(small.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1)))), ["host", "part"])
+
+
 def induce(trees: DataFrame) -> DataFrame:
     """Template blocks of each host: (host, ref, nodes) from skeletons (key, host, tree, page)."""
     refs = trees.groupBy("host").agg(F.min_by("tree", F.struct("page", "key")).alias("ref"), F.count(F.lit(1)).alias("n")).filter(F.col("n") >= MIN_PAGES).select("host", "ref")
-    votes = trees.join(refs, "host").select("host", "tree", "page", "ref").mapInArrow(_votes, "host string, node int, text long, page long")
-    tally = votes.groupBy("host", "node").agg(F.min("text").alias("a"), F.max("text").alias("b"), F.approx_count_distinct("page").alias("pages"))
+    votes = _beside(trees, refs).select("host", "tree", "page", "ref").mapInArrow(_votes, "host string, node int, text long, page long")
+    by_page = votes.groupBy("host", "node", "page").agg(F.min("text").alias("a"), F.max("text").alias("b"))
+    tally = by_page.groupBy("host", "node").agg(F.min("a").alias("a"), F.max("b").alias("b"), F.count(F.lit(1)).alias("pages"))
     constant = tally.filter((F.col("a") == F.col("b")) & (F.col("pages") >= MIN_PAGES))
     return constant.groupBy("host").agg(F.sort_array(F.collect_list("node")).alias("nodes")).join(refs, "host").select("host", "ref", "nodes")
 
@@ -328,11 +413,12 @@ def extract(pages: DataFrame, html_col: str = "html", url_col: str = "url", text
     keyed = keyed.withColumn("__key", F.xxhash64("__host", "__html"))
     folder = f"{shared_dir(spark)}/skeletons-{uuid.uuid4().hex}"
     source = keyed.select(F.col("__key").alias("key"), F.col("__host").alias("host"), F.col("__html").alias("html"))
-    source.mapInArrow(_skeletons, "key long, host string, tree binary, page long").write.parquet(f"{folder}/trees")
-    trees = spark.read.schema("key long, host string, tree binary, page long").parquet(f"{folder}/trees")
-    induce(trees).write.parquet(f"{folder}/wrappers")
+    source.mapInArrow(_skeletons, "key long, host string, tree binary, page long, layout long").write.parquet(f"{folder}/trees")
+    trees = spark.read.schema("key long, host string, tree binary, page long, layout long").parquet(f"{folder}/trees")
+    induce(grouped(trees)).write.parquet(f"{folder}/wrappers")
     wrappers = spark.read.schema("host string, ref binary, nodes array<int>").parquet(f"{folder}/wrappers")
-    drops = trees.dropDuplicates(["key"]).join(wrappers, "host").select("key", "tree", "ref", "nodes").mapInArrow(_drops, "key long, drops array<int>")
+    drops = _beside(grouped(trees.dropDuplicates(["key"])), wrappers).select("key", "tree", "ref", "nodes").mapInArrow(_drops, "key long, drops array<int>")
+    drops = drops.groupBy("key").agg(F.array_distinct(F.flatten(F.collect_list("drops"))).alias("drops"))
     drops.write.parquet(f"{folder}/drops")
     drops = spark.read.schema("key long, drops array<int>").parquet(f"{folder}/drops")
 

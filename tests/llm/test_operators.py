@@ -244,6 +244,33 @@ def test_tree_matching():
     assert sorted((x[0], y[0]) for x, y in html.align(a, b)) == [("e", "e"), ("f", "f")]
 
 
+def test_tree_matching_of_long_lists(monkeypatch):
+    rng = random.Random(4)
+    kids = [(f"l{rng.randrange(7)}", (), i, i) for i in range(300)]
+    a = ("body", (("x", (), -1, -1), *kids, ("y", (), -1, -1)), 0, -1)
+    b = ("body", (("n", (), -2, -1), *kids[:150], ("n", (), -3, -1), *kids[150:], ("z", (), -2, -1)), 0, -1)
+    pairs = html.align(a, b)
+    assert {x[2] for x, y in pairs if x[2] == y[2]} == set(range(300))
+    node = lambda d: (rng.choice("abc"), tuple(node(d - 1) for _ in range(rng.randrange(9) if d else 0)), 0, -1)
+    for _ in range(60):
+        a, b = (("r", (node(2), node(2), *(node(1) for _ in range(rng.randrange(80)))), 0, -1) for _ in range(2))
+        whole = html.align(a, b)
+        monkeypatch.setattr(html, "MAX_CELLS", 3)
+        assert [(id(x), id(y)) for x, y in html.align(a, b)] == [(id(x), id(y)) for x, y in whole]
+        monkeypatch.undo()
+
+
+def test_html_layouts_of_a_host(spark):
+    page = {
+        0: "<body><div><p>Topic {0}</p><p>Body {0}</p></div></body>",
+        1: "<body><section><ul><li>Fixed words of a layout</li></ul><h1>Head {0}</h1></section></body>",
+        2: "<body><table><tr><td>Fixed cells</td></tr></table><dl><dd>Value {0}</dd></dl></body>",
+    }
+    made = [(i, f"http://a.b/{i}", page[i % 3].format(i)) for i in range(24)]
+    got = {r.page_id: r.text for r in html.extract(spark.createDataFrame(made, "page_id long, url string, html string")).collect()}
+    assert got == {i: {0: f"Topic {i} Body {i}", 1: f"Head {i}", 2: f"Value {i}"}[i % 3] for i in range(24)}
+
+
 def test_personal_data(spark, docs, empty):
     patterns = {"email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", "ip": r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", "card": r"[0-9]([\x20-]?[0-9])+", "phone": r"\+[0-9][\x20().0-9-]+[0-9]"}
 
