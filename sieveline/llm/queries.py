@@ -2,11 +2,14 @@
 
 from __future__ import annotations
 
+from functools import partial
+
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, html, jaccard, langid, mixing, pii, quality, suffixes, warc
+from . import bpe, chroma, html, jaccard, langid, mixing, pii, quality, suffixes, warc
+from ..store import stored
 from .common import table
 
 VOCABULARY = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
@@ -45,6 +48,22 @@ def op6_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pages.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
 
 
+def op7_chroma(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fingerprints of a recording of each vector; every 20th id's second take is aligned with all recordings.
+
+    The tables hold no audio, so a vector is played as a tune; a second take is an excerpt of it
+    with noise, off the grid of frames.
+    """
+    vectors = table(spark, sf_dir, "embeddings").select("vec_id", "embedding")
+    prints = stored(chroma.fingerprint(vectors, "embedding", chroma.tune).drop("embedding"), "prints")
+    asked = vectors.filter(F.col("vec_id") % 20 == 0)
+    takes = chroma.fingerprint(asked, "embedding", partial(chroma.tune, first=12, last=52, noise=0.02, lead=200))
+    best = chroma.search(prints, takes, "vec_id").select("query", "n_matches", F.col("id").alias("match_id"), "offset", "votes", "overlap", "bit_errors")
+    codes = F.array_join(F.transform("codes", lambda c: F.lower(F.lpad(F.hex(c.cast("long").bitwiseAND(0xFFFFFFFF)), 8, "0"))), "")
+    rows = prints.select("vec_id", "n_frames", F.size("codes").cast("long").alias("n_codes"), F.sha2(codes.cast("binary"), 256).alias("codes_sha256"))
+    return rows.join(best, F.col("vec_id") == F.col("query"), "left").drop("query")
+
+
 def op8_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pii.digests(pii.find(table(spark, sf_dir, "documents").select("doc_id", "text")))
 
@@ -61,7 +80,7 @@ def op10_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES = {
     f.__name__: f
-    for f in (op1_suffix_dedup, op2_quality_rules, op3_language_id, op4_ngram_jaccard, op5_mix_sources, op6_html_text, op8_personal_data, op9_warc, op10_byte_bpe)
+    for f in (op1_suffix_dedup, op2_quality_rules, op3_language_id, op4_ngram_jaccard, op5_mix_sources, op6_html_text, op7_chroma, op8_personal_data, op9_warc, op10_byte_bpe)
 }
 _WORDS = r"list_filter(string_split_regex(coalesce(text, ''), '[\x20\x09-\x0D]+'), lambda w: w <> '')"
 _STOPS = ", ".join(f"'{w}'" for w in sorted(set(" ".join(quality.STOP_WORDS.values()).split())))
