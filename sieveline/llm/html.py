@@ -7,8 +7,14 @@ off where labels are equal, and a table over what lies between finds the largest
 pages of each layout of a host (:func:`layout`) have a reference of their own besides. A block of
 the reference whose text is the same on all pages aligned with it, over at least
 :data:`MIN_PAGES` pages that are not copies of each other, is template; slots whose text
-varies are content. What is left inside the article (else the main element, else the body) and outside
-elements that mark themselves as boilerplate is the page's text.
+varies are content. What is left inside the main element and articles (else the body) and outside
+elements that mark themselves as boilerplate is the page's text. A class or id marks an element by
+one of its whole tokens, without the words for a container at the token's end: ``share-buttons`` and
+``site-footer`` do, ``share-price`` and ``search-results`` do not.
+
+Trees are flat lists in preorder, walked without recursion, and the scanner looks for the
+end of a tag at most once past the last one, so that neither deep nesting nor unclosed tags
+cost more than a page's length.
 
 Only skeletons travel (labels and hashes of text, some hundred bytes a page), never
 markup: they are joined with the reference of their host, votes are combined before the
@@ -28,6 +34,9 @@ import marshal
 import math
 import re
 import uuid
+from collections import Counter
+from collections.abc import Generator, Iterator
+from functools import lru_cache
 from html import unescape
 
 import numpy as np
@@ -56,18 +65,36 @@ CLOSES = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td
 #: Words in class, id or role that mark an element as boilerplate.
 MARKS = frozenset("ad ads advert adverts advertisement advertising sponsor sponsored promo sidebar menu nav navbar navigation breadcrumb breadcrumbs footer masthead banner cookie cookies consent notice alert popup modal newsletter subscribe comment comments respond replies disqus share sharing social related widget pagination complementary contentinfo search".split())
 
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>|<[!?][^>]*>", re.S)
+#: Words that name a container at the end of a class.
+CONTAINERS = frozenset("area bar block box button buttons container content form group inner item items link links list outer panel row section slot thread title top unit wrap wrapper".split())
+
+TAG = re.compile(r"(/?)([a-zA-Z][^\s/>]*)")
+PLAIN = re.compile(r"[^>\"']*+")
 MARKING = re.compile(r"\b(class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))|\b(hidden)\b", re.I)
-WORD = re.compile(r"[A-Za-z]+")
+PART = re.compile(r"[a-z]+|[^a-z]+")
 
 
 class Node:
-    """A block element: label, children (nodes), blocks of text directly inside and whether it is boilerplate."""
+    """A block element: label, children, and what it is in or is itself: boilerplate, the main part."""
 
-    __slots__ = ("label", "tag", "kids", "skip")
+    __slots__ = ("label", "tag", "kids", "skip", "off", "main")
 
-    def __init__(self, tag: str, label: str, skip: bool):
+    def __init__(self, tag: str, label: str, skip: bool, around: Node | None = None):
         self.tag, self.label, self.skip, self.kids = tag, label, skip, []
+        self.off = skip or (around is not None and around.off)
+        self.main = tag in ("article", "main") or (around is not None and around.main)
+
+
+@lru_cache(1 << 14)
+def _marked(value: str) -> bool:
+    """Whether a class, id or role names boilerplate by one of its tokens."""
+    for token in value.split():
+        parts = [x for x in PART.findall(token) if x.isalpha()]
+        while len(parts) > 1 and parts[-1] in CONTAINERS:
+            parts.pop()
+        if parts and parts[-1] in MARKS:
+            return True
+    return False
 
 
 def _attributes(attrs: str) -> tuple[str, bool]:
@@ -78,15 +105,56 @@ def _attributes(attrs: str) -> tuple[str, bool]:
             skip = True
         elif name.lower() != "id":
             label += "." + value
-        if value and any(w in MARKS for w in WORD.findall(value.lower())):
-            skip = True
+        skip = skip or bool(value) and _marked(value.lower())
     return label, skip
 
 
-def parse(html: str) -> tuple[Node, list[tuple[Node, list[Node], str]]]:
-    """The block tree and its text blocks in page order: leaf, elements around it, text."""
+def scan(html: str) -> Iterator[tuple[str, str, str, str, int]]:
+    """(text before, "/" of an end tag, tag name, attributes, place after it) of each tag; last the
+    text that is left with an empty name. Comments and declarations have an empty name too.
+
+    An element whose text is raw is left by sending the place where to go on.
+    """
+    at, n = 0, len(html)
+    start, tag_ends, quoted = 0, html.rfind(">"), True
+    while True:
+        lt = html.find("<", at)
+        if lt < 0:
+            break
+        if html.startswith("<!--", lt):
+            end = html.find("-->", lt + 4)
+            after = n if end < 0 else end + 3
+            jump = yield html[start:lt], "", "", "", after
+        elif lt > tag_ends:
+            break  # no tag ends from here on: the rest is text
+        elif html.startswith(("<!", "<?"), lt):
+            after = html.find(">", lt) + 1
+            jump = yield html[start:lt], "", "", "", after
+        elif m := TAG.match(html, lt + 1):
+            end = m.end()
+            while quoted:
+                end = PLAIN.match(html, end).end()
+                if end < n and html[end] == ">":
+                    break
+                end = html.find(html[end], end + 1) + 1 if end < n else 0
+                if not end:  # a quote stays open up to the page's end: quotes count no longer
+                    quoted = False
+            if not quoted:
+                end = html.find(">", m.end())
+            after = end + 1
+            jump = yield html[start:lt], m[1], m[2].lower(), html[m.end() : end], after
+        else:
+            at = lt + 1
+            continue
+        start = at = after if jump is None else jump
+    yield html[start:], "", "", "", n
+
+
+def parse(html: str) -> tuple[Node, list[tuple[Node, Node, str]]]:
+    """The block tree and its text blocks in page order: leaf, element around it, text."""
     root = Node("#", "#", False)
-    stack, blocks, at = [root], [], 0
+    stack, blocks = [root], []
+    opened: Counter = Counter()
     current: list[str] = []
 
     def flush():
@@ -95,37 +163,40 @@ def parse(html: str) -> tuple[Node, list[tuple[Node, list[Node], str]]]:
             if text:
                 leaf = Node("#text", "#text", False)
                 stack[-1].kids.append(leaf)
-                blocks.append((leaf, list(stack), text))
+                blocks.append((leaf, stack[-1], text))
             current.clear()
 
+    def pop(to):
+        for x in stack[to:]:
+            opened[x.tag] -= 1
+        del stack[to:]
+
     def shut(tag):
-        for i in range(len(stack) - 1, 0, -1):
-            if stack[i].tag == tag:
-                flush()
-                del stack[i:]
-                return
+        if opened[tag]:
+            flush()
+            pop(next(i for i in range(len(stack) - 1, 0, -1) if stack[i].tag == tag))
 
-    n = len(html)
-    while at < n:
-        m = TOKEN.search(html, at)
-        text = html[at : m.start()] if m else html[at:]
+    def push(node):
+        stack[-1].kids.append(node)
+        stack.append(node)
+        opened[node.tag] += 1
+
+    n, tags, skip_to = len(html), scan(html), None
+    while True:
+        try:
+            text, end_tag, tag, attrs, after = tags.send(skip_to)
+        except StopIteration:
+            break
+        skip_to = None
         if text:
             current.append(unescape(text))
-        if not m:
-            break
-        at = m.end()
-        tag = m[2]
         if not tag:
             continue
-        tag = tag.lower()
-        if m[1]:
+        if end_tag:
             if tag in ("p", "br"):
                 flush()
-            if tag in INLINE and not any(x.tag == tag for x in stack):
-                continue
             shut(tag)
             continue
-        attrs = m[3]
         if tag in INLINE:
             if not attrs:
                 continue
@@ -133,61 +204,76 @@ def parse(html: str) -> tuple[Node, list[tuple[Node, list[Node], str]]]:
             if not skip:
                 continue
             flush()
-            stack.append(Node(tag, tag + label, True))
+            push(Node(tag, tag + label, True, stack[-1]))
             continue
         if tag in VOID:
             if tag in ("br", "hr"):
                 flush()
             continue
         if tag in RAW:
-            end = re.compile(rf"</{tag}\s*>", re.I).search(html, at)
-            at = end.end() if end else n
+            end = re.compile(rf"</{tag}\s*>", re.I).search(html, after)
+            skip_to = end.end() if end else n
             if tag != "xmp":
                 flush()
                 continue
         flush()
         if tag == "body":
-            for x in ("head",):
-                shut(x)
-        for i in range(len(stack) - 1, 0, -1):
-            t = stack[i].tag
-            if t == "p" or t in CLOSES.get(tag, ()):
-                del stack[i:]
-            elif t in ("ul", "ol", "table", "dl", "div", "article", "section", "body"):
-                break
+            shut("head")
+        closes = CLOSES.get(tag, ())
+        if opened["p"] or any(opened[x] for x in closes):
+            for i in range(len(stack) - 1, 0, -1):
+                t = stack[i].tag
+                if t == "p" or t in closes:
+                    pop(i)
+                elif t in ("ul", "ol", "table", "dl", "div", "article", "section", "body"):
+                    break
         label, skip = _attributes(attrs) if attrs else ("", False)
-        inside = any(x.tag in ("article", "main") for x in stack)
-        skip = (skip and tag not in ("html", "body", "main")) or tag in SKIPPED or (tag == "header" and not inside)
-        node = Node(tag, tag + label, skip)
-        stack[-1].kids.append(node)
-        if not attrs.endswith("/") or tag not in ("svg", "iframe"):
-            stack.append(node)
+        skip = (skip and tag not in ("html", "body", "main")) or tag in SKIPPED or (tag == "header" and not stack[-1].main)
+        node = Node(tag, tag + label, skip, stack[-1])
+        if attrs.endswith("/") and tag in ("svg", "iframe"):
+            stack[-1].kids.append(node)
+        else:
+            push(node)
     flush()
     return root, blocks
 
 
 def content(html: str | None) -> tuple[Node, list[tuple[Node, str]]]:
-    """The tree and the blocks inside the main element that no marked element holds."""
+    """The tree and the blocks inside the main element and articles, if any, that no marked element holds."""
     root, blocks = parse(html or "")
-    kept = [(leaf, path, text) for leaf, path, text in blocks if not any(x.skip for x in path)]
-    for tag in ("article", "main"):
-        inner = [b for b in kept if any(x.tag == tag for x in b[1])]
-        if inner:
-            kept = inner
-            break
+    kept = [b for b in blocks if not b[1].off]
+    kept = [b for b in kept if b[1].main] or kept
     return root, [(leaf, text) for leaf, _, text in kept]
 
 
 def skeleton(html: str | None) -> tuple:
-    """Nested (label, kids, text hash, number among the content blocks or -1)."""
+    """Labels, subtree sizes, text hashes and numbers among the content blocks (or -1), in preorder."""
     root, blocks = content(html)
     own = {id(leaf): (i, xxhash.xxh64_intdigest(text) >> 1) for i, (leaf, text) in enumerate(blocks)}
-
-    def shrink(node):
+    labels, sizes, hashes, numbers = [], [], [], []
+    todo: list = [root]
+    while todo:
+        node = todo.pop()
+        if isinstance(node, int):  # all below this place is done
+            sizes[node] = len(labels) - node
+            continue
         number, h = own.get(id(node), (-1, 0))
-        return (node.label, tuple(shrink(k) for k in node.kids if not k.skip), h, number)
+        todo.append(len(labels))
+        labels.append(node.label)
+        sizes.append(1)
+        hashes.append(h)
+        numbers.append(number)
+        todo += [k for k in reversed(node.kids) if not k.skip]
+    return tuple(labels), tuple(sizes), tuple(hashes), tuple(numbers)
 
-    return shrink(root)
+
+def _kids(sizes: tuple, i: int) -> list[int]:
+    """Places of a node's children."""
+    out, at, end = [], i + 1, i + sizes[i]
+    while at < end:
+        out.append(at)
+        at += sizes[at]
+    return out
 
 
 class _Shapes:
@@ -198,19 +284,38 @@ class _Shapes:
         self.all: list[tuple] = []
         self.memo: dict[tuple[int, int], tuple[int, list]] = {}
 
-    def number(self, tree: tuple, of: dict) -> int:
-        """The number of a tree's shape; ``of`` takes those of all its nodes by identity."""
-        shape = (tree[0], tuple(self.number(k, of) for k in tree[1]))
-        if shape not in self.numbers:
-            self.numbers[shape] = len(self.all)
-            self.all.append(shape)
-        of[id(tree)] = self.numbers[shape]
-        return of[id(tree)]
+    def number(self, tree: tuple) -> list[int]:
+        """The numbers of the shapes of a tree's nodes."""
+        labels, sizes = tree[:2]
+        of = [0] * len(labels)
+        for i in range(len(labels) - 1, -1, -1):
+            shape = (labels[i], tuple(of[k] for k in _kids(sizes, i)))
+            if shape not in self.numbers:
+                self.numbers[shape] = len(self.all)
+                self.all.append(shape)
+            of[i] = self.numbers[shape]
+        return of
 
     def match(self, a: int, b: int) -> tuple[int, list]:
         """(matched nodes, places of the matched children) of two shapes with equal labels."""
         if (a, b) in self.memo:
             return self.memo[a, b]
+        # Each step asks for the pairs below it; a list of open steps stands for recursion.
+        steps, answer = [((a, b), self._solve(a, b))], None
+        while steps:
+            pair, step = steps[-1]
+            try:
+                asked = step.send(answer)
+            except StopIteration as end:
+                answer = self.memo[pair] = end.value
+                steps.pop()
+                continue
+            answer = self.memo.get(asked)
+            if answer is None:
+                steps.append((asked, self._solve(*asked)))
+        return self.memo[a, b]
+
+    def _solve(self, a: int, b: int) -> Generator:
         xs, ys = self.all[a][1], self.all[b][1]
         labels = [self.all[x][0] for x in xs], [self.all[y][0] for y in ys]
         # Siblings with equal labels at both ends pair off, and runs of a single label in order.
@@ -225,27 +330,29 @@ class _Shapes:
             if len({*labels[0][start : start + m], *labels[1][start : start + n]}) == 1:
                 places += [(start + i, start + i) for i in range(min(m, n))]
             else:
-                places += [(start + i, start + j) for i, j in self._table(xs[start : start + m], ys[start : start + n])]
-        self.memo[a, b] = (1 + sum(self.match(xs[i], ys[j])[0] for i, j in places), places)
-        return self.memo[a, b]
-
-    def _table(self, xs: tuple, ys: tuple) -> list[tuple[int, int]]:
+                inner = yield from self._table(xs[start : start + m], ys[start : start + n])
+                places += [(start + i, start + j) for i, j in inner]
+        total = 1
+        for i, j in places:
+            total += (yield xs[i], ys[j])[0]
+        return total, places
+
+    def _table(self, xs: tuple, ys: tuple) -> Generator:
         """The pairs of the largest order-preserving match of two lists of shapes."""
         m, n = len(xs), len(ys)
         kinds = sorted(set(ys))
         at = {y: k for k, y in enumerate(kinds)}
         column = np.array([at[y] for y in ys])
+        #: Nodes that each of xs matches with each of ys, 0 where labels differ.
         gains: dict[int, list] = {}
-
-        def gain(x):
-            """Nodes that x matches with each of ys, 0 where labels differ."""
-            if x not in gains:
-                by_kind = [self.match(x, y)[0] if self.all[x][0] == self.all[y][0] else 0 for y in kinds]
-                gains[x] = np.array(by_kind, np.int64)[column] if n >= 64 else [by_kind[k] for k in column]
-            return gains[x]
+        for x in dict.fromkeys(xs):
+            by_kind = []
+            for y in kinds:
+                by_kind.append((yield x, y)[0] if self.all[x][0] == self.all[y][0] else 0)
+            gains[x] = np.array(by_kind, np.int64)[column] if n >= 64 else [by_kind[k] for k in column]
 
         def row(x, below):
-            g = gain(x)
+            g = gains[x]
             if n >= 64:
                 top = np.where(g > 0, np.maximum(below[:-1], below[1:] + g), below[:-1])
                 return np.append(np.maximum.accumulate(top[::-1])[::-1], 0)
@@ -268,7 +375,7 @@ class _Shapes:
                 # The rows up to the next one kept, from it.
                 for k in range(min(m, (i // step + 1) * step) - 1, i, -1):
                     rows[k] = row(xs[k], rows[k + 1])
-            here, under, g = rows[i][j], rows[i + 1], gain(xs[i])[j]
+            here, under, g = rows[i][j], rows[i + 1], gains[xs[i]][j]
             if g and here == under[j + 1] + g:
                 pairs.append((i, j))
                 i, j = i + 1, j + 1
@@ -281,33 +388,32 @@ class _Shapes:
         return pairs
 
 
-def align(a: tuple, b: tuple) -> list[tuple[tuple, tuple]]:
-    """Matched leaf pairs of a top-down, order-preserving match of two skeletons."""
-    if a[0] != b[0]:
+def align(a: tuple, b: tuple) -> list[tuple[int, int]]:
+    """Places of the leaves that a top-down, order-preserving match of two skeletons pairs."""
+    if a[0][0] != b[0][0]:
         return []
-    shapes, of, leaves = _Shapes(), {}, []
-    shapes.number(a, of)
-    shapes.number(b, of)
-    todo = [(a, b)]
+    shapes, leaves, todo = _Shapes(), [], [(0, 0)]
+    of_a, of_b = shapes.number(a), shapes.number(b)
     while todo:
         x, y = todo.pop()
-        if not x[1] and not y[1]:
+        if a[1][x] == b[1][y] == 1:
             leaves.append((x, y))
-        todo += [(x[1][i], y[1][j]) for i, j in shapes.match(of[id(x)], of[id(y)])[1]]
+            continue
+        xs, ys = _kids(a[1], x), _kids(b[1], y)
+        todo += [(xs[i], ys[j]) for i, j in shapes.match(of_a[x], of_b[y])[1]]
     return leaves
 
 
 def layout(tree: tuple, depth: int = LAYOUT_DEPTH) -> int:
     """A hash of the paths of labels to elements with children, down to a depth."""
+    labels, sizes = tree[:2]
     paths: set[tuple] = set()
-
-    def walk(node, path):
-        if node[1] and len(path) < depth:
-            paths.add((*path, node[0]))
-            for k in node[1]:
-                walk(k, (*path, node[0]))
-
-    walk(tree, ())
+    todo = [(0, ())]
+    while todo:
+        i, path = todo.pop()
+        if sizes[i] > 1 and len(path) < depth:
+            paths.add((*path, labels[i]))
+            todo += [(k, (*path, labels[i])) for k in _kids(sizes, i)]
     return xxhash.xxh64_intdigest(repr(sorted(paths))) >> 1
 
 
@@ -330,53 +436,28 @@ def _skeletons(batches):
         for at in range(0, batch.num_rows, 500):
             part = batch.slice(at, 500)
             trees = [skeleton(x.as_py()) for x in part.column(2)]
-            hashes = [xxhash.xxh64_intdigest(repr([y for y in _texts(t)])) >> 1 for t in trees]
+            hashes = [xxhash.xxh64_intdigest(repr([h for h, i in zip(t[2], t[3]) if i >= 0])) >> 1 for t in trees]
             yield pa.RecordBatch.from_arrays([part.column(0), part.column(1), pa.array([marshal.dumps(t) for t in trees], pa.binary()), pa.array(hashes, pa.int64()), pa.array([layout(t) for t in trees], pa.int64())], names=["key", "host", "tree", "page", "layout"])
 
 
-def _texts(tree: tuple):
-    if tree[3] >= 0:
-        yield tree[2]
-    for k in tree[1]:
-        yield from _texts(k)
-
-
-def _number(tree: tuple, numbers: dict) -> dict:
-    """Preorder numbers of a reference's nodes by identity."""
-    numbers[id(tree)] = len(numbers)
-    for k in tree[1]:
-        _number(k, numbers)
-    return numbers
-
-
 def _votes(batches):
-    load, numbered = _References(), {}
+    load = _References()
     for batch in batches:
         rows = []
         for host, tree, page, ref in zip(*(batch.column(i).to_pylist() for i in range(4))):
-            r = load(ref)
-            if id(r) not in numbered or numbered[id(r)][0] is not r:
-                numbered[id(r)] = (r, _number(r, {}))
-            numbers = numbered[id(r)][1]
-            if len(numbered) > 4096:
-                numbered.clear()
-            rows += [(host, numbers[id(a)], b[2], page) for a, b in align(r, marshal.loads(tree)) if b[3] >= 0]
+            t = marshal.loads(tree)
+            rows += [(host, x, t[2][y], page) for x, y in align(load(ref), t) if t[3][y] >= 0]
         names = ["host", "node", "text", "page"]
         yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows) if rows else [[]] * 4, (pa.string(), pa.int32(), pa.int64(), pa.int64()))], names=names)
 
 
 def _drops(batches):
-    load, numbered = _References(), {}
+    load = _References()
     for batch in batches:
         keys, drops = [], []
         for key, tree, ref, nodes in zip(*(batch.column(i).to_pylist() for i in range(4))):
-            r = load(ref)
-            if id(r) not in numbered or numbered[id(r)][0] is not r:
-                if len(numbered) > 4096:
-                    numbered.clear()
-                numbered[id(r)] = (r, _number(r, {}))
-            numbers, constant = numbered[id(r)][1], set(nodes)
-            out = [b[3] for a, b in align(r, marshal.loads(tree)) if b[3] >= 0 and numbers[id(a)] in constant]
+            t, constant = marshal.loads(tree), set(nodes)
+            out = [t[3][y] for x, y in align(load(ref), t) if t[3][y] >= 0 and x in constant]
             if out:
                 keys.append(key)
                 drops.append(sorted(out))
@@ -432,6 +513,6 @@ def extract(pages: DataFrame, html_col: str = "html", url_col: str = "url", text
                     texts.append(" ".join(t for i, (_, t) in enumerate(blocks) if i not in out))
                 yield pa.RecordBatch.from_arrays([*(part.column(i) for i in range(len(keep))), pa.array(texts, pa.string())], names=[*keep, text_col])
 
-    joined = keyed.join(drops, keyed["__key"] == drops["key"], "left")
+    joined = keyed.join(drops.toDF("__k", "__drops"), F.col("__key") == F.col("__k"), "left")
     schema = pages.select(*[F.col(f"`{c}`") for c in keep]).schema.add(text_col, "string")
-    return joined.select(*[F.col(f"`{c}`") for c in keep], "__html", "drops").mapInArrow(run, schema)
+    return joined.select(*[F.col(f"`{c}`") for c in keep], "__html", "__drops").mapInArrow(run, schema)

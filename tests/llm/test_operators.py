@@ -237,11 +237,19 @@ def test_html_wrapper(spark):
     assert got == Counter([*((i, f"T{i} word{i} & more <{i * 7}") for i in range(8)), (99, ""), (100, ""), (101, "alone here"), (101, "alone here")])
 
 
+def _flat(tree):
+    """A nested (label, kids, hash, number) as the flat lists of a skeleton."""
+    parts = [_flat(k) for k in tree[1]]
+    joined = [sum((p[i] for p in parts), ()) for i in range(4)]
+    return (tree[0], *joined[0]), (1 + len(joined[0]), *joined[1]), (tree[2], *joined[2]), (tree[3], *joined[3])
+
+
 def test_tree_matching():
     tree = lambda label, *kids: (label, kids, 0, -1)
     a = tree("a", tree("b"), tree("c", tree("d"), tree("e")), tree("f"))
     b = tree("a", tree("x"), tree("c", tree("e")), tree("b"), tree("f"))
-    assert sorted((x[0], y[0]) for x, y in html.align(a, b)) == [("e", "e"), ("f", "f")]
+    a, b = _flat(a), _flat(b)
+    assert sorted((a[0][x], b[0][y]) for x, y in html.align(a, b)) == [("e", "e"), ("f", "f")]
 
 
 def test_tree_matching_of_long_lists(monkeypatch):
@@ -249,17 +257,50 @@ def test_tree_matching_of_long_lists(monkeypatch):
     kids = [(f"l{rng.randrange(7)}", (), i, i) for i in range(300)]
     a = ("body", (("x", (), -1, -1), *kids, ("y", (), -1, -1)), 0, -1)
     b = ("body", (("n", (), -2, -1), *kids[:150], ("n", (), -3, -1), *kids[150:], ("z", (), -2, -1)), 0, -1)
+    a, b = _flat(a), _flat(b)
     pairs = html.align(a, b)
-    assert {x[2] for x, y in pairs if x[2] == y[2]} == set(range(300))
+    assert {a[2][x] for x, y in pairs if a[2][x] == b[2][y]} == set(range(300))
     node = lambda d: (rng.choice("abc"), tuple(node(d - 1) for _ in range(rng.randrange(9) if d else 0)), 0, -1)
     for _ in range(60):
-        a, b = (("r", (node(2), node(2), *(node(1) for _ in range(rng.randrange(80)))), 0, -1) for _ in range(2))
+        a, b = (_flat(("r", (node(2), node(2), *(node(1) for _ in range(rng.randrange(80)))), 0, -1)) for _ in range(2))
         whole = html.align(a, b)
         monkeypatch.setattr(html, "MAX_CELLS", 3)
-        assert [(id(x), id(y)) for x, y in html.align(a, b)] == [(id(x), id(y)) for x, y in whole]
+        assert html.align(a, b) == whole
         monkeypatch.undo()
 
 
+def test_html_marks_are_whole_tokens():
+    text = lambda h: " ".join(t for _, t in html.content(h)[1])
+    page = "<main>Lead <div class='search-results'>found</div><p class='share-price'>12 €</p><p class=adjust>x</p><article>Body</article>{}</main>"
+    assert text(page.format("")) == "Lead found 12 € x Body"
+    for c in ("share-buttons", "site-footer", "ad", "ad-slot-1", "x cookie_banner", "comments", "comment-list", "related-items", "widget2", "social-links"):
+        assert text(page.format(f"<div class='{c}'>out</div>")) == "Lead found 12 € x Body", c
+    assert text("<div role=navigation>m</div><p>a<p hidden>b<p>c") == "a c"
+
+
+def test_html_deep_and_unclosed_pages_stay_linear(spark):
+    import time
+
+    deep = "<div>" * 50_000 + "deep &lt;text" + "</div>" * 50_000
+    made = [(i, f"http://a.b/{i}", deep) for i in range(7)]
+    made += [(10, "u", '<a ' * 350_000), (11, "u", '<a "' * 200_001), (12, "u", "<p>x" + "<a '\"" * 150_000 + ">y"), (13, "u", "<x>" * 200_000 + "z"), (14, "u", "<!--" * 100_000), (15, "u", "a < b <c"), (16, "u", "<" * 300_000), (17, "u", "&#60;p> 1 < 2 <b>3</b><p title='>'>q</p>" * 5000)]
+    made += [(18, "u", "<ul>" + "<li>e" * 50_000), (19, "u", "<b class=ad>" * 50_000 + "q" + "</b>" * 50_000 + "w")]
+    began = time.time()
+    got = {r.page_id: r.text for r in html.extract(spark.createDataFrame(made, "page_id long, url string, html string")).collect()}
+    assert time.time() - began < 120
+    assert {got[i] for i in range(7)} == {"deep <text"}
+    assert got[13] == "z" and got[14] == "" and got[15] == "a < b <c" and got[16] == "<" * 300_000 and got[19] == "w"
+    assert got[17] == " ".join(["<p> 1 < 2 3 q"] * 5000) and got[18] == " ".join(["e"] * 50_000)
+    assert got[12].startswith("x")
+
+
+def test_html_carries_clashing_columns(spark):
+    rows = [(1, "http://h/1", "<p>a</p>", "t", "k", 1), (1, "http://h/1", "<p>a</p>", "t", "k", 1), (None, None, "<p>b &amp; c", None, None, None)]
+    out = html.extract(spark.createDataFrame(rows, "page_id long, url string, html string, text string, host string, drops int"))
+    assert sorted(tuple(r) for r in out.select("page_id", "host", "drops", "text").collect() if r.page_id) == [(1, "k", 1, "a")] * 2
+    assert [r.text for r in out.filter("page_id is null").collect()] == ["b & c"]
+
+
 def test_html_layouts_of_a_host(spark):
     page = {
         0: "<body><div><p>Topic {0}</p><p>Body {0}</p></div></body>",
