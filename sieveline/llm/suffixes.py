@@ -12,12 +12,12 @@ windows of L bytes matter:
    aggregate an anchor, however many copies there are.
 3. Only anchors with different segments remain. One segment of each kind is cut out of its
    text, and the segments of each anchor are laid into a block whose suffix array, in the
-   order of the first L bytes, is built by prefix doubling. Suffixes that share L bytes are
-   neighbours in it; for each, the previous and next smaller positions in suffix order give
-   the earlier match of the longest-previous-factor array, and being someone's earlier match
-   marks the first occurrence.
-4. Anchors with very many different segments are spread out: their windows are counted by
-   128-bit hashes, again map-side combined.
+   order of the first L bytes, is built by prefix doubling. The previous and next smaller
+   positions in suffix order give each suffix's earlier match, that is where its
+   longest-previous-factor array reaches L; being someone's earlier match marks the first
+   occurrence.
+4. Anchors with over :data:`CROWDED` different segments would make a block without bound: their
+   windows are dealt out one by one and counted by 128-bit hashes, again map-side combined.
 
 Positions are bytes. Defined results: null text is empty; texts shorter than L are kept
 whole; rows that repeat an id and text are documents of their own, each a copy of the
@@ -96,8 +96,8 @@ def segments(data: bytes, length: int = LENGTH, k: int = K):
 
 
 def suffix_order(block: np.ndarray, starts: np.ndarray, length: int) -> tuple[np.ndarray, np.ndarray]:
-    """The suffix array over some starts, by the first ``length`` bytes then position, and
-    whether each suffix shares those bytes with the one before it in that order."""
+    """The suffix array over some starts, by the first ``length`` bytes, and by place in it the rank
+    of those bytes: suffixes that share them have one rank."""
     n = len(block)
     width = 8
     packed = np.zeros(n, np.uint64)
@@ -113,21 +113,41 @@ def suffix_order(block: np.ndarray, starts: np.ndarray, length: int) -> tuple[np
         else:
             rank = rank * (n + 1) + follow
     keys = rank[starts]
-    order = np.lexsort((starts, keys))
-    same = np.concatenate([[False], keys[order][1:] == keys[order][:-1]])
-    return starts[order], same
+    order = np.argsort(keys, kind="stable")
+    return starts[order], keys[order]
 
 
 def smaller_neighbours(order: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """For each place of a suffix array, the places of the previous and next smaller positions (-1: none)."""
+    """For each place of a suffix array, the places of the previous and next smaller positions (-1: none).
+
+    All places at once: a place whose candidate holds a larger position goes on to the
+    candidate's own candidate, as all between them are larger still; the way doubles each time.
+    """
     n = len(order)
-    before, after, stack = np.full(n, -1), np.full(n, -1), []
-    for i, p in enumerate(order.tolist()):
-        while stack and order[stack[-1]] > p:
-            after[stack.pop()] = i
-        before[i] = stack[-1] if stack else -1
-        stack.append(i)
-    return before, after
+    position = np.append(order, -1)  # place -1 and n: smaller than all
+    sides = []
+    for step, end in ((-1, -1), (1, n)):
+        found = np.append(np.arange(n) + step, end)
+        left = np.arange(n)
+        while len(left := left[position[found[left]] > order[left]]):
+            found[left] = found[found[left]]
+        sides.append(np.where(found[:n] == n, -1, found[:n]))
+    return sides[0], sides[1]
+
+
+def earlier_matches(order: np.ndarray, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Positions whose longest previous factor has the full length, and the earlier positions they match.
+
+    ``keys`` has, by place in suffix order, equal numbers for suffixes that share the length.
+    The longest previous factor of a suffix is its match with the previous or the next
+    smaller position in suffix order, whichever is longer, so that no other place need be seen.
+    """
+    later, source = [], []
+    for places in smaller_neighbours(order):
+        hit = np.flatnonzero((places >= 0) & (keys[places] == keys))
+        later.append(order[hit])
+        source.append(order[places[hit]])
+    return np.concatenate(later), np.concatenate(source)
 
 
 def longest_previous_factors(data: bytes) -> np.ndarray:
@@ -135,7 +155,7 @@ def longest_previous_factors(data: bytes) -> np.ndarray:
     longest match that starts earlier."""
     n = len(data)
     out = np.zeros(n, np.int64)
-    order = np.array(sorted(range(n), key=lambda i: data[i:]))
+    order = np.array(sorted(range(n), key=lambda i: data[i:]), np.int64)
     before, after = smaller_neighbours(order)
 
     def common(i, j):
@@ -149,19 +169,6 @@ def longest_previous_factors(data: bytes) -> np.ndarray:
     return out
 
 
-def previous_matches(order: np.ndarray, same: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Positions with an earlier match of the full length, and positions that are such a match.
-
-    Suffixes that share the length are neighbours, ordered by position. The previous
-    smaller position of each but the first of them is the one right before it, so that the
-    match is found without a stack; next smaller positions lie in other runs, whose match
-    is shorter.
-    """
-    later = order[same]
-    source = order[np.flatnonzero(same) - 1]
-    return later, source
-
-
 def _segments(length, k):
     def run(batches):
         for batch in batches:
@@ -221,8 +228,7 @@ def _arrays(length, keep_first):
             block = np.frombuffer(b"".join(r[5] for r in held), np.uint8)
             base = np.concatenate([[0], np.cumsum([len(r[5]) for r in held])])
             starts = np.concatenate([np.arange(len(r[5]) - length + 1) + o for r, o in zip(held, base)])
-            order, same = suffix_order(block, starts, length)
-            later, source = previous_matches(order, same)
+            later, source = earlier_matches(*suffix_order(block, starts, length))
             hit = np.unique(later if keep_first else np.concatenate([later, source]))
             owner = np.searchsorted(base, hit, "right") - 1
             for i in np.unique(owner).tolist():
@@ -285,7 +291,9 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.xxhash64(F.coalesce(F.col(text_col), F.lit(""))).alias("th"), F.col(text_col).cast("string").alias("text"))
     rows = texts.mapInArrow(_segments(length, k), "doc_id long, th long, p long, q long, v long, s long")
     seen = rows.groupBy("v").agg(F.count(F.lit(1)).alias("c"), F.min("s").alias("low"), F.max("s").alias("high")).filter("c > 1")
-    again = kept(rows.join(seen.select("v", (F.col("low") != F.col("high")).alias("mixed")), "v"), "segments")
+    # Written first: a join of its own can deal a hot anchor's rows over many tasks.
+    seen = kept(seen.select("v", (F.col("low") != F.col("high")).alias("mixed")), "anchors")
+    again = kept(rows.join(seen, "v"), "segments")
     head = F.min(F.struct("doc_id", "th", "p", "q")).alias("head")
     kinds = kept(again.filter("mixed" if not keep_first else "true").groupBy("v", "s").agg(F.count(F.lit(1)).alias("n"), head), "kinds")
     mixed = kinds.groupBy("v").agg(F.count(F.lit(1)).alias("different")).filter("different > 1")
