@@ -5,9 +5,7 @@ class, known by a hash of the set. For the classes:
 
 1. Each set lists its first shingles in an order that all share: shingles of crowded hash
    buckets last, else by hash. Two sets of similarity t share one of the first
-   n - ceil(t n) + 1; and where at least 75 % of a set's shingles are uncrowded, its first
-   :data:`FIRST` do as well, but for odds under 1e-11 a pair (1e-16 without crowded ones),
-   since the order of the uncrowded is random and at least two thirds of their union are shared.
+   n - ceil(t n) + 1, which are listed.
 2. Rows (shingle, set) that no other set has are dropped; the others meet in tiles of one
    shingle and one band of sizes, each band also visited by the next one, as sets whose
    sizes differ more cannot be similar.
@@ -42,8 +40,6 @@ from ..operators.components import components
 from .common import shared_dir, stepwise
 
 SHINGLE_WORDS, PERCENT = 5, 80
-#: Listed shingles of sets that are mostly uncrowded.
-FIRST = 24
 BUCKETS, CHUNKS = 1 << 18, 64
 #: Odd multipliers that mix word hashes into shingle hashes.
 MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5], dtype=np.uint64)
@@ -164,8 +160,6 @@ def _sets(levels, width, percent):
                 seen.add(a)
                 level = levels[_bucket(s)]
                 most = n - -(-percent * n // 100) + 1
-                if (level == 0).sum() >= 0.75 * n:
-                    most = min(most, FIRST)
                 first = s[np.lexsort((s, level))[:most]]
                 out.append((n, a, first.view(np.int64), bitmap(s), _band(n, percent)))
             n, a, first, bits, band = zip(*out)
