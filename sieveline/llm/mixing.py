@@ -30,7 +30,7 @@ WEIGHTS = (3, 1, 2)
 #: Words the mix takes, as a share of all words, and the most epochs of one source.
 SHARE, MAX_EPOCHS = 1.5, 2
 #: Documents in one bucket of the running sum.
-BUCKET_ROWS = 20_000
+BUCKET_ROWS = 4_000
 #: A schedule's weight at the start of training relative to its end: by place in WEIGHTS.
 TILT = (0.5, 1.0, 2.0)
 

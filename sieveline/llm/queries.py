@@ -39,8 +39,9 @@ def op4_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op5_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     mixed = mixing.mix(table(spark, sf_dir, "documents").select("doc_id", "text", "source"))
-    ordered = mixed.orderBy(F.get("positions", F.lit(0))["position"], "doc_id")
-    return ordered.select("doc_id", "size", "source_size", "target", "taken", F.size("positions").cast("long").alias("copies"))
+    first = F.get("positions", F.lit(0))["position"].alias("position")
+    rows = mixed.select("doc_id", "size", "source_size", "target", "taken", F.size("positions").cast("long").alias("copies"), first)
+    return rows.orderBy("position", "doc_id")
 
 
 def op6_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -104,10 +105,11 @@ WITH d AS (SELECT doc_id, source, len({_WORDS})::BIGINT AS size FROM documents),
 s AS (SELECT source, sum(size)::BIGINT AS l, [3, 1, 2][1 + (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3] AS w FROM d GROUP BY source),
 f AS (SELECT *, (1.5::DOUBLE * sum(l) OVER ()::DOUBLE - 2 * coalesce(sum(l) OVER b, 0)::DOUBLE) / (sum(w) OVER () - coalesce(sum(w) OVER b, 0))::DOUBLE AS level, row_number() OVER (ORDER BY l::DOUBLE / w, source NULLS LAST) AS k FROM s WINDOW b AS (ORDER BY l::DOUBLE / w, source NULLS LAST ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
 v AS (SELECT level FROM f WHERE w * level <= 2 * l ORDER BY k LIMIT 1),
-t AS (SELECT source, l, least((2 * l)::DOUBLE, coalesce(w * (SELECT level FROM v), (2 * l)::DOUBLE)) AS target FROM f),
-c AS (SELECT d.*, t.l, t.target, floor(t.target + 0.5)::BIGINT AS goal, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY md5(coalesce(doc_id::VARCHAR, '')), doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS c FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
+t AS (SELECT source, l, CASE w WHEN 3 THEN 0.5::DOUBLE WHEN 1 THEN 1::DOUBLE ELSE 2::DOUBLE END AS tilt, least((2 * l)::DOUBLE, coalesce(w * (SELECT level FROM v), (2 * l)::DOUBLE)) AS target FROM f),
+c AS (SELECT d.*, t.l, t.target, t.tilt, floor(t.target + 0.5)::BIGINT AS goal, coalesce(sum(size) OVER (PARTITION BY d.source ORDER BY md5(coalesce(doc_id::VARCHAR, '')), doc_id, size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::BIGINT AS c FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source),
 p AS (SELECT *, greatest(0, least(c + size, goal) - c) AS a, greatest(0, least(c + size, goal - l) - c) AS b FROM c)
-SELECT doc_id, size, l AS source_size, target, (a + b)::BIGINT AS taken, ((a > 0)::INT + (b > 0)::INT)::BIGINT AS copies FROM p""",
+SELECT doc_id, size, l AS source_size, target, (a + b)::BIGINT AS taken, ((a > 0)::INT + (b > 0)::INT)::BIGINT AS copies, CASE WHEN a + b > 0 THEN 2 * (share * (tilt + 1) / 2) / (tilt + sqrt(greatest(tilt * tilt + 4 * ((1 - tilt) / 2) * (share * (tilt + 1) / 2), 0))) END AS position
+FROM (SELECT *, (c + CASE WHEN a > 0 THEN 0 ELSE l END)::DOUBLE / greatest(goal, 1)::DOUBLE AS share FROM p)""",
     "op9_warc": """
 WITH p AS (SELECT page_id, coalesce(html, '') AS h FROM pages),
 f AS (SELECT h, min(page_id) AS lead FROM p WHERE strlen(h) >= 100 GROUP BY h)
