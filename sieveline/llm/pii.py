@@ -1,8 +1,9 @@
 """Personal data (operator 8), all in Catalyst: patterns propose, validators confirm, context scores.
 
 Each :class:`Kind` has a pattern that proposes spans, a validator over the matched string
-(octets, Luhn, digit counts, mod 97) and context words that raise its score when they stand
-near the span. Positions are code points, end exclusive. The patterns are written so that a
+(octets, Luhn, digit counts, mod 97, number plans) and a score, which context words raise when
+they stand near the span. Spans of added kinds that stay under :data:`MIN_SCORE` are dropped: a
+long mixed string alone is no secret, beside the word "token" it is one. Positions are code points, end exclusive. The patterns are written so that a
 regular-expression engine cannot backtrack or recurse over long runs: possessive loops, and
 a look-behind that lets a match start only where a run starts or the last match ended.
 
@@ -20,8 +21,10 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Characters on either side of a span in which context words count.
-CONTEXT = 40
+#: Characters on either side of a span in which context words count, and what they add to its score.
+CONTEXT, BOOST = 40, 0.3
+#: Least score of a span of an added kind.
+MIN_SCORE = 0.5
 
 
 def _digits(x: Column) -> Column:
@@ -99,6 +102,23 @@ class Kind:
     #: Length of the span that starts a proposed string, 0 for none. The pattern then consumes a
     #: character and proposes by its group 1, so that proposals may overlap.
     cut: Callable[[Column], Column] | None = None
+    #: Score without a context word near.
+    alone: float = 0.65
+
+
+def number_plan(x: Column) -> Column:
+    """Whether area and exchange of a ten-digit number start with 2 to 9."""
+    return _digits(x).rlike("^[2-9][0-9]{2}[2-9][0-9]{6}$")
+
+
+def mixed(digits: int) -> Callable[[Column], Column]:
+    """Whether a string has so many digits, four letters and eight different characters."""
+
+    def valid(x: Column) -> Column:
+        classes = (F.length(_digits(x)) >= digits) & (F.length(F.regexp_replace(x, "[^A-Za-z]", "")) >= 4)
+        return classes & (F.size(F.array_distinct(F.split(x, ""))) >= 8)
+
+    return valid
 
 
 BASE = (
@@ -110,7 +130,9 @@ BASE = (
 #: Kinds that the method adds to the base ones.
 ADDED = (
     Kind("iban", r"(?<![A-Za-z0-9])(?=([A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}+[A-Za-z0-9]?))[A-Z]", r"[A-Z]{2}[0-9]{2}", lambda x: account(x) > 0, ("iban", "account", "bank"), False, account),
-    Kind("local_phone", r"\([0-9]{3}\) [0-9]{3}-[0-9]{4}(?![0-9])", r"\([0-9]{3}\)", lambda x: F.lit(True), ("phone", "call", "tel"), False),
+    Kind("local_phone", r"\([0-9]{3}\) [0-9]{3}-[0-9]{4}(?![0-9])", r"\([0-9]{3}\)", number_plan, ("phone", "call", "tel"), False),
+    Kind("access_key", r"(?<![A-Za-z0-9])AKIA[0-9A-Z]{16}(?![A-Za-z0-9])", "AKIA", mixed(1), ("key", "secret"), False),
+    Kind("secret", r"(?<![A-Za-z0-9])[A-Za-z0-9]{20,}+", r"[A-Za-z0-9]{20}", mixed(4), ("token", "secret", "password", "api_key", "apikey", "api key", "credential"), False, None, 0.3),
 )
 KINDS = BASE + ADDED
 
@@ -146,12 +168,12 @@ def _spans(kind: Kind, text: Column, matches: Column, pieces: Column) -> Column:
         near = F.lit(False)
         for w in kind.words:
             near = near | F.contains(around, F.lit(w))
-        return F.struct(F.lit(kind.name).alias("kind"), r["start"].alias("start"), r["end"].alias("end"), F.when(near, 0.95).otherwise(0.75).alias("score"))
+        return F.struct(F.lit(kind.name).alias("kind"), r["start"].alias("start"), r["end"].alias("end"), F.when(near, round(kind.alone + BOOST, 2)).otherwise(kind.alone).alias("score"))
 
     return F.transform(good, scored)
 
 
-def find(df: DataFrame, text_col: str = "text", kinds: tuple[Kind, ...] = KINDS, min_score: float = 0.0, spans_col: str = "spans") -> DataFrame:
+def find(df: DataFrame, text_col: str = "text", kinds: tuple[Kind, ...] = KINDS, min_score: float = MIN_SCORE, spans_col: str = "spans") -> DataFrame:
     """Add ``spans_col``: array of (kind, start, end, score), by kind as listed, then start.
 
     Spans scored under ``min_score`` are left out, those of base kinds never.
@@ -178,12 +200,12 @@ def listed(spans: Column) -> Column:
     return F.array_join(F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))), ",")
 
 
-def digests(found: DataFrame, id_col: str = "doc_id") -> DataFrame:
-    """Counts by base kind, the digest of the base spans and all spans as text."""
+def digests(found: DataFrame, id_col: str = "doc_id", more: list[Column] = []) -> DataFrame:  # noqa: B006
+    """Counts by base kind, the digest of the base spans, all spans as text and more columns."""
     names = [k.name for k in BASE]
     base = F.filter("spans", lambda s: s["kind"].isin(*names))
     count = lambda n: F.size(F.filter("spans", lambda s: s["kind"] == n)).cast("long").alias(f"n_{n}")
-    return found.select(id_col, *map(count, names), F.sha2(listed(base).cast("binary"), 256).alias("base_sha256"), listed(F.col("spans")).alias("spans"))
+    return found.select(id_col, *map(count, names), F.sha2(listed(base).cast("binary"), 256).alias("base_sha256"), listed(F.col("spans")).alias("spans"), *more)
 
 
 def redact(df: DataFrame, text_col: str = "text", kinds: tuple[Kind, ...] = KINDS) -> DataFrame:

@@ -66,7 +66,9 @@ def op7_chroma(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pii.digests(pii.find(table(spark, sf_dir, "documents").select("doc_id", "text")))
+    found = pii.find(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    scores = F.array_join(F.transform("spans", lambda s: s["score"].cast("string")), ",").alias("scores")
+    return pii.digests(found, more=[scores])
 
 
 def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
