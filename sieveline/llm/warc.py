@@ -5,10 +5,13 @@
 * :func:`monolithic` lays a partition's records into archives, each *one* gzip stream.
 * :func:`normalise` inflates such a stream once, front to back, and writes every record as
   a gzip member of its own, with a sidecar index of (offset, length, record id).
-* :func:`read_archives` opens single members through the index and parses them.
+* :func:`write_archives` puts archives and sidecar indexes as files into a folder that all
+  executors reach, and gives a manifest of them.
+* :func:`read_archives` opens single members through the indexes and parses them.
 
-Archives travel as rows (name, bytes, index) of a table in the shared folder, so any store
-that Spark can write to holds them; :func:`export_archives` makes files of them.
+Files are named by their content and moved into place when whole, so that a task which runs
+again writes the same files. Folders are URIs of a store that Arrow's file systems open
+(local mounts, object stores, HDFS where its library is installed).
 
 Defined results: a null payload is an empty one; null and empty urls give an empty target
 URI; rows that repeat a page id and payload are each written, and where they tie for the
@@ -20,12 +23,13 @@ no archives. Extra columns are ignored.
 from __future__ import annotations
 
 import hashlib
-import os
 import struct
+import uuid
 import zlib
 from collections.abc import Iterator
 
 import pyarrow as pa
+from pyarrow import fs
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -38,6 +42,10 @@ ARCHIVE_BYTES = 8 << 20
 #: zlib level of both the monolithic stream and the members.
 LEVEL = 1
 
+#: Parts over which the pages of one digest are dealt.
+PARTS = 16
+
+MANIFEST = "archive string, sidecar string, n_records long, n_bytes long"
 ARCHIVES = "archive string, data binary, index binary"
 RECORDS = "page_id long, url string, payload_bytes long, payload_digest string, record_type string, refers_to long, payload binary"
 
@@ -51,7 +59,10 @@ def record_plan(pages: DataFrame, id_col: str = "page_id", url_col: str = "url",
     leads = (
         rows.filter(large).groupBy("digest").agg(F.min("page_id").alias("first_id"), F.count(F.lit(1)).alias("n")).filter("n > 1 and first_id is not null").select("digest", "first_id")
     )
-    out = rows.join(leads, "digest", "left")
+    # A digest that many pages share is dealt over parts, its one lead is copied to each.
+    rows = rows.withColumn("part", F.pmod(F.xxhash64("page_id", "url"), F.lit(PARTS)).cast("int"))
+    leads = leads.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(PARTS - 1))))
+    out = rows.join(leads, ["digest", "part"], "left")
     refers = F.when(large & ~F.col("page_id").eqNullSafe(F.col("first_id")), F.col("first_id"))
     return out.select("page_id", "url", "payload", "digest", refers.alias("refers_to"))
 
@@ -171,11 +182,30 @@ def members(data: bytes, index: bytes) -> Iterator[tuple[dict[str, str], bytes]]
         yield parse_record(zlib.decompress(data[offset : offset + length], 31))
 
 
-def _write(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for stream in monolithic(batches):
-        data, index = normalise(stream)
-        name = hashlib.sha256(data).hexdigest()[:32] + ".warc.gz"
-        yield pa.RecordBatch.from_pydict({"archive": [name], "data": [data], "index": [index]}, schema=pa.schema([("archive", pa.string()), ("data", pa.binary()), ("index", pa.binary())]))
+def _put(store: fs.FileSystem, path: str, data: bytes) -> None:
+    """A whole file or none, whatever becomes of the task."""
+    part = f"{path}.{uuid.uuid4().hex}.part"
+    with store.open_output_stream(part, compression=None) as f:
+        f.write(data)
+    store.move(part, path)
+
+
+def _get(store: fs.FileSystem, path: str) -> bytes:
+    with store.open_input_file(path) as f:
+        return f.read()
+
+
+def _writing(folder: str):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        store, path = fs.FileSystem.from_uri(folder)
+        for stream in monolithic(batches):
+            data, index = normalise(stream)
+            name = hashlib.sha256(data).hexdigest()[:32]
+            _put(store, f"{path}/{name}.warc.gz", data)
+            _put(store, f"{path}/{name}.idx", index)
+            yield pa.RecordBatch.from_pydict({"archive": [f"{name}.warc.gz"], "sidecar": [f"{name}.idx"], "n_records": pa.array([len(index) // 16], pa.int64()), "n_bytes": pa.array([len(data)], pa.int64())})
+
+    return run
 
 
 _OUT = pa.schema([("page_id", pa.int64()), ("url", pa.string()), ("payload_bytes", pa.int64()), ("payload_digest", pa.string()), ("record_type", pa.string()), ("refers_to", pa.int64()), ("payload", pa.binary())])
@@ -186,35 +216,58 @@ def _urn(x: str | None) -> int | None:
     return int(digits) if digits else None
 
 
-def _read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _reading(folder: str):
     def flush(rows):
         return pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows), _OUT.types)], schema=_OUT)
 
-    for batch in batches:
-        for data, index in zip(batch.column(1), batch.column(2)):
-            rows, size = [], 0
-            for head, payload in members(data.as_py(), index.as_py()):
-                kind = head["warc-type"]
-                claimed, n = head["warc-payload-digest"].removeprefix("sha256:"), int(head["x-payload-bytes"])
-                if kind == "response" and (hashlib.sha256(payload).hexdigest() != claimed or len(payload) != n):
-                    raise ValueError("a payload differs from its digest")
-                rows.append((_urn(head["warc-record-id"]), head["warc-target-uri"], n, claimed, kind, _urn(head.get("warc-refers-to")), payload if kind == "response" else None))
-                size += len(payload)
-                if size > ARCHIVE_BYTES // 2 or len(rows) >= 5000:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        store, path = fs.FileSystem.from_uri(folder)
+        for batch in batches:
+            for archive, sidecar in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist()):
+                rows, size = [], 0
+                for head, payload in members(_get(store, f"{path}/{archive}"), _get(store, f"{path}/{sidecar}")):
+                    kind = head["warc-type"]
+                    claimed, n = head["warc-payload-digest"].removeprefix("sha256:"), int(head["x-payload-bytes"])
+                    if kind == "response" and (hashlib.sha256(payload).hexdigest() != claimed or len(payload) != n):
+                        raise ValueError("a payload differs from its digest")
+                    rows.append((_urn(head["warc-record-id"]), head["warc-target-uri"], n, claimed, kind, _urn(head.get("warc-refers-to")), payload if kind == "response" else None))
+                    size += len(payload)
+                    if size > ARCHIVE_BYTES // 2 or len(rows) >= 5000:
+                        yield flush(rows)
+                        rows, size = [], 0
+                if rows:
                     yield flush(rows)
-                    rows, size = [], 0
-            if rows:
-                yield flush(rows)
 
+    return run
+
+
+class Archives:
+    """A folder of archives and the manifest (archive, sidecar, n_records, n_bytes) of its files."""
 
-def write_archives(plan: DataFrame) -> DataFrame:
-    """Archives of a record plan, materialised in the shared folder: (archive, data, index)."""
-    return cut(plan.select("page_id", "url", "payload", "digest", "refers_to").mapInArrow(_write, ARCHIVES))
+    def __init__(self, folder: str, manifest: DataFrame):
+        self.folder, self.manifest = folder, manifest
 
 
-def read_archives(archives: DataFrame) -> DataFrame:
+def write_archives(plan: DataFrame, folder: str) -> Archives:
+    """Archives and sidecar indexes of a record plan as files of a shared folder."""
+    store, path = fs.FileSystem.from_uri(folder)
+    store.create_dir(path, recursive=True)
+    rows = plan.select("page_id", "url", "payload", "digest", "refers_to")
+    return Archives(folder, cut(rows.mapInArrow(_writing(folder), MANIFEST)))
+
+
+def read_archives(archives: Archives) -> DataFrame:
     """One row per record; the payload of a revisit is null."""
-    return archives.select("archive", "data", "index").mapInArrow(_read, RECORDS)
+    return archives.manifest.select("archive", "sidecar").mapInArrow(_reading(archives.folder), RECORDS)
+
+
+def read_member(folder: str, archive: str, index: str, number: int) -> tuple[dict[str, str], bytes]:
+    """One record by its number: reads its member's bytes alone."""
+    store, path = fs.FileSystem.from_uri(folder)
+    with store.open_input_file(f"{path}/{index}") as f:
+        offset, length = struct.unpack("<QQ", f.read_at(16, 16 * number))
+    with store.open_input_file(f"{path}/{archive}") as f:
+        return parse_record(zlib.decompress(f.read_at(length, offset), 31))
 
 
 def normalise_archives(streams: DataFrame, data_col: str = "data") -> DataFrame:
@@ -227,20 +280,3 @@ def normalise_archives(streams: DataFrame, data_col: str = "data") -> DataFrame:
                 yield pa.RecordBatch.from_pydict({"archive": [name.as_py()], "data": [data], "index": [index]}, schema=pa.schema([("archive", pa.string()), ("data", pa.binary()), ("index", pa.binary())]))
 
     return streams.select(F.sha2(F.col(data_col), 256).alias("archive"), F.col(data_col).alias("data")).mapInArrow(run, ARCHIVES)
-
-
-def export_archives(archives: DataFrame, folder: str) -> int:
-    """Archives and ``.idx`` sidecars as files of a folder that every executor mounts."""
-
-    def run(batches):
-        for batch in batches:
-            for name, data, index in zip(*(batch.column(k) for k in range(3))):
-                for suffix, x in (("", data), (".idx", index)):
-                    path = os.path.join(folder, name.as_py() + suffix)
-                    with open(path + ".part", "wb") as f:
-                        f.write(x.as_py())
-                    os.replace(path + ".part", path)
-            yield pa.RecordBatch.from_pydict({"n": pa.array([batch.num_rows], pa.int64())})
-
-    os.makedirs(folder, exist_ok=True)
-    return archives.mapInArrow(run, "n long").agg(F.sum("n")).first()[0] or 0
