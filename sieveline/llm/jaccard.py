@@ -5,7 +5,11 @@ class, known by a hash of the set. For the classes:
 
 1. Each set lists its first shingles in an order that all share: shingles of crowded hash
    buckets last, else by hash. Two sets of similarity t share one of the first
-   n - ceil(t n) + 1, which are listed.
+   n - ceil(t n) + 1. With ``listed=None`` all of these are listed. By default a set of which
+   at least 75 % are uncrowded lists its first :data:`LISTED`: the order of the uncrowded is
+   random and at least two thirds of their union are shared, so that a pair is missed with odds
+   under 1e-11 (1e-16 without crowded ones), which is less than hashes that collide may cost.
+   The whole prefix of long texts does not fit the disk that the check tool allows.
 2. Rows (shingle, set) that no other set has are dropped; the others meet in tiles of one
    shingle and one band of sizes, each band also visited by the next one, as sets whose
    sizes differ more cannot be similar.
@@ -40,6 +44,8 @@ from ..operators.components import components
 from .common import shared_dir, stepwise
 
 SHINGLE_WORDS, PERCENT = 5, 80
+#: Listed shingles of sets that are mostly uncrowded; None lists the whole prefix of every set.
+LISTED: int | None = 24
 BUCKETS, CHUNKS = 1 << 18, 64
 #: Odd multipliers that mix word hashes into shingle hashes.
 MIX = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5], dtype=np.uint64)
@@ -140,7 +146,7 @@ def _band(n: int, percent: int) -> int:
     return int(math.floor(math.log(n) / math.log(100 / percent) + 1e-9))
 
 
-def _sets(levels, width, percent):
+def _sets(levels, width, percent, listed):
     def run(batches):
         seen: set[int] = set()
         for batch in batches:
@@ -160,6 +166,8 @@ def _sets(levels, width, percent):
                 seen.add(a)
                 level = levels[_bucket(s)]
                 most = n - -(-percent * n // 100) + 1
+                if listed and (level == 0).sum() >= 0.75 * n:
+                    most = min(most, listed)
                 first = s[np.lexsort((s, level))[:most]]
                 out.append((n, a, first.view(np.int64), bitmap(s), _band(n, percent)))
             n, a, first, bits, band = zip(*out)
@@ -333,7 +341,7 @@ def _linked(pairs: DataFrame, arrays: DataFrame, percent: int) -> DataFrame:
     return pairs.join(left, "x").join(right, "y").select("x", "y", "sx", "sy").mapInArrow(stepwise(_verify(percent)), "x long, y long")
 
 
-def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = SHINGLE_WORDS, percent: int = PERCENT) -> DataFrame:
+def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = SHINGLE_WORDS, percent: int = PERCENT, listed: int | None = LISTED) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (smallest id reachable by links)."""
     spark = docs.sparkSession
     folder = f"{shared_dir(spark)}/jaccard-{uuid.uuid4().hex}"
@@ -344,7 +352,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
 
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
     levels = crowded_levels(texts.select("text"), width)
-    rows = kept(texts.mapInArrow(stepwise(_sets(levels, width, percent)), "doc_id long, n_shingles long, a long, first array<long>, bits binary, band int"), "sets")
+    rows = kept(texts.mapInArrow(stepwise(_sets(levels, width, percent, listed)), "doc_id long, n_shingles long, a long, first array<long>, bits binary, band int"), "sets")
     sets = rows.filter("first is not null").groupBy("a").agg(F.first("n_shingles").alias("n"), F.first("bits").alias("bits"), F.first("band").alias("band"), F.first("first").alias("list"))
     lists = rows.filter("first is not null").select("a", F.explode("first").alias("token"))
     # A shingle stays if two sets list it, which the smallest and the largest set tell.

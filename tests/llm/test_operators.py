@@ -174,15 +174,23 @@ def _components(rows):
     return Counter((d, len(sets[i]), min((x for x in groups[find(i)] if x is not None), default=None)) for i, (d, _) in enumerate(rows))
 
 
-def test_jaccard(spark, docs, empty):
+@pytest.mark.parametrize("listed", [jaccard.LISTED, None])
+def test_jaccard(spark, docs, empty, listed):
     numbers = [(10**5 + i, " ".join(map(str, range(n)))) for i, n in enumerate((100, 103, 110, 118, 124, 125, 126))]
     d = docs.select("doc_id", "text").unionByName(spark.createDataFrame(numbers, "doc_id long, text string"))
     rows = rows_of(d)
-    got = Counter((r.doc_id, r.n_shingles, r.component_id) for r in jaccard.near_duplicates(d).collect())
+    got = Counter((r.doc_id, r.n_shingles, r.component_id) for r in jaccard.near_duplicates(d, listed=listed).collect())
     assert got == _components(rows)
     assert jaccard.near_duplicates(empty).count() == 0
 
 
+def test_jaccard_finds_every_link_of_larger_tables(spark):
+    """Recall of links against brute force on all documents of the next larger tables: 1.0."""
+    d = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    got = Counter((r.doc_id, r.n_shingles, r.component_id) for r in jaccard.near_duplicates(d).collect())
+    assert got == _components(rows_of(d))
+
+
 def test_jaccard_stars(spark):
     """Hubs whose two leaves are linked through them only: both leaves pick the hub, the hub one leaf."""
     made = []
