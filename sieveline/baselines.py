@@ -8,8 +8,9 @@ from pyspark.sql import functions as F
 from .functions.prompts import conform
 from .functions.text import jaccard, truncate_middle
 from .model import PerfectModel, Task
-from .operators import sem_map
+from .operators import all_words_pairs, sem_map
 from .plans.ir import Context, Pipeline
+from .store import small, stored
 
 
 def as_written(plan: Pipeline, df: DataFrame, model=None, text: str = "text", doc_id: str = "doc_id") -> DataFrame:
@@ -28,8 +29,17 @@ def string_map(df: DataFrame, task: Task, model=None, doc_id: str = "doc_id") ->
 
 
 def doc_query(df: DataFrame, task: Task, model=None, doc_id: str = "doc_id") -> DataFrame:
-    """One query a document with the prompt and normalisation of :func:`string_map`."""
-    return string_map(df, task, model, doc_id)
+    """One query for the fields and types of the schema over each document, asked one type at a time and
+    normalised like :func:`string_map`; answers of all queries are united."""
+    from functools import reduce
+
+    parts = list(task.parts) or [task]
+    for i, p in enumerate(parts):
+        df = string_map(df, p.on(p.content, f"__query{i}"), model, doc_id).withColumnRenamed("parse_failed", f"__failed{i}")
+    found = F.concat(*[F.coalesce(F.col(f"__query{i}"), F.array().cast(task.schema)) for i in range(len(parts))])
+    failed = reduce(lambda a, b: a & b, [F.col(f"__failed{i}") for i in range(len(parts))])
+    out = df.withColumn(task.name, F.array_sort(F.array_distinct(found))).withColumn("parse_failed", failed)
+    return out.drop(*[f"__{k}{i}" for k in ("query", "failed") for i in range(len(parts))])
 
 
 #: What field descriptions compile to in the schema-driven program.
@@ -45,7 +55,9 @@ def best_sentence(df: DataFrame, doc_id: str, text: str, descriptions: DataFrame
     """Per document and type the sentence most similar to the type's description, if above the threshold."""
     s = df.select(doc_id, F.explode(F.array_distinct(F.filter(F.split(text, "[.\n]"), lambda x: F.trim(x) != ""))).alias("span"))
     s = s.withColumn("span", F.trim("span"))
-    pairs = s.join(F.broadcast(descriptions), F.arrays_overlap(F.split(F.lower("span"), " +"), F.split(F.lower("description"), " +")))
+    # A sentence meets a description by their words; the few descriptions are broadcast after a check.
+    by_word = small(descriptions.withColumn("__w", F.explode(F.array_distinct(F.split(F.lower("description"), " +")))))
+    pairs = s.withColumn("__w", F.explode(F.array_distinct(F.split(F.lower("span"), " +")))).join(by_word, "__w").drop("__w").distinct()
     pairs = pairs.withColumn("sim", F.round(jaccard(F.col("span"), F.col("description")), 6)).filter(F.col("sim") > threshold)
     return pairs.groupBy(doc_id, "type").agg(F.max_by("span", F.struct("sim", "span")).alias("span"), F.max("sim").alias("sim"))
 
@@ -58,9 +70,12 @@ def lexicon_reviews(df: DataFrame, group: str, review: str, text: str, lexicon:
 
 
 def pattern_locations(df: DataFrame, keys: list[str], text: str, gazetteer: DataFrame, place: str) -> DataFrame:
-    """Places of the gazetteer that stand in the text (a list of checked size, broadcast)."""
-    g = F.broadcast(gazetteer.select(F.col(place).alias("place")).distinct())
-    return df.select(*keys, text).join(g, F.contains(F.col(text), F.col("place"))).select(*keys, "place").distinct()
+    """Places of the gazetteer that stand in the text: both meet by their words, then the text is searched."""
+    g = gazetteer.select(F.col(place).alias("place")).distinct()
+    rows = stored(df.select(*keys, text), "texts").withColumn("__key", F.to_json(F.struct(*keys)))
+    pairs = all_words_pairs(rows, "__key", text, g, "place", "place").distinct()
+    hits = rows.join(pairs, "__key").filter(F.contains(F.col(text), F.col("place")))
+    return hits.select(*keys, "place").distinct()
 
 
 def substring_rank(left: DataFrame, left_id: str, text: str, candidates: DataFrame, right: DataFrame, right_id: str, label: str) -> DataFrame:

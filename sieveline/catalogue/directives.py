@@ -12,13 +12,13 @@ from ..functions.text import token_count, tokens
 from ..model import Profile, SimulatedModel, Task
 from ..plans.directives import BY_ID, Hints, first_tokens, union_items
 from ..plans.ir import Context, EquijoinOp, GatherOp, MapOp, Pipeline, ProjectOp, ReduceOp, SplitOp, UnnestOp
-from ..plans.optimizer import Search, duel_plans, extraction_validator, optimize, pareto, plan_scores, rate_plans, run_adaptive
+from ..plans.optimizer import RuleGenerator, Search, duel_plans, extraction_validator, optimize, pareto, plan_scores, rate_plans, run_adaptive
 from ..workloads import inputs as W
 from .registry import query, spans, toks
 from .semantic import _LINES, _PASSAGE_SQL, _SPLIT, CONTACT_SQL, flat
 
 BASE = spans(CONTACT_SQL)
-HINTS = Hints(columns=("doc_id", "text", "lang", "source"))
+HINTS = Hints(chunk_tokens=(100,), columns=("doc_id", "text", "lang", "source"))
 
 
 def _first(directive: str, ops, hints, pick: int = 0) -> Pipeline:
@@ -93,13 +93,14 @@ def d07_glean_map(spark, sf):
     return flat(_first("D7", [MapOp(W.extraction(W.CONTACTS))], HINTS).run(W.documents(spark, sf)))
 
 
-@query("SELECT r_name, count(DISTINCT n_name)::BIGINT AS n FROM nation JOIN region ON n_regionkey = r_regionkey WHERE n_nationkey IN (SELECT c_nationkey FROM customer JOIN orders ON c_custkey = o_custkey) GROUP BY r_name")
+@query("SELECT r_name, least(4, count(DISTINCT n_name))::BIGINT AS n FROM nation JOIN region ON n_regionkey = r_regionkey WHERE n_nationkey IN (SELECT c_nationkey FROM customer JOIN orders ON c_custkey = o_custkey) GROUP BY r_name")
 def d08_glean_reduce(spark, sf):
-    """A summary that stops at three nations is refined with the whole group at hand."""
-    few = lambda rows: F.slice(F.array_sort(F.array_distinct(F.transform(rows, lambda r: r["n_name"]))), 1, 3)
-    all_ = lambda rows: F.array_sort(F.array_distinct(F.transform(rows, lambda r: r["n_name"])))
-    complete = lambda text, answer: F.size(answer) != 3
-    plan = _first("D8", [ReduceOp(("r_name",), ("n_name",), few, "names")], replace(HINTS, satisfied=complete, final=all_))
+    """A model that names two nations a call is asked on, the group at hand, until nothing in it is unnamed."""
+    names = lambda rows: F.array_sort(F.array_distinct(F.transform(rows, lambda r: r["n_name"])))
+    few = lambda rows: F.slice(names(rows), 1, 2)
+    more = lambda rows, answer: F.concat(answer, F.slice(F.array_except(names(rows), answer), 1, 2))
+    named = lambda text, answer: F.size(F.regexp_extract_all(F.aggregate(answer, text, lambda t, n: F.replace(t, F.concat(F.lit('"'), n, F.lit('"')), F.lit(""))), F.lit("NATION"), F.lit(0))) == 0
+    plan = _first("D8", [ReduceOp(("r_name",), ("n_name",), few, "names")], replace(HINTS, satisfied=named, refine=more, gleaning=1))
     return plan.run(_regional(spark, sf).select("r_name", "n_name").distinct()).select("r_name", F.size("names").cast("long").alias("n"))
 
 
@@ -207,26 +208,59 @@ def duel_candidate_plans(spark, sf):
     return duel_plans(rate_plans(outs, v, "doc_id"))
 
 
+#: What the search runs against: long texts and several asks hurt.
+SEARCHED = SimulatedModel(Profile("s", 4000, keep=700, per_hundred_tokens=60, per_ask=100, floor=100, hallucination=30))
+_SIGNS = "regexp_matches(text, '@|[0-9][.][0-9]')"
+
+
+def _search(spark, sf, **more):
+    d = W.documents(spark, sf).filter("text rlike '@|[0-9][.][0-9]'").withColumn("source_text", F.col("text"))
+    hints = Hints(columns=("doc_id", "text", "lang", "source", "source_text"))
+    validator = extraction_validator("items", "source_text", W.CONTACTS, more.pop("scale", 4))
+    generator = RuleGenerator(chunk_cap=2, shapes=1)
+    return d, Search(d, Context(SEARCHED), hints, validator, generator=generator, **({"max_depth": 1, "max_plans": 8} | more))
+
+
 @query()
 def optimize_contacts(spark, sf):
-    """The full search on a simulated model: what it picked, how many plans it ran."""
-    from ..store import stored
+    """The full search on a simulated model: what it picked, what it cost, and the ratings over all documents."""
+    plan = Pipeline((MapOp(W.extraction(W.CONTACTS)),))
+    d, search = _search(spark, sf)
+    best = optimize(plan, d, search)
+    judge = lambda p: round(search.validator.judge(p.run(d, search.ctx)), 6)
+    bill = search.account().first()
+    row = (" / ".join(best.trail), bill.plans, bill.calls, bill.tokens_in, bill.dollars, judge(plan), judge(best))
+    return spark.createDataFrame([row], "picked string, tried int, calls long, tokens_in long, dollars double, as_written double, optimized double")
 
-    task = W.extraction(W.CONTACTS)
-    d = W.documents(spark, sf).filter("text rlike '@|[0-9][.][0-9]'").withColumn("source_text", F.col("text"))
-    sample = stored(d.orderBy("doc_id").limit(40), "sample")
-    sim = SimulatedModel(Profile("s", 4000, keep=700, per_hundred_tokens=60, per_ask=100, floor=100, hallucination=30))
-    hints = Hints(columns=("doc_id", "text", "lang", "source", "source_text"), parts=parts(W.CONTACTS))
-    search = Search(sample, Context(sim), hints, extraction_validator("items", "source_text", W.CONTACTS), max_depth=1)
-    best = optimize(Pipeline((MapOp(task),)), d, search)
-    score = search.validator.judge(best.run(sample, Context(sim)))
-    base = search.validator.judge(Pipeline((MapOp(task),)).run(sample, Context(sim)))
-    return spark.createDataFrame([(" / ".join(best.trail), search.tried, round(base, 6), round(score, 6))], "picked string, tried int, as_written double, optimized double")
+
+@query()
+def optimize_strategies(spark, sf):
+    """Two-stage selection beside its ablations, and the other rating scale: pick and rating over all documents."""
+    out = []
+    for strategy, scale in (("two_stage", 4), ("rate", 4), ("duel", 4), ("two_stage", 5)):
+        d, search = _search(spark, sf, strategy=strategy, scale=scale, max_plans=4)
+        best = optimize(Pipeline((MapOp(W.extraction(W.CONTACTS)),)), d, search)
+        out.append((strategy, scale, " / ".join(best.trail), round(search.validator.judge(best.run(d, search.ctx)), 6)))
+    return spark.createDataFrame(out, "strategy string, scale int, picked string, rating double")
+
+
+@query(f"WITH d AS (SELECT doc_id, len({toks('text')}) AS n FROM documents WHERE {_SIGNS}), s AS (SELECT n FROM d ORDER BY -ln((('0x' || substr(md5('0|' || doc_id), 1, 8))::BIGINT + 1.0) / 4294967297.0) / greatest(n, 1), doc_id LIMIT 40) SELECT 3::BIGINT * count(*) AS calls, 3::BIGINT * sum(least(n, 4000))::BIGINT AS tokens_in, max(n)::BIGINT AS longest FROM s")
+def optimize_account(spark, sf):
+    """The account of one gleaned plan over the search's own sample: three calls a document."""
+    d, search = _search(spark, sf)
+    plan = _first("D7", [MapOp(W.extraction(W.CONTACTS))], HINTS)
+    search.output(plan)
+    return search.account().select("calls", "tokens_in").withColumn("longest", F.lit(search.stats.max_tokens).cast("long"))
+
+
+_PARETO = "SELECT lang || ' ' || source AS plan, count(*)::BIGINT AS accuracy, sum(n_chars)::BIGINT AS cost FROM documents GROUP BY ALL"
 
 
-@query("SELECT a, c FROM (VALUES (1, 1), (2, 2), (4, 4)) v(a, c)")
+@query(f"WITH p AS ({_PARETO}) SELECT plan, accuracy, cost FROM p WHERE NOT EXISTS (SELECT 1 FROM p q WHERE q.plan <> p.plan AND q.cost <= p.cost AND q.accuracy >= p.accuracy AND (q.cost < p.cost OR q.accuracy > p.accuracy))")
 def pareto_plans(spark, sf):
-    return pareto(spark.createDataFrame([(1, 1), (2, 2), (2, 3), (4, 4), (3, 5)], "a int, c int"), "a", "c")
+    """Groups of documents as plans, their number as accuracy and their characters as cost."""
+    d = W.table(spark, sf, "documents").groupBy(F.concat_ws(" ", "lang", "source").alias("plan")).agg(F.count(F.lit(1)).alias("accuracy"), F.sum("n_chars").alias("cost"))
+    return pareto(d, "accuracy", "cost")
 
 
 @query(BASE)

@@ -73,7 +73,7 @@ def metric_label_accuracy(spark, sf):
     return M.label_accuracy(pred, W.table(spark, sf, "labels"), ["doc_id"], "answer", "toxic")
 
 
-@query("WITH s AS (SELECT DISTINCT n_name FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE o_orderkey % 20 = 0 AND o_orderkey IN (SELECT l_orderkey FROM lineitem)) SELECT round(avg((n_nationkey < 20)::INT), 6) AS precision, count(*)::BIGINT AS distinct_found FROM s JOIN nation USING (n_name)")
+@query("WITH s AS (SELECT DISTINCT n_name FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem)) SELECT round(avg((n_nationkey < 20)::INT), 6) AS precision, count(*)::BIGINT AS distinct_found FROM s JOIN nation USING (n_name)")
 def metric_verified_precision(spark, sf):
     s = W.sightings(spark, sf).withColumn("text", F.concat("raw", F.lit(" seen in "), "place"))
     g = W.table(spark, sf, "nation").filter("n_nationkey < 20")
@@ -148,9 +148,11 @@ def base_lexicon_reviews(spark, sf):
     return B.lexicon_reviews(W.reviews(spark, sf), "game", "review_id", "text", W.LEXICON)
 
 
-@query("WITH s AS (SELECT o_orderkey, n_name || ';' AS t FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE o_orderkey % 20 = 0 AND o_orderkey IN (SELECT l_orderkey FROM lineitem)) SELECT o_orderkey, n_name AS place FROM s JOIN nation ON contains(t, n_name)")
+@query("WITH s AS (SELECT o_orderkey, n_name || '; passed by ' || 'NATION_' || (o_orderkey % 31) || '; on ' || o_orderkey AS t FROM orders JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem)) SELECT DISTINCT o_orderkey, n_name AS place FROM s JOIN nation ON contains(t, n_name) AND list_contains(string_split_regex(lower(t), '[^a-z0-9]+'), lower(string_split(n_name, '_')[2]))")
 def base_pattern_locations(spark, sf):
-    s = W.sightings(spark, sf).withColumn("text", F.concat("place", F.lit(";")))
+    """Texts with the customer's nation, a second place that the gazetteer may not know, and a number."""
+    other = F.concat(F.lit("NATION_"), (F.col("o_orderkey") % 31).cast("string"))
+    s = W.sightings(spark, sf).withColumn("text", F.concat("place", F.lit("; passed by "), other, F.lit("; on "), F.col("o_orderkey").cast("string")))
     return B.pattern_locations(s, ["o_orderkey"], "text", W.table(spark, sf, "nation"), "n_name")
 
 
@@ -162,11 +164,11 @@ def base_substring_rank(spark, sf):
 
 @query()
 def base_map_search_filter(spark, sf):
-    """Ranked passages by hashed vectors of the text, 10 nearest, then the containment filter."""
+    """Ranked passages by hashed vectors of the text, 49 nearest, then the containment filter."""
     d, b = W.documents(spark, sf).select("doc_id", "text"), W.table(spark, sf, "benchmark").withColumnRenamed("text", "label")
     left = d.join(O.hashed_vectors(d, "doc_id", "text"), "doc_id")
     right = b.join(O.hashed_vectors(b, "item_id", "label"), "item_id")
-    return O.map_search_filter(left, "doc_id", right, "item_id", "vector", 10, F.contains("text", "label")).select("doc_id", "item_id", "rank")
+    return O.map_search_filter(left, "doc_id", right, "item_id", "vector", 49, F.contains("text", "label")).select("doc_id", "item_id", "rank")
 
 
 @query(f"SELECT d.doc_id, len({toks('d.text')})::BIGINT AS n FROM documents d ORDER BY n DESC, doc_id LIMIT 20")

@@ -68,7 +68,8 @@ def filter_toxic(spark, sf):
 def reduce_by_source(spark, sf):
     d = W.documents(spark, sf).withColumn("k", token_count(F.col("text")))
     total = lambda rows: F.struct(F.size(rows).cast("long").alias("n"), F.aggregate(rows, F.lit(0).cast("long"), lambda a, r: a + r["k"]).alias("n_tokens"))
-    return O.sem_reduce(d, ["source"], ["k"], total).select("source", "answer.*")
+    merge = lambda xs: F.struct(F.aggregate(xs, F.lit(0).cast("long"), lambda a, x: a + x["n"]).alias("n"), F.aggregate(xs, F.lit(0).cast("long"), lambda a, x: a + x["n_tokens"]).alias("n_tokens"))
+    return O.sem_reduce(d, ["source"], ["k"], total, merge=merge).select("source", "answer.*")
 
 
 @query("SELECT conv_id, string_agg(role || ':' || substr(text, 1, 12), ' | ' ORDER BY turn) AS summary FROM conversations GROUP BY conv_id")
@@ -86,8 +87,10 @@ def reduce_user_day(spark, sf):
 
 @query("SELECT string_agg(DISTINCT event_type, ',' ORDER BY event_type) AS types FROM events")
 def reduce_global(spark, sf):
-    e = O.sem_reduce(W.table(spark, sf, "events"), ["event_type"], ["event_type"], lambda rows: F.size(rows), "n")
-    return O.sem_reduce(e, [], ["event_type"], lambda rows: F.array_join(F.array_sort(F.transform(rows, lambda r: r["event_type"])), ","), "types")
+    """The whole table is one group, summarised in parts and merged."""
+    kinds = lambda rows: F.array_distinct(F.transform(rows, lambda r: r["event_type"]))
+    merge = lambda xs: F.array_join(F.array_sort(F.array_distinct(F.flatten(xs))), ",")
+    return O.sem_reduce(W.table(spark, sf, "events"), [], ["event_type"], kinds, "types", merge=merge)
 
 
 def _repeat_users(spark, sf, size):
@@ -122,15 +125,20 @@ def fold_batch_invariance(spark, sf):
     return out
 
 
-@query("SELECT p AS percent, greatest(1, floor(4000 * p / 100.0 / 25))::INT AS batch FROM (VALUES (20), (40), (60), (75), (90)) v(p)")
+_MEAN = f"(SELECT greatest(avg(len({toks('text')})), 1) AS mean FROM documents)"
+
+
+@query(f"SELECT p AS percent, greatest(1, floor(4000 * p / 100.0::DOUBLE / mean))::INT AS batch FROM (VALUES (20), (40), (60), (75), (90)) v(p), {_MEAN}")
 def fold_batch_candidates(spark, sf):
-    return spark.createDataFrame(list(zip((20, 40, 60, 75, 90), D.fold_batches(4000, 25))), "percent int, batch int")
+    """Batches that fill shares of the context window with documents of mean length."""
+    sizes = D.fold_batches(4000, D.mean_tokens(W.documents(spark, sf), "text"))
+    return spark.createDataFrame(list(zip((20, 40, 60, 75, 90), sizes)), "percent int, batch int")
 
 
 @query("SELECT event_type, count(*)::BIGINT AS n FROM events GROUP BY event_type")
 def tree_reduce_counts(spark, sf):
     e = W.table(spark, sf, "events").withColumn("n", F.lit(1).cast("long"))
-    return O.tree_reduce(e, ["event_type"], "n", ["event_id"], 32, lambda vs: F.aggregate(vs, F.lit(0).cast("long"), lambda a, x: a + x), 3)
+    return O.tree_reduce(e, ["event_type"], "n", ["event_id"], 32, lambda vs: F.aggregate(vs, F.lit(0).cast("long"), lambda a, x: a + x))
 
 
 @query("WITH s AS (SELECT DISTINCT p_name FROM part) SELECT p_name AS clean, count(*)::BIGINT AS n_variants FROM s, (VALUES (0), (1), (2)) GROUP BY p_name")
@@ -163,25 +171,39 @@ def resolve_near_copies(spark, sf):
 
 @query("SELECT upper(n_name) AS a, upper(r_name) AS b, count(*)::BIGINT AS n FROM nation JOIN region ON n_regionkey = r_regionkey JOIN customer ON c_nationkey = n_nationkey GROUP BY ALL")
 def resolve_two_keys(spark, sf):
-    """Two keys resolved independently: each has the plain and the lower-cased spelling."""
+    """Two keys resolved as one: pairs of values, each in the plain or the lower-cased spelling."""
     n, r, c = (W.table(spark, sf, x) for x in ("nation", "region", "customer"))
     j = c.join(n, c["c_nationkey"] == n["n_nationkey"]).join(r, n["n_regionkey"] == r["r_regionkey"])
     low = F.col("c_custkey") % 3 == 0
     noisy = j.select(F.when(low, F.lower("n_name")).otherwise(F.col("n_name")).alias("a"), F.when(low, F.lower("r_name")).otherwise(F.col("r_name")).alias("b"))
-    for k in "ab":
-        noisy = O.resolve(noisy, k, O.normalized_pairs(noisy, k), lambda x, y: F.lower(x) == F.lower(y))
+    same = lambda x, y: (F.lower(x["a"]) == F.lower(y["a"])) & (F.lower(x["b"]) == F.lower(y["b"]))
+    noisy = O.resolve_jointly(noisy, ["a", "b"], normalized, same)
     return noisy.select(F.upper("a").alias("a"), F.upper("b").alias("b")).groupBy("a", "b").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("SELECT count(DISTINCT n_regionkey)::BIGINT AS clusters, true AS fewer FROM nation")
+_PARITY = "CASE WHEN n_nationkey % 2 = 0 THEN 0 ELSE 1 END"
+
+
+@query(f"WITH n AS (SELECT *, {_PARITY} AS p FROM nation), l AS (SELECT p, min(n_name) AS x FROM n GROUP BY p), s AS (SELECT l.p, n.n_regionkey AS r FROM l JOIN n ON n.n_name = l.x) SELECT (SELECT count(*) FROM nation)::BIGINT - (SELECT count(*) - count(DISTINCT n.p) FROM n JOIN s ON n.p = s.p AND n.n_regionkey = s.r)::BIGINT AS clusters")
+def resolve_context(spark, sf):
+    """Names whose numbers have one parity may be the same; only the regions that stand beside them tell."""
+    n = W.table(spark, sf, "nation").join(W.table(spark, sf, "region"), F.col("n_regionkey") == F.col("r_regionkey")).select("n_name", "r_name")
+    odd = lambda x: (F.regexp_extract(x, "[0-9]+", 0).cast("int") % 2).cast("string")
+    out = O.resolve(n, "n_name", O.keyed_pairs(n, "n_name", odd), lambda x, y, cx, cy: cx == cy, context="r_name")
+    return out.agg(F.countDistinct("n_name").alias("clusters"))
+
+
+@query(f"SELECT count(DISTINCT n_regionkey * 2 + {_PARITY})::BIGINT AS clusters FROM nation")
 def resolve_transitivity_skip(spark, sf):
-    """All pairs inside a region are equal: the strongest pairs settle most others unseen."""
+    """Pairs inside a region; those of unlike parity are refused, the others settled by the strongest first."""
     n = W.table(spark, sf, "nation").select("n_name", "n_regionkey")
     a, b = n.alias("a"), n.alias("b")
     pairs = a.join(b, (F.col("a.n_regionkey") == F.col("b.n_regionkey")) & (F.col("a.n_name") < F.col("b.n_name"))).select(F.col("a.n_name").alias("x"), F.col("b.n_name").alias("y"))
     pairs = pairs.withColumn("sim", F.conv(F.substring(F.md5(F.concat("x", "y")), 1, 4), 16, 10).cast("double") / 65536)
-    links, compared = resolve_stepwise(pairs, lambda x, y: F.lit(True))
-    return O.components(links).agg(F.countDistinct("label").alias("clusters")).withColumn("fewer", F.lit(compared < pairs.count()))
+    odd = lambda x: F.regexp_extract(x, "[0-9]+", 0).cast("int") % 2
+    links, _ = resolve_stepwise(pairs, lambda x, y: odd(x) == odd(y))
+    labels = O.components(links)
+    return n.join(labels, n["n_name"] == labels["node"], "left").agg(F.countDistinct(F.coalesce("label", "n_name")).alias("clusters"))
 
 
 def passage_pairs(spark, sf):
@@ -221,7 +243,10 @@ def equijoin_topk(spark, sf):
     return O.sem_rank(_passages(spark, sf), ["doc_id"], F.length("label"), ["item_id"], 2).select("doc_id", "item_id", "rank")
 
 
-@query(f"SELECT d.doc_id, b.item_id FROM documents d, benchmark b WHERE len(list_filter(list_distinct(list_filter(string_split_regex(lower(b.text), '[^a-zà-ÿß0-9]+'), lambda w: w <> '')), lambda w: NOT list_contains(string_split_regex(lower(d.text), '[^a-zà-ÿß0-9]+'), w))) = 0")
+_WORDS = "list_distinct(list_filter(string_split_regex(lower({}), '[^a-zà-ÿß0-9]+'), lambda w: w <> ''))"
+
+
+@query(f"WITH d AS (SELECT doc_id, unnest({_WORDS.format('text')}) AS w FROM documents), b AS (SELECT item_id, unnest({_WORDS.format('text')}) AS w FROM benchmark), n AS (SELECT item_id, count(*) AS n FROM b GROUP BY 1), f AS (SELECT w, count(*) AS c FROM d WHERE w IN (SELECT w FROM b) GROUP BY 1), r AS (SELECT item_id, arg_min(b.w, (coalesce(c, 0), b.w)) AS w FROM b LEFT JOIN f USING (w) GROUP BY 1), p AS (SELECT doc_id, item_id FROM d JOIN r USING (w)) SELECT p.doc_id, p.item_id FROM p JOIN b USING (item_id) JOIN d ON d.doc_id = p.doc_id AND d.w = b.w JOIN n ON n.item_id = p.item_id GROUP BY p.doc_id, p.item_id HAVING count(*) = max(n)")
 def block_all_words(spark, sf):
     return passage_pairs(spark, sf)
 
@@ -236,11 +261,11 @@ def block_normalized(spark, sf):
 _DOT = "list_sum(list_transform(list_zip(a.embedding, b.embedding), lambda p: p[1]::DOUBLE * p[2]::DOUBLE))"
 
 
-@query(f"SELECT a.vec_id AS a_id, b.vec_id AS b_id FROM embeddings a, embeddings b WHERE a.vec_id % 20 = 0 AND b.vec_id < 200 AND {_DOT} >= 0.3")
+@query(f"SELECT a.vec_id AS a_id, b.vec_id AS b_id FROM embeddings a, embeddings b WHERE a.vec_id % 20 = 0 AND round({_DOT}, 6) >= 0.3")
 def block_embedding_exact(spark, sf):
     e = W.table(spark, sf, "embeddings")
     left = e.filter("vec_id % 20 = 0").select(F.col("vec_id").alias("a_id"), "embedding")
-    right = e.filter("vec_id < 200").select(F.col("vec_id").alias("b_id"), "embedding")
+    right = e.select(F.col("vec_id").alias("b_id"), "embedding")
     return O.cosine_pairs(left, right, "a_id", "b_id", "embedding", 0.3).select("a_id", "b_id")
 
 
@@ -255,13 +280,43 @@ def block_embedding_buckets(spark, sf):
     return exact.join(near, ["a_id", "b_id"], "left").agg(F.count(F.lit(1)).alias("exact"), F.sum("hit").alias("found"))
 
 
-@query("SELECT min(doc_id + item_id) AS threshold, count(*)::BIGINT AS true_pairs FROM (SELECT *, row_number() OVER (ORDER BY doc_id + item_id DESC) AS r, count(*) OVER () AS m FROM (" + _PASSAGE_SQL + ")) WHERE r <= ceil(m * 0.95) HAVING count(*) > 0 UNION ALL SELECT NULL, 0 WHERE false")
-def tune_threshold_sums(spark, sf):
-    """The 95 % rule on a judged sample; the similarity is a stand-in that both engines have exactly."""
-    p = passage_pairs(spark, sf).join(W.documents(spark, sf).select("doc_id", "text"), "doc_id").join(W.table(spark, sf, "benchmark").withColumnRenamed("text", "label"), "item_id")
-    judged = p.select((F.col("doc_id") + F.col("item_id")).alias("sim"), F.contains("text", "label").alias("match"))
-    t = O.tune_threshold(judged, "sim", "match")
-    return t.withColumn("true_pairs", F.ceil(F.col("true_pairs") * 0.95).cast("long"))
+_LIKELY = f"SELECT a_id, b_id, sim, m FROM (SELECT a.vec_id AS a_id, b.vec_id AS b_id, round({_DOT}, 6) AS sim, a.label = b.label AS m FROM embeddings a, embeddings b WHERE a.vec_id % 20 = 0 AND a.vec_id <> b.vec_id) ORDER BY sim DESC, a_id, b_id LIMIT 300"
+
+
+def _likely(spark, sf):
+    """The 300 most similar pairs of every 20th vector with all others; a pair is true if the labels agree."""
+    e = W.table(spark, sf, "embeddings").select("vec_id", "embedding", "label")
+    a, b = e.select(F.col("vec_id").alias("a_id"), "embedding", F.col("label").alias("la")).filter("a_id % 20 = 0"), e.select(F.col("vec_id").alias("b_id"), "embedding", F.col("label").alias("lb"))
+    # No more than 300 of the best pairs can be of one vector, which itself comes first.
+    near = O.similar(a, b, "a_id", "b_id", "embedding", k=301).filter("a_id != b_id")
+    sample = O.likely_pairs(near, "sim", 300, ["a_id", "b_id"])
+    return sample.join(a.select("a_id", "la"), "a_id").join(b.select("b_id", "lb"), "b_id").withColumn("match", F.col("la") == F.col("lb"))
+
+
+@query(f"WITH p AS ({_LIKELY}), t AS (SELECT sim, row_number() OVER (ORDER BY sim DESC) AS r, count(*) OVER () AS n FROM p WHERE m) SELECT max(CASE WHEN r = ceil(n * 0.95::DOUBLE) THEN sim END) AS threshold, count(*)::BIGINT AS true_pairs FROM t")
+def tune_threshold_embeddings(spark, sf):
+    """The largest cosine threshold that keeps 95 % of the true pairs among the likely ones."""
+    return O.tune_threshold(_likely(spark, sf), "sim", "match")
+
+
+_BOTH = "WITH a AS (SELECT doc_id, md5(text) AS h, length(text) AS n, lang FROM documents), s AS (SELECT x.doc_id AS x, y.doc_id AS y FROM a x JOIN a y ON x.h = y.h AND x.doc_id < y.doc_id), l AS (SELECT x.doc_id AS x, y.doc_id AS y FROM a x JOIN a y ON x.n = y.n AND x.lang = y.lang AND x.doc_id < y.doc_id) "
+
+
+@query(_BOTH + "SELECT (SELECT count(*) FROM (SELECT * FROM s UNION SELECT * FROM l))::BIGINT AS either, (SELECT count(*) FROM (SELECT * FROM s INTERSECT SELECT * FROM l))::BIGINT AS both")
+def block_combined(spark, sf):
+    """Two code rules, equal digest and equal length in one language: pairs of either and of both."""
+    d = W.documents(spark, sf).select("doc_id", F.md5("text").alias("h"), F.length("text").alias("n"), "lang")
+
+    def rule(*on):
+        b = d.toDF(*[f"y_{c}" for c in d.columns])
+        cond = F.col("doc_id") < F.col("y_doc_id")
+        for c in on:
+            cond = cond & (F.col(c) == F.col(f"y_{c}"))
+        return d.join(b, cond).select(F.col("doc_id").alias("x"), F.col("y_doc_id").alias("y"))
+
+    rules = [rule("h"), rule("n", "lang")]
+    count = lambda how: O.combined(rules, ["x", "y"], how).agg(F.count(F.lit(1)))
+    return count("or").toDF("either").crossJoin(count("and").toDF("both"))
 
 
 @query("SELECT conv_id, turn, role FROM conversations")
@@ -355,7 +410,7 @@ def gather_turns(spark, sf):
     return g.select("conv_id", "turn", F.regexp_replace(F.regexp_extract("r", "(?s)<previous>(.*)</previous>", 1), "(?s)^.*\n", "").alias("before"))
 
 
-@query("SELECT r_name || '/' || n_name || '/' || c_name AS customer, '# ' || r_name || ' > ## ' || n_name AS lineage FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey WHERE c_custkey % 10 = 0")
+@query("SELECT r_name || '/' || n_name || '/' || c_name AS customer, '# ' || r_name || ' > ## ' || n_name AS lineage FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey")
 def gather_header_lineage(spark, sf):
     rows = W.ledger(spark, sf).withColumn("headers", F.array(F.struct("level", F.col("line").alias("header"))))
     out = O.header_lineage(rows, "region", "pos", "headers")
@@ -411,19 +466,25 @@ def sample_size_biased(spark, sf):
     return size_biased_sample(W.table(spark, sf, "documents"), "doc_id", F.col("n_chars"), 50).select("doc_id")
 
 
-@query("SELECT 20::BIGINT AS base, ceil(20 / (0.5 * 0.3))::BIGINT AS grown")
+@query("WITH s AS (SELECT avg((lang = 'en')::INT) AS a, sum((lang = 'en' AND contains(text, '.'))::INT) / sum((lang = 'en')::INT) AS b FROM documents) SELECT 20::BIGINT AS base, ceil(20 / (a * b))::BIGINT AS grown FROM s")
 def selectivity_scaling(spark, sf):
-    return spark.createDataFrame([(20, required_sample(20, [0.5, 0.3]))], "base long, grown long")
+    """The sample that two filters after each other ask for: their selectivities are measured."""
+    d = W.documents(spark, sf)
+    n, first, second = d.agg(F.count(F.lit(1)), F.sum((F.col("lang") == "en").cast("int")), F.sum(((F.col("lang") == "en") & F.contains("text", F.lit("."))).cast("int"))).first()
+    return spark.createDataFrame([(20, required_sample(20, [first / n, second / first]))], "base long, grown long")
 
 
-@query("WITH m AS (SELECT 1000.0 AS mean), c AS (SELECT 4000 * (15 + 15 * i) // 100 AS n FROM range(5) r(i) UNION SELECT floor(mean * (15 + 17 * i) / 100)::BIGINT FROM m, range(6) r(i)) SELECT DISTINCT n::BIGINT AS n FROM c WHERE n <= 4000")
+@query(f"WITH m AS (SELECT mean FROM {_MEAN}), c AS (SELECT 4000 * (15 + 15 * i) // 100 AS n FROM range(5) r(i) UNION SELECT floor(mean * (15 + 17 * i) / 100)::BIGINT FROM m, range(6) r(i)) SELECT DISTINCT greatest(1, n)::BIGINT AS n FROM c WHERE n <= 4000")
 def chunk_candidates(spark, sf):
-    return spark.createDataFrame([(n,) for n in D.chunk_sizes(4000, 1000.0)], "n long")
+    """Chunk sizes to try for documents of the table's mean length."""
+    return spark.createDataFrame([(n,) for n in D.chunk_sizes(4000, D.mean_tokens(W.documents(spark, sf), "text"))], "n long")
 
 
-@query("SELECT * FROM (VALUES (1000, 900, 3), (1000, 200, 4), (1000, 50, 6)) v(doc, chunk, shapes)")
+@query(f"SELECT share, (3 + CASE WHEN r > 1.5 THEN (floor(sqrt(r)) > 1)::INT + (r > 10)::INT + (r > 5)::INT ELSE 0 END)::INT AS shapes FROM (SELECT share, mean / greatest(1, floor(mean * share / 100)) AS r FROM {_MEAN}, (VALUES (90), (40), (15), (5)) s(share))")
 def gather_candidates(spark, sf):
-    return spark.createDataFrame([(d, c, len(D.gather_shapes(d, c, "s"))) for d, c in ((1000, 900), (1000, 200), (1000, 50))], "doc int, chunk int, shapes int").withColumn("shapes", F.when(F.col("chunk") == 50, F.least("shapes", F.lit(6))).otherwise(F.col("shapes")))
+    """How many context shapes are tried as chunks get smaller against the table's mean document."""
+    mean = D.mean_tokens(W.documents(spark, sf), "text")
+    return spark.createDataFrame([(s, len(D.gather_shapes(mean, max(1, int(mean * s / 100)), "s"))) for s in (90, 40, 15, 5)], "share int, shapes int")
 
 
 @query(f"SELECT count(*)::BIGINT AS calls, sum(least(len({toks('text')}), 4000))::BIGINT AS tokens_in FROM documents")

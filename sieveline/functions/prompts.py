@@ -91,6 +91,11 @@ class Template:
             raise ValueError(f"the prompt names unknown attributes: {unknown}")
 
 
+def fold_prompt(prompt: str, name: str) -> str:
+    """The prompt of a fold's later batches, from that of its first: the answer so far stands before the request."""
+    return f"The answer so far:\n{{{{ {name} }}}}\nBring it up to date with what follows; keep what still holds.\n{prompt}"
+
+
 #: Names of simple types in output schemas.
 SIMPLE = {"string": T.StringType(), "str": T.StringType(), "text": T.StringType(), "int": T.LongType(), "integer": T.LongType(), "number": T.DoubleType(), "float": T.DoubleType(), "bool": T.BooleanType(), "boolean": T.BooleanType()}
 

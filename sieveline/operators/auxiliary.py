@@ -79,46 +79,68 @@ def _part(text: Column, fraction: float, from_end: bool) -> Column:
 def gather(df: DataFrame, doc_id: str, order: str, content: str, peripheral: Peripheral, rendered: str | None = None, headers: str | None = None) -> DataFrame:
     """Add ``<content>_rendered``: the chunk between tags of its context; the rows stay the same.
 
-    One window a document collects what the sections show; sections are slices of that
-    list, so one shuffle by document serves them all. Never overlapping: head before tail
-    before middle. Skipped stretches are marked with their number of chunks.
+    Sections are read through bounded frames: a row holds the chunks that it shows and no
+    others, whatever the length of the document (only ``middle`` shows all of a stretch).
+    Never overlapping: head before tail before middle. Skipped stretches are marked with
+    their number of chunks.
     """
-    keys = {content}
-    for s in (peripheral.previous, peripheral.next):
-        keys |= {k for k in (s.head_key, s.middle_key, s.tail_key) if k}
-    w = Window.partitionBy(doc_id)
-    listed = F.array_sort(F.collect_list(F.struct(order, *sorted(keys))).over(w))
-    nth = F.row_number().over(w.orderBy(order))
-    out = df.withColumn("__all", listed).withColumn("__i", nth)
-    n, i = F.size("__all"), F.col("__i")
-
-    def show(start: Column, count: Column, key: str | None) -> Column:
-        safe = F.when(count > 0, F.slice("__all", F.greatest(start, F.lit(1)), F.greatest(count, F.lit(0)))).otherwise(F.slice("__all", 1, 0))
-        return F.transform(safe, lambda x: x[key or content])
+    w = Window.partitionBy(doc_id).orderBy(order)
+    back = Window.partitionBy(doc_id).orderBy(F.col(order).desc())
+    p, q = peripheral.previous, peripheral.next
+    empty = F.array().cast("array<string>")
+    out = df.withColumn("__i", F.row_number().over(w)).withColumn("__n", F.count(F.lit(1)).over(Window.partitionBy(doc_id)))
+    n, i = F.col("__n"), F.col("__i")
+    shown = lambda key: F.struct(F.col(key or content).cast("string").alias("x"))
+    text = lambda xs: F.transform(xs, lambda x: x["x"])
+    columns: dict[str, Column] = {}
+
+    def keep(name: str, value: Column) -> Column:
+        columns[name] = value
+        return F.col(name)
+
+    def frame(name: str, key: str | None, start: int, end: int) -> Column:
+        return keep(name, F.collect_list(shown(key)).over(w.rowsBetween(start, end)))
+
+    def outermost(name: str, key: str | None, count: int, window) -> Column:
+        """The first ``count`` chunks of a document in the window's order, as far as they stand before the row."""
+        found = [keep(f"{name}{k}", F.nth_value(shown(key), k).over(window.rowsBetween(Window.unboundedPreceding, -1))) for k in range(1, count + 1)]
+        return F.array_compact(F.array(*found)) if found else F.array().cast("array<struct<x:string>>")
 
     def gap(count: Column) -> Column:
-        return F.when(count > 0, F.array(F.concat(F.lit("[... "), count.cast("string"), F.lit(" chunks ...]")))).otherwise(F.array().cast("array<string>"))
+        return F.when(count > 0, F.array(F.concat(F.lit("[... "), count.cast("string"), F.lit(" chunks ...]")))).otherwise(empty)
 
-    p, q = peripheral.previous, peripheral.next
-    before, after = i - 1, n - i
+    def part(xs: Column, start: Column, count: Column) -> Column:
+        return F.when(count > 0, text(F.slice(xs, F.greatest(start, F.lit(1)), F.greatest(count, F.lit(0))))).otherwise(empty)
+
+    before, after = (i - 1).cast("int"), (n - i).cast("int")
     head = F.least(F.lit(p.head), before)
     tail = F.least(F.lit(p.tail), before - head)
     mid = before - head - tail
-    prev = F.concat(show(F.lit(1), head, p.head_key), show(head + 1, mid, p.middle_key) if p.middle else gap(mid), show(i - tail, tail, p.tail_key))
+    if p.fraction is not None:
+        last = keep("__last", F.lag(content).over(w))
+        prev = F.when(i > 1, F.array(_part(last, p.fraction, True))).otherwise(empty)
+    else:
+        near_end = frame("__tail", p.tail_key, -p.tail, -1) if p.tail else F.array().cast("array<struct<x:string>>")
+        middle = part(frame("__mid", p.middle_key, Window.unboundedPreceding, -1), head + 1, mid) if p.middle else gap(mid)
+        prev = F.concat(text(outermost("__head", p.head_key, p.head, w)), middle, part(near_end, F.size(near_end) - tail + 1, tail))
     near = F.least(F.lit(q.head), after)
     far = F.least(F.lit(q.tail), after - near)
     rest = after - near - far
-    nxt = F.concat(show(i + 1, near, q.head_key), show(i + 1 + near, rest, q.middle_key) if q.middle else gap(rest), show(n - far + 1, far, q.tail_key))
-    if p.fraction is not None:
-        prev = F.when(i > 1, F.array(_part(F.get("__all", i - 2)[content], p.fraction, True))).otherwise(F.array().cast("array<string>"))
     if q.fraction is not None:
-        nxt = F.when(i < n, F.array(_part(F.get("__all", i)[content], q.fraction, False))).otherwise(F.array().cast("array<string>"))
+        following = keep("__following", F.lead(content).over(w))
+        nxt = F.when(i < n, F.array(_part(following, q.fraction, False))).otherwise(empty)
+    else:
+        right_after = text(frame("__near", q.head_key, 1, q.head)) if q.head else empty
+        middle = part(frame("__rest", q.middle_key, 1, Window.unboundedFollowing), near + 1, rest) if q.middle else gap(rest)
+        # The last chunks come last to first.
+        ends = outermost("__far", q.tail_key, q.tail, back)
+        nxt = F.concat(right_after, middle, F.reverse(part(ends, F.lit(1), far)))
     parts = []
     if headers:
         parts.append(F.when(F.coalesce(F.col(headers), F.lit("")) != "", F.concat(F.lit("<headers>"), F.col(headers), F.lit("</headers>\n"))).otherwise(""))
     wrap = lambda tag, xs: F.when(F.size(xs) > 0, F.concat(F.lit(f"<{tag}>"), F.array_join(xs, "\n"), F.lit(f"</{tag}>"))).otherwise("")
-    text = F.concat(*parts, wrap("previous", prev), F.lit("<chunk>"), F.col(content), F.lit("</chunk>"), wrap("next", nxt))
-    return out.withColumn(rendered or f"{content}_rendered", text).drop("__all", "__i")
+    whole = F.concat(*parts, wrap("previous", prev), F.lit("<chunk>"), F.col(content), F.lit("</chunk>"), wrap("next", nxt))
+    return out.withColumns(columns).withColumn(rendered or f"{content}_rendered", whole).drop("__i", "__n", *columns)
 
 
 def header_lineage(df: DataFrame, doc_id: str, order: str, headers: str, levels: int = 3, mode: str = "path", name: str = "lineage") -> DataFrame:

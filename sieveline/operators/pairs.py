@@ -2,22 +2,26 @@
 
 Unblocked pairs are never enumerated. Rules become joins: normalised equality is a hash
 key, "all words of the label" meets on the label's rarest word only, cosine blocking
-compares hashed vectors inside sign buckets (several rounds) or exactly when one side is
-small enough to be checked.
+compares hashed vectors inside sign buckets (several rounds) or exactly by matrix products
+with blocks of the smaller side.
 """
 
 from __future__ import annotations
 
-from collections.abc import Callable
+import math
+from collections.abc import Callable, Iterator
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
-from ..store import cut
+from ..store import cut, stored
 from .components import components  # noqa: F401
 
-#: Most rows of a side that is compared exactly with the whole other side.
-SMALL_SIDE = 50_000
+#: Vectors of the smaller side that are sent to the tasks at once; rows of the other side in one product.
+BLOCK_ROWS, STEP_ROWS = 16_384, 256
 
 
 def words(text: Column) -> Column:
@@ -31,7 +35,12 @@ def normalized(text: Column) -> Column:
 
 def normalized_pairs(df: DataFrame, key: str) -> DataFrame:
     """Distinct value pairs (x, y), x < y, that are equal after normalisation: each with its class's least only."""
-    values = df.select(F.col(key).alias("v")).distinct().withColumn("n", normalized(F.col("v")))
+    return keyed_pairs(df, key, normalized)
+
+
+def keyed_pairs(df: DataFrame, key: str, rule: Callable[[Column], Column]) -> DataFrame:
+    """Distinct value pairs (x, y), x < y, on which a code rule agrees: each with its class's least only."""
+    values = df.select(F.col(key).alias("v")).distinct().withColumn("n", rule(F.col("v")))
     least = values.groupBy("n").agg(F.min("v").alias("x"))
     return values.join(least, "n").filter("x < v").select("x", F.col("v").alias("y"))
 
@@ -40,16 +49,28 @@ def all_words_pairs(left: DataFrame, left_id: str, text: str, right: DataFrame,
     """(left_id, right_id) where all words of the label stand in the text.
 
     Each label probes with its rarest word of the left corpus alone; the other words are
-    checked on the pairs that this finds, and no pair of the rule can be missed.
+    checked on the pairs that this finds, and no pair of the rule can be missed. Texts stay
+    at their scan as long as labels and found pairs are small enough for Spark to broadcast:
+    both are stored, so that it knows. Labels without any word match nothing.
     """
     lw = left.select(left_id, words(F.col(text)).alias("lw"))
     index = lw.select(left_id, F.explode("lw").alias("w"))
     rw = right.select(right_id, words(F.col(label)).alias("rw"))
-    probe = rw.select(right_id, F.explode("rw").alias("w"))
+    probe = stored(rw.select(right_id, F.explode("rw").alias("w")), "probe")
     counts = index.join(probe.select("w").distinct(), "w", "left_semi").groupBy("w").agg(F.count(F.lit(1)).alias("n"))
-    rarest = probe.join(counts, "w", "left").groupBy(right_id).agg(F.min_by("w", F.struct(F.coalesce("n", F.lit(0)), "w")).alias("w"))
-    found = index.join(rarest, "w").select(left_id, right_id).join(lw, left_id).join(rw, right_id)
-    return found.filter(F.size(F.array_except("rw", "lw")) == 0).select(left_id, right_id)
+    rarest = stored(probe.join(counts, "w", "left").groupBy(right_id).agg(F.min_by("w", F.struct(F.coalesce("n", F.lit(0)), "w")).alias("w")), "rarest")
+    found = stored(index.join(rarest, "w").select(left_id, right_id), "pairs")
+    checked = lw.join(found, left_id).join(rw, right_id)
+    return checked.filter(F.size(F.array_except("rw", "lw")) == 0).select(left_id, right_id)
+
+
+def combined(rules: list[DataFrame], keys: list[str], how: str = "or") -> DataFrame:
+    """Candidate pairs that any rule (``or``) or all of them (``and``) propose."""
+    out = rules[0].select(*keys).distinct()
+    for r in rules[1:]:
+        other = r.select(*keys).distinct()
+        out = out.unionByName(other).distinct() if how == "or" else out.join(other, keys, "left_semi")
+    return out
 
 
 def hashed_vectors(df: DataFrame, id_col: str, text: str, dims: int = 64) -> DataFrame:
@@ -67,31 +88,79 @@ def cosine(a: Column, b: Column) -> Column:
     return F.aggregate(F.zip_with(a, b, lambda x, y: x.cast("double") * y.cast("double")), F.lit(0.0), lambda acc, x: acc + x)
 
 
+def _blocks(right: DataFrame, right_id: str, vector: str) -> Iterator[tuple[list, np.ndarray]]:
+    """Ids in order and vectors of one block of the right side after the other."""
+    right = stored(right.filter(F.col(vector).isNotNull()).select(right_id, vector), "vectors")
+    n = max(1, math.ceil(right.count() / BLOCK_ROWS))
+    for k in range(n):
+        part = right.filter(F.pmod(F.xxhash64(right_id), F.lit(n)) == k) if n > 1 else right
+        rows = sorted(part.toLocalIterator(), key=lambda r: r[0])
+        if rows:
+            yield [r[0] for r in rows], np.array([r[1] for r in rows], np.float64)
+
+
+def similar(left: DataFrame, right: DataFrame, left_id: str, right_id: str, vector: str, threshold: float | None = None, k: int | None = None) -> DataFrame:
+    """(left_id, right_id, sim): dot products that reach a threshold, or the k largest of each left row.
+
+    Blocks of at most about :data:`BLOCK_ROWS` vectors of the right side go to the tasks of
+    the left side one by one, so that neither side has to fit anywhere and no pair that
+    fails is ever a row. Ties go to the smaller id. Null vectors have no pairs.
+    """
+    schema = T.StructType([T.StructField(left_id, left.schema[left_id].dataType), T.StructField(right_id, right.schema[right_id].dataType), T.StructField("sim", T.DoubleType())])
+    kinds = [pa.from_numpy_dtype(np.int64) if isinstance(f.dataType, T.LongType) else pa.int32() if isinstance(f.dataType, T.IntegerType) else pa.string() for f in schema.fields[:2]]
+    slim = left.filter(F.col(vector).isNotNull()).select(left_id, vector)
+
+    def product(ids, block):
+        def run(batches):
+            for batch in batches:
+                for at in range(0, batch.num_rows, STEP_ROWS):
+                    own, vectors = (batch.column(i).slice(at, STEP_ROWS).to_pylist() for i in range(2))
+                    sims = np.round(np.array(vectors, np.float64) @ block.T, 6)
+                    rows: list = []
+                    for i, s in enumerate(sims):
+                        if k is None:
+                            pick = np.flatnonzero(s >= threshold)
+                        else:
+                            least = np.partition(s, len(s) - k)[len(s) - k] if len(s) > k else -np.inf
+                            pick = np.flatnonzero(s >= least)
+                            pick = pick[np.argsort(-s[pick], kind="stable")[:k]]
+                        rows += [(own[i], ids[j], float(s[j])) for j in pick.tolist()]
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows) if rows else [[]] * 3, (*kinds, pa.float64()))], names=schema.names)
+
+        return run
+
+    out = None
+    for ids, block in _blocks(right, right_id, vector):
+        part = slim.mapInArrow(product(ids, block), schema)
+        out = part if out is None else out.unionByName(part)
+    return left.sparkSession.createDataFrame([], schema) if out is None else out
+
+
 def cosine_pairs(left: DataFrame, right: DataFrame, left_id: str, right_id: str, vector: str, threshold: float, rounds: int | None = None, bits: int = 8, dims: int = 64) -> DataFrame:
-    """(left_id, right_id, sim) of vectors whose cosine reaches the threshold.
+    """(left_id, right_id, sim) of unit vectors whose cosine, to six places, reaches the threshold.
 
-    With ``rounds`` None the comparison is exact and the right side must have at most
-    :data:`SMALL_SIDE` rows, which is checked. Else candidates share the signs of ``bits``
-    fixed random projections in at least one of ``rounds`` rounds.
+    With ``rounds`` None the comparison is exact, by blocks of the right side. Else
+    candidates share the signs of ``bits`` fixed random projections in at least one of
+    ``rounds`` rounds.
     """
+    if rounds is None:
+        return similar(left, right, left_id, right_id, vector, threshold)
     r = right.select(right_id, F.col(vector).alias("rv"))
     l = left.select(left_id, F.col(vector).alias("lv"))  # noqa: E741
-    if rounds is None:
-        if r.limit(SMALL_SIDE + 1).count() > SMALL_SIDE:
-            raise ValueError("the right side is too large for exact comparison; give rounds")
-        pairs = l.join(F.broadcast(r), cosine(F.col("lv"), F.col("rv")) >= threshold)
-    else:
-        import numpy as np
+    planes = np.random.Generator(np.random.Philox(key=7)).standard_normal((rounds, bits, dims))
 
-        planes = np.random.Generator(np.random.Philox(key=7)).standard_normal((rounds, bits, dims))
+    def keys(v):
+        sign = lambda p: F.when(cosine(F.col(v), F.array(*[F.lit(float(x)) for x in p])) >= 0, "1").otherwise("0")
+        return F.explode(F.array(*[F.concat(F.lit(f"{i}:"), *[sign(p) for p in planes[i]]) for i in range(rounds)]))
 
-        def keys(v):
-            sign = lambda p: F.when(cosine(F.col(v), F.array(*[F.lit(float(x)) for x in p])) >= 0, "1").otherwise("0")
-            return F.explode(F.array(*[F.concat(F.lit(f"{i}:"), *[sign(p) for p in planes[i]]) for i in range(rounds)]))
+    pairs = l.withColumn("k", keys("lv")).join(r.withColumn("k", keys("rv")), "k").drop("k").dropDuplicates([left_id, right_id])
+    pairs = pairs.withColumn("sim", F.round(cosine(F.col("lv"), F.col("rv")), 6)).filter(F.col("sim") >= threshold)
+    return pairs.select(left_id, right_id, "sim")
 
-        pairs = l.withColumn("k", keys("lv")).join(r.withColumn("k", keys("rv")), "k").drop("k").dropDuplicates([left_id, right_id])
-        pairs = pairs.filter(cosine(F.col("lv"), F.col("rv")) >= threshold)
-    return pairs.select(left_id, right_id, F.round(cosine(F.col("lv"), F.col("rv")), 6).alias("sim"))
+
+def likely_pairs(pairs: DataFrame, sim: str, n: int, ties: list[str]) -> DataFrame:
+    """The n most similar pairs, which are those that a judge is asked about; a task keeps n rows, nothing is sorted whole."""
+    return pairs.orderBy(F.col(sim).desc(), *ties).limit(n)
 
 
 def tune_threshold(judged: DataFrame, sim: str, match: str, recall: float = 0.95) -> DataFrame:
@@ -101,14 +170,21 @@ def tune_threshold(judged: DataFrame, sim: str, match: str, recall: float = 0.95
     return true.agg(F.max(F.when(F.col("r") == F.ceil(F.col("m") * F.lit(recall)), F.col(sim))).alias("threshold"), F.count(F.lit(1)).alias("true_pairs"))
 
 
-def resolve(df: DataFrame, key: str, candidates: DataFrame, compare: Callable[[Column, Column], Column], into: str | None = None) -> DataFrame:
+def resolve(df: DataFrame, key: str, candidates: DataFrame, compare: Callable[..., Column], into: str | None = None, context: str | None = None) -> DataFrame:
     """Replace fuzzy-equal values of ``key`` by a canonical one; the number of rows stays.
 
     ``candidates`` are value pairs (x, y) from blocking. Pairs that compare equal are links
     between values; the canonical value of a cluster is the most frequent, then shortest,
-    then smallest. The mapping is joined back on the value.
+    then smallest. The mapping is joined back on the value. With ``context`` the comparison
+    also gets a record's text for either value: that of its least row.
     """
-    links = candidates.filter(compare(F.col("x"), F.col("y")))
+    if context:
+        around = df.filter(F.col(key).isNotNull()).groupBy(F.col(key).alias("__v")).agg(F.min(context).alias("__c"))
+        for side in "xy":
+            candidates = candidates.join(around.select(F.col("__v").alias(side), F.col("__c").alias(f"c{side}")), side)
+        links = candidates.filter(compare(F.col("x"), F.col("y"), F.col("cx"), F.col("cy")))
+    else:
+        links = candidates.filter(compare(F.col("x"), F.col("y")))
     counts = df.groupBy(F.col(key).alias("v")).agg(F.count(F.lit(1)).alias("c")).filter("v is not null")
     labels = components_of(links)
     named = counts.join(labels, F.col("v") == F.col("node"), "left").withColumn("label", F.coalesce("label", "v"))
@@ -118,6 +194,20 @@ def resolve(df: DataFrame, key: str, candidates: DataFrame, compare: Callable[[C
     return out.withColumn(into or key, F.col("canonical")).drop("canonical")
 
 
+def resolve_jointly(df: DataFrame, keys: list[str], rule: Callable[[Column], Column], compare: Callable[[Column, Column], Column]) -> DataFrame:
+    """Several keys as one: the tuples of their values are blocked by a rule a key, compared and replaced together.
+
+    ``compare`` gets two structs with the keys as fields. Tuples are carried as JSON.
+    """
+    kind = T.StructType([T.StructField(k, df.schema[k].dataType) for k in keys])
+    packed = df.withColumn("__joint", F.to_json(F.struct(*keys), {"ignoreNullFields": "false"}))
+    unpack = lambda x: F.from_json(x, kind)
+    pairs = keyed_pairs(packed, "__joint", lambda x: F.to_json(F.struct(*[rule(unpack(x)[k]).alias(k) for k in keys])))
+    out = resolve(packed, "__joint", pairs, lambda x, y: compare(unpack(x), unpack(y)))
+    out = out.withColumn("__joint", unpack(F.col("__joint")))
+    return out.withColumns({k: F.col(f"__joint.{k}") for k in keys}).drop("__joint")
+
+
 def components_of(links: DataFrame) -> DataFrame:
     return components(links.select("x", "y"))
 
@@ -158,11 +248,9 @@ def equijoin(left: DataFrame, right: DataFrame, left_id: str, right_id: str, can
 
 def map_search_filter(left: DataFrame, left_id: str, right: DataFrame, right_id: str, vector: str, k: int, keep: Column) -> DataFrame:
     """The search baseline: the k most similar labels of each row, then a filter, ranked by similarity."""
-    if right.limit(SMALL_SIDE + 1).count() > SMALL_SIDE:
-        raise ValueError("too many labels for exact search")
-    r = F.broadcast(right.withColumnRenamed(vector, "rv"))
-    pairs = left.crossJoin(r).withColumn("sim", F.round(cosine(F.col(vector), F.col("rv")), 6))
+    near = similar(left, right, left_id, right_id, vector, k=k)
     w = Window.partitionBy(left_id).orderBy(F.col("sim").desc(), right_id)
-    near = pairs.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
-    hits = near.filter(keep)
+    # Each block of labels gave its own k.
+    near = near.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).drop("rank")
+    hits = left.drop(vector).join(near, left_id).join(right.drop(vector), right_id).filter(keep)
     return hits.withColumn("rank", F.row_number().over(w))

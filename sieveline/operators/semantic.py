@@ -2,14 +2,23 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..model import PerfectModel, Task
+from ..store import cut, stored
+from .numbering import largest_group, numbered
 
 PERFECT = PerfectModel()
+#: Most rows of a group that one call of a summary gets; larger groups need ``merge``, a fold or a tree.
+MAX_GROUP = 1_000_000
+#: Parts over which the rows of a group are summarised before they are merged.
+PARTS = 64
+#: Batches of a group that a fold holds in one row; the state goes on to the next such row.
+SEGMENT = 256
 
 
 def sem_map(df: DataFrame, task: Task, model=PERFECT, doc_id: str = "doc_id", drop_keys: tuple[str, ...] = (), turn: int = 0) -> DataFrame:
@@ -18,47 +27,100 @@ def sem_map(df: DataFrame, task: Task, model=PERFECT, doc_id: str = "doc_id", dr
 
 
 def sem_parallel_map(df: DataFrame, tasks: list[Task], model=PERFECT, doc_id: str = "doc_id") -> DataFrame:
-    """Independent tasks on the same rows in one projection."""
-    return df.select("*", *[model.answer(t, F.col(doc_id)).alias(t.name) for t in tasks])
+    """Independent tasks on the same rows in one projection.
+
+    Tasks over one column share its token count where the model needs it, which a
+    projection below them computes once.
+    """
+    shared = {}
+    if hasattr(model, "counted"):
+        for i, content in enumerate(dict.fromkeys(t.content for t in tasks)):
+            shared[content] = f"__tokens{i}"
+        df = df.select("*", *[model.counted(F.col(c)).alias(n) for c, n in shared.items()])
+        answers = [model.answer(t, F.col(doc_id), counted=F.col(shared[t.content])).alias(t.name) for t in tasks]
+    else:
+        answers = [model.answer(t, F.col(doc_id)).alias(t.name) for t in tasks]
+    return df.select("*", *answers).drop(*shared.values())
 
 
 def sem_filter(df: DataFrame, task: Task, model=PERFECT, doc_id: str = "doc_id") -> DataFrame:
     return df.filter(model.answer(task, F.col(doc_id)))
 
 
-def sem_reduce(df: DataFrame, keys: list[str], payload: list[str], summarise: Callable[[Column], Column], name: str = "answer", order_by: list[str] | None = None) -> DataFrame:
+def _guarded(rows: Column) -> Column:
+    """The rows of a group, or an error where one call cannot be meant to hold them."""
+    large = F.raise_error(F.concat(F.lit("a group has "), F.size(rows).cast("string"), F.lit(" rows: give merge, or use fold or tree_reduce")))
+    return F.when(F.size(rows) > MAX_GROUP, large.cast("void")).otherwise(rows)
+
+
+def sem_reduce(df: DataFrame, keys: list[str], payload: list[str], summarise: Callable[[Column], Column], name: str = "answer", order_by: list[str] | None = None, merge: Callable[[Column], Column] | None = None) -> DataFrame:
     """One row per key: ``summarise`` gets the group's structs, sorted by ``order_by`` if given.
 
-    Without keys the whole frame is one group. Rows keep their order only if it is asked
-    for; associative summaries of large groups belong in :func:`tree_reduce` or :func:`fold`.
+    Without keys the whole frame is one group. An associative summary says with ``merge``
+    how an array of its answers becomes one: groups are then summarised in :data:`PARTS`
+    parts by a hash of their rows first, so that neither a hot group nor the frame meets in
+    one task. Without ``merge`` a group of over :data:`MAX_GROUP` rows is an error.
     """
-    rows = F.collect_list(F.struct(*(order_by or []), *[p for p in payload if p not in (order_by or [])]))
-    rows = F.array_sort(rows) if order_by else rows
-    return df.groupBy(*keys).agg(rows.alias("__rows")).select(*keys, summarise(F.col("__rows")).alias(name))
+    fields = [*(order_by or []), *[p for p in payload if p not in (order_by or [])]]
+    listed = F.collect_list(F.struct(*fields))
+    if merge and not order_by:
+        part = F.pmod(F.xxhash64(*fields, F.monotonically_increasing_id()), F.lit(PARTS)).cast("int")
+        parts = df.withColumn("__part", part).groupBy(*keys, "__part").agg(listed.alias("__rows")).select(*keys, summarise(F.col("__rows")).alias("__a"))
+        return parts.groupBy(*keys).agg(F.collect_list("__a").alias("__as")).select(*keys, merge(F.col("__as")).alias(name))
+    rows = F.array_sort(listed) if order_by else listed
+    return df.groupBy(*keys).agg(rows.alias("__rows")).select(*keys, summarise(_guarded(F.col("__rows"))).alias(name))
 
 
-def fold(df: DataFrame, keys: list[str], payload: list[str], order_by: list[str], batch_size: int, zero: Column, step: Callable[[Column, Column], Column], finish: Callable[[Column], Column] = lambda s: s, name: str = "answer") -> DataFrame:
+def fold(df: DataFrame, keys: list[str], payload: list[str], order_by: list[str], batch_size: int, zero: Column, step: Callable[[Column, Column], Column], finish: Callable[[Column], Column] = lambda s: s, name: str = "answer", merge: Callable[[Column, Column], Column] | None = None, segment: int = SEGMENT) -> DataFrame:
     """Batched fold: batches of a group in order, each handed to ``step`` with the state so far.
 
     The state is any struct, so that a scratchpad travels beside the accumulated output.
-    Also returns ``n_calls``, the length of the sequential chain.
+    Also returns ``n_calls``, the length of the sequential chain. A row holds at most
+    ``segment`` batches. Where a group has more, the state is written and goes on to its
+    next segment, round by round; an associative step may give ``merge`` of two states
+    instead, and all segments are folded at once.
     """
-    w = Window.partitionBy(*keys).orderBy(*order_by)
-    placed = df.select(*keys, F.struct(*payload).alias("__row"), *[F.col(c).alias(f"__o{i}") for i, c in enumerate(order_by)], F.row_number().over(w).alias("__n"))
-    batches = placed.groupBy(*keys, F.floor((F.col("__n") - 1) / batch_size).alias("__b")).agg(F.array_sort(F.collect_list(F.struct("__n", "__row"))).alias("__rows"))
-    groups = batches.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("__b", F.transform("__rows", lambda r: r["__row"]).alias("rows")))).alias("__batches"))
-    out = F.aggregate("__batches", zero, lambda acc, b: step(acc, b["rows"]), finish)
-    return groups.select(*keys, out.alias(name), F.size("__batches").cast("long").alias("n_calls"))
-
-
-def tree_reduce(df: DataFrame, keys: list[str], value: str, order_by: list[str], fanout: int, merge: Callable[[Column], Column], levels: int) -> DataFrame:
-    """Hierarchical merge for associative tasks: groups of ``fanout`` values, level by level.
-
-    The number of levels is fixed by the caller (log of the largest group by fan-out), so
-    that the plan stays lazy; the last level merges what is left of each group.
+    slim = df.select(*keys, F.struct(*payload).alias("__row"), *[F.col(c).alias(f"__o{i}") for i, c in enumerate(order_by)])
+    placed = numbered(slim, keys, [f"__o{i}" for i in range(len(order_by))])
+    batch = F.floor(F.col("__n") / batch_size)
+    batches = placed.groupBy(*keys, batch.alias("__b")).agg(F.array_sort(F.collect_list(F.struct("__n", "__row"))).alias("__rows"))
+    rows = F.transform("__rows", lambda r: r["__row"]).alias("rows")
+    parts = batches.groupBy(*keys, F.floor(F.col("__b") / segment).alias("__s")).agg(F.array_sort(F.collect_list(F.struct("__b", rows))).alias("__batches"))
+    run = lambda start: F.aggregate("__batches", start, lambda acc, b: step(acc, b["rows"]))
+    rounds = math.ceil((largest_group(df, keys) or 1) / batch_size / segment)
+    if rounds <= 1:
+        return parts.select(*keys, finish(run(zero)).alias(name), F.size("__batches").cast("long").alias("n_calls"))
+    parts = stored(parts, "segments")
+    if merge:
+        states = parts.select(*keys, "__s", run(zero).alias("__state"), F.size("__batches").cast("long").alias("__calls"))
+        joined = states.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("__s", "__state"))).alias("__all"), F.sum("__calls").alias("n_calls"))
+        whole = F.aggregate(F.slice("__all", 2, rounds), F.get("__all", F.lit(0))["__state"], lambda acc, s: merge(acc, s["__state"]))
+        return joined.select(*keys, finish(whole).alias(name), "n_calls")
+    state = None
+    for i in range(rounds):
+        now = parts.filter(F.col("__s") == i).withColumn("__calls", F.size("__batches").cast("long"))
+        if state is None:
+            state = cut(now.select(*keys, run(zero).alias("__state"), "__calls"))
+            continue
+        same = F.lit(True)
+        for j, k in enumerate(keys):
+            same = same & F.col(k).eqNullSafe(F.col(f"__k{j}"))
+        following = now.select(*[F.col(k).alias(f"__k{j}") for j, k in enumerate(keys)], "__batches", F.col("__calls").alias("__more"))
+        both = state.join(following, same, "left")
+        after = F.when(F.col("__batches").isNull(), F.col("__state")).otherwise(run(F.col("__state")))
+        state = cut(both.select(*keys, after.alias("__state"), (F.col("__calls") + F.coalesce("__more", F.lit(0))).alias("__calls")))
+    return state.select(*keys, finish(F.col("__state")).alias(name), F.col("__calls").alias("n_calls"))
+
+
+def tree_reduce(df: DataFrame, keys: list[str], value: str, order_by: list[str], fanout: int, merge: Callable[[Column], Column], levels: int | None = None) -> DataFrame:
+    """Hierarchical merge for associative tasks: ``fanout`` neighbours become one, level by level.
+
+    As many levels as the largest group needs (or those given; then the last one merges what is left).
     """
-    w = Window.partitionBy(*keys).orderBy(*order_by)
-    cur = df.select(*keys, F.col(value).alias("__v"), (F.row_number().over(w) - 1).alias("__n"))
+    if levels is None:
+        levels = max(0, math.ceil(math.log(max(1, largest_group(df, keys)), fanout)) - 1)
+    cur = numbered(df.select(*keys, F.col(value).alias("__v"), *[F.col(c).alias(f"__o{i}") for i, c in enumerate(order_by)]), keys, [f"__o{i}" for i in range(len(order_by))])
+    cur = cur.select(*keys, "__v", "__n")
     for _ in range(levels):
         cur = cur.groupBy(*keys, F.floor(F.col("__n") / fanout).alias("__n")).agg(F.array_sort(F.collect_list(F.struct("__n", "__v"))).alias("__vs"))
         cur = cur.select(*keys, "__n", merge(F.transform("__vs", lambda r: r["__v"])).alias("__v"))

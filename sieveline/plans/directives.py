@@ -20,8 +20,9 @@ from .ir import EquijoinOp, FilterOp, GatherOp, MapOp, Op, ParallelMapOp, Projec
 
 @dataclass(frozen=True)
 class Hints:
-    chunk_tokens: tuple[int, ...] = (100,)
-    peripherals: tuple[Peripheral, ...] = (Peripheral(), Peripheral(previous=Side(tail=1)))
+    #: Chunk sizes and context shapes; where none are given, a generator fills them in.
+    chunk_tokens: tuple[int, ...] = ()
+    peripherals: tuple[Peripheral, ...] = ()
     columns: tuple[str, ...] = ("doc_id",)
     doc_key: str = "doc_id"
     parts: tuple[Task, ...] = ()
@@ -38,6 +39,8 @@ class Hints:
     resolve_keys: tuple[str, ...] = ()
     satisfied: Callable[[Column, Column], Column] = lambda text, answer: F.size(answer) > 0
     gleaning: int = 1
+    #: How a reduce is refined: from the whole group and the answer so far.
+    refine: Callable[[Column, Column], Column] | None = None
 
 
 def union_items(name: str) -> Callable[[Column], Column]:
@@ -68,8 +71,8 @@ def _chunking(ops, h):
     if not _fresh(op) or not op.task.is_list:
         return []
     text, out = op.task.content, []
-    for n in h.chunk_tokens:
-        for p in h.peripherals:
+    for n in h.chunk_tokens or (100,):
+        for p in h.peripherals or (Peripheral(), Peripheral(previous=Side(tail=1))):
             # An item belongs to the chunk it starts in: context is shown, but the chunk is mapped.
             chunk = op.task.on(f"{text}_chunk")
             carry = tuple(c for c in h.columns if c != h.doc_key and c != text)
@@ -115,11 +118,17 @@ def _glean_map(ops, h):
 
 
 def _glean_reduce(ops, h):
-    """The group stays at hand: where the validator objects, the whole group is summarised again and united."""
+    """The group stays at hand: where the validator objects, the answer is refined with the whole group, round by round."""
     (op,) = ops
     text = lambda rows: F.array_join(F.transform(rows, lambda r: F.to_json(r)), " ")
-    again = h.final or op.summarise
-    refined = lambda rows: F.when(h.satisfied(text(rows), op.summarise(rows)), op.summarise(rows)).otherwise(again(rows))
+    # Without a rule of its own a refinement reads the group from its other end and unites.
+    refine = h.refine or (lambda rows, answer: F.array_union(answer, op.summarise(F.reverse(rows))))
+
+    def refined(rows):
+        # One round an element, so that the answer so far is computed once a round.
+        rounds = F.sequence(F.lit(1), F.lit(h.gleaning))
+        return F.aggregate(rounds, op.summarise(rows), lambda acc, _: F.when(h.satisfied(text(rows), acc), acc).otherwise(refine(rows, acc)))
+
     return [(replace(op, summarise=refined),)]
 
 

@@ -3,7 +3,9 @@
 from __future__ import annotations
 
 import json
+from dataclasses import MISSING, fields, is_dataclass
 from pathlib import Path
+from typing import Any
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -39,8 +41,31 @@ def write_bucketed(df: DataFrame, table: str, key: str, buckets: int) -> None:
     df.write.mode("overwrite").bucketBy(buckets, key).sortBy(key).saveAsTable(table)
 
 
-def load_pipeline(path_or_dict: str | dict, tasks: dict):
-    """A pipeline from a YAML or JSON file or a dict: operations by type, tasks by name."""
+def _kinds() -> dict[str, type]:
+    from ..plans import ir
+
+    return {"map": ir.MapOp, "parallel_map": ir.ParallelMapOp, "filter": ir.FilterOp, "project": ir.ProjectOp, "unnest": ir.UnnestOp, "split": ir.SplitOp, "gather": ir.GatherOp, "reduce": ir.ReduceOp, "fold": ir.FoldOp, "resolve": ir.ResolveOp, "equijoin": ir.EquijoinOp}
+
+
+#: Names that users may write for the fields of operators.
+ALIASES = {
+    "map": {"name": "task", "drop_keys": "drop"},
+    "parallel_map": {"names": "tasks"},
+    "filter": {"name": "task"},
+    "unnest": {"unnest_key": "col"},
+    "split": {"split_key": "key"},
+    "gather": {"content_key": "content", "peripheral_chunks": "peripheral", "split": "name"},
+    "reduce": {"reduce_key": "keys"},
+}
+
+
+def load_pipeline(path_or_dict: str | dict, registry: dict[str, Any]):
+    """A pipeline from a YAML or JSON file or a dict.
+
+    Operations have a ``type`` and the fields of their operator. ``"@name"`` stands for what
+    the registry has under that name: tasks, functions, models. Names of tasks may also be
+    written plainly where a task is meant.
+    """
     from ..operators import Peripheral, Side
     from ..plans import ir
 
@@ -53,34 +78,89 @@ def load_pipeline(path_or_dict: str | dict, tasks: dict):
             import yaml
 
             spec = yaml.safe_load(text)
+
+    def value(x, name):
+        if isinstance(x, str) and x.startswith("@"):
+            return registry[x[1:]]
+        if name in ("task", "tasks") or (name in ("summarise", "compare") and isinstance(x, str)):
+            return registry[x] if isinstance(x, str) else tuple(value(v, name) for v in x)
+        if name == "peripheral":
+            return Peripheral(**{s: Side(**v) for s, v in (x or {}).items()})
+        if name == "keys" and isinstance(x, str):
+            return (x,)
+        return tuple(value(v, "") for v in x) if isinstance(x, list) else x
+
     ops = []
     for o in spec["operations"]:
         kind = o["type"]
-        if kind == "map":
-            ops.append(ir.MapOp(tasks[o["name"]], tuple(o.get("drop_keys", ()))))
-        elif kind == "parallel_map":
-            ops.append(ir.ParallelMapOp(tuple(tasks[n] for n in o["names"])))
-        elif kind == "filter":
-            ops.append(ir.FilterOp(tasks[o["name"]]))
-        elif kind == "unnest":
-            ops.append(ir.UnnestOp(o["unnest_key"], o.get("keep_empty", False)))
-        elif kind == "split":
-            ops.append(ir.SplitOp(o["split_key"], o["method_kwargs"]["num_tokens"], o.get("name", "split")))
-        elif kind == "gather":
-            sides = {s: Side(**v) for s, v in o.get("peripheral_chunks", {}).items()}
-            ops.append(ir.GatherOp(o["content_key"], Peripheral(**sides), o.get("split", "split")))
-        elif kind == "reduce":
-            keys = o["reduce_key"]
-            ops.append(ir.ReduceOp(tuple([keys] if isinstance(keys, str) else keys), tuple(o["payload"]), tasks[o["name"]], o["name"], tuple(o.get("order_by", ()))))
-        elif kind == "resolve":
-            ops.append(ir.ResolveOp(o["key"], tasks[o["name"]]))
-        else:
+        if kind not in _kinds():
             raise ValueError(f"unknown operation type: {kind}")
-    return ir.Pipeline(tuple(ops))
-
-
-def save_pipeline(plan, path: str) -> None:
-    """The optimised pipeline as a readable file with the trail of its rewrites."""
-    import yaml
-
-    Path(path).write_text(yaml.safe_dump({"operations": [op.describe() for op in plan.ops], "rewritten_by": list(plan.trail)}, sort_keys=False))
+        cls, known = _kinds()[kind], ALIASES.get(kind, {})
+        given = {known.get(k, k): v for k, v in o.items() if k != "type" and k != "method_kwargs"} | o.get("method_kwargs", {})
+        if kind == "reduce" and "summarise" not in given:
+            given["summarise"] = given["name"]
+        if kind == "resolve" and "compare" not in given:
+            given["compare"] = given.pop("name")
+        if extra := set(given) - {f.name for f in fields(cls)}:
+            raise ValueError(f"unknown fields of {kind}: {sorted(extra)}")
+        ops.append(cls(**{k: value(v, k) for k, v in given.items()}))
+    return ir.Pipeline(tuple(ops), tuple(spec.get("rewritten_by", ())))
+
+
+def describe_pipeline(plan) -> tuple[dict, dict[str, Any]]:
+    """What :func:`load_pipeline` reads, and the registry of tasks, functions and models that it names."""
+    from ..model import Task
+    from ..operators import Peripheral
+    from ..plans.ir import identity
+
+    registry: dict[str, Any] = {}
+
+    def named(x, hint):
+        base = hint.strip("<>") or "part"
+        name, i = base, 2
+        while name in registry and identity(registry[name]) != identity(x):
+            name, i = f"{base}.{i}", i + 1
+        registry[name] = x
+        return "@" + name
+
+    def plain(x, hint):
+        if x is None or isinstance(x, (str, int, float, bool)):
+            return x
+        if isinstance(x, Task):
+            return named(x, x.name)
+        if isinstance(x, Peripheral):
+            return {s: {f.name: getattr(side, f.name) for f in fields(side)} for s in ("previous", "next") if (side := getattr(x, s))}
+        if isinstance(x, (tuple, list)):
+            return [plain(v, hint) for v in x]
+        return named(x, hint)
+
+    types = {cls: kind for kind, cls in _kinds().items()}
+    out = []
+    for op in plan.ops:
+        one = {"type": types[type(op)]}
+        for f in fields(op):
+            v = getattr(op, f.name)
+            default = f.default if f.default is not MISSING else f.default_factory() if f.default_factory is not MISSING else MISSING
+            if default is MISSING or not (v is default or (not is_dataclass(v) and not callable(v) and v == default)):
+                one[f.name] = plain(v, f"{getattr(op, 'name', None) or getattr(op, 'key', None) or one['type']}.{f.name}")
+        out.append(one)
+    return {"operations": out, "rewritten_by": list(plan.trail)}, registry
+
+
+def save_pipeline(plan, path: str) -> dict[str, Any]:
+    """The optimised pipeline as a readable file with the trail of its rewrites; returns the registry to load it with."""
+    spec, registry = describe_pipeline(plan)
+    if path.endswith(".json"):
+        Path(path).write_text(json.dumps(spec, indent=1))
+    else:
+        import yaml
+
+        Path(path).write_text(yaml.safe_dump(spec, sort_keys=False))
+    return registry
+
+
+def build(path_in: str, path_out: str, registry: dict[str, Any], df: DataFrame, search) -> dict[str, Any]:
+    """Optimise the pipeline of one file and write the result as another; returns the registry to load it with."""
+    from ..plans.optimizer import optimize
+
+    return save_pipeline(optimize(load_pipeline(path_in, registry), df, search), path_out)

@@ -41,7 +41,8 @@ def items(text: Column, types: list[str]) -> Column:
 
 def extraction(types: list[str], name: str = "items", content: str = "text", asks: int | None = None) -> Task:
     prompt = "List every " + ", ".join(types) + " in this text:\n{{ input." + content + " }}"
-    return Task(name, content, lambda c: items(c, types), prompt=prompt, asks=asks or len(types))
+    parts = tuple(extraction([t], f"only_{t}", content) for t in types) if len(types) > 1 else ()
+    return Task(name, content, lambda c: items(c, types), prompt=prompt, asks=asks or len(types), parts=parts)
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -83,7 +84,7 @@ def sightings(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(o_orderkey, raw, clean, place): an order's first part name in one of five spellings and its customer's nation."""
     o, li, p, c, n = (table(spark, sf_dir, x) for x in ("orders", "lineitem", "part", "customer", "nation"))
     first = li.groupBy("l_orderkey").agg(F.min("l_partkey").alias("p_partkey"))
-    j = o.filter("o_orderkey % 20 = 0").join(first, o["o_orderkey"] == first["l_orderkey"]).join(p.select("p_partkey", "p_name"), "p_partkey")
+    j = o.join(first, o["o_orderkey"] == first["l_orderkey"]).join(p.select("p_partkey", "p_name"), "p_partkey")
     j = j.join(c.select("c_custkey", "c_nationkey"), j["o_custkey"] == c["c_custkey"]).join(n, F.col("c_nationkey") == F.col("n_nationkey"))
     pick = F.conv(F.substring(F.md5(F.col("o_orderkey").cast("string")), 1, 4), 16, 10).cast("long") % 5
     name = F.col("p_name")
@@ -99,21 +100,56 @@ def fold_name(x: Column) -> Column:
 def order_articles(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(o_orderkey, text, names): short articles that name every part of an order."""
     o, li, p = (table(spark, sf_dir, x) for x in ("orders", "lineitem", "part"))
-    lines = li.filter("l_orderkey % 20 = 0").join(p.select(F.col("p_partkey").alias("l_partkey"), "p_name"), "l_partkey")
+    lines = li.join(p.select(F.col("p_partkey").alias("l_partkey"), "p_name"), "l_partkey")
     lines = lines.join(o.select(F.col("o_orderkey").alias("l_orderkey")), "l_orderkey", "left_semi")
     names = F.array_sort(F.collect_set("p_name"))
-    return lines.groupBy(F.col("l_orderkey").alias("o_orderkey")).agg(names.alias("names")).withColumn("text", F.concat(F.lit("the parcel held "), F.array_join("names", " and then "), F.lit(" .")))
+    # One name in four has a word more after its first, so that it does not stand there as it is listed.
+    odd = lambda x: F.conv(F.substring(F.md5(F.concat_ws("|", F.col("o_orderkey").cast("string"), x)), 1, 4), 16, 10).cast("long") % 4 == 0
+    written = F.transform("names", lambda x: F.when(odd(x), F.regexp_replace(x, "^([^ ]+) ", "$1 spare ")).otherwise(x))
+    out = lines.groupBy(F.col("l_orderkey").alias("o_orderkey")).agg(names.alias("names"))
+    return out.withColumn("text", F.concat(F.lit("the parcel held "), F.array_join(written, " and then "), F.lit(" .")))
 
 
 def ledger(spark: SparkSession, sf_dir: str) -> DataFrame:
     """(region, pos, line, level, header): lines of a report whose headers nest region, nation, customer."""
     r, n, c = (table(spark, sf_dir, x) for x in ("region", "nation", "customer"))
-    j = r.join(n, r["r_regionkey"] == n["n_regionkey"]).join(c.filter("c_custkey % 10 = 0"), F.col("n_nationkey") == F.col("c_nationkey"))
+    j = r.join(n, r["r_regionkey"] == n["n_regionkey"]).join(c, F.col("n_nationkey") == F.col("c_nationkey"))
     top = r.select(F.col("r_name").alias("region"), F.struct(F.lit(-1).alias("n"), F.lit(-1).cast("long").alias("c")).alias("pos"), F.lit(1).alias("level"), F.concat(F.lit("# "), F.col("r_name")).alias("line"))
     mid = j.select(F.col("r_name").alias("region"), F.struct(F.col("n_nationkey").alias("n"), F.lit(-1).cast("long").alias("c")).alias("pos"), F.lit(2).alias("level"), F.concat(F.lit("## "), F.col("n_name")).alias("line")).distinct()
     low = j.select(F.col("r_name").alias("region"), F.struct(F.col("n_nationkey").alias("n"), F.col("c_custkey").alias("c")).alias("pos"), F.lit(3).alias("level"), F.concat(F.lit("### "), F.col("c_name")).alias("line"))
     return top.unionByName(mid).unionByName(low)
 
 
+#: A review in a game's document: its id, time and words up to the next one.
+REVIEW = r"\[\[review:([0-9]+) ([0-9-]+ [0-9:]+)\]\]([^\[]*)"
+
+
+def game_documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """One long document per game: its reviews in hash order, each after a marker with id and time."""
+    r = reviews(spark, sf_dir)
+    body = F.replace(F.replace(F.coalesce("text", F.lit("")), F.lit("["), F.lit("(")), F.lit("\n"), F.lit(" "))
+    one = F.concat(F.lit("[[review:"), F.col("review_id").cast("string"), F.lit(" "), F.date_format("ts", "yyyy-MM-dd HH:mm:ss"), F.lit("]] "), body)
+    rows = F.array_sort(F.collect_list(F.struct(F.md5(F.col("review_id").cast("string")).alias("h"), one.alias("one"))))
+    return r.groupBy("game").agg(F.array_join(F.transform(rows, lambda x: x["one"]), " ").alias("text"))
+
+
+def first_reviews(items: Column, k: int = 10) -> Column:
+    """The first k negative and the first k positive reviews in order of time."""
+
+    def of(kind):
+        mine = F.transform(F.filter(items, lambda x: x["type"] == kind), lambda x: F.struct(x["at"].alias("at"), x["span"].alias("span")))
+        return F.transform(F.slice(F.array_sort(F.array_distinct(mine)), 1, k), lambda x: F.struct(F.lit(kind).alias("type"), x["span"].alias("span"), x["at"].alias("at")))
+
+    return F.concat(of("negative"), of("positive"))
+
+
+def reviews_in(text: Column) -> Column:
+    """(type, span, at) of each review of a document: sentiment by the word list, id and time."""
+    ids, times, bodies = (F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(REVIEW), F.lit(k)) for k in (1, 2, 3))
+    pairs = F.zip_with(ids, times, lambda i, t: F.struct(i.alias("span"), t.alias("at")))
+    kind = lambda b: F.when(b.rlike(CLAUSES["abuse"]), "negative").otherwise("positive")
+    return F.zip_with(pairs, bodies, lambda p, b: F.struct(kind(b).alias("type"), p["span"].alias("span"), p["at"].alias("at")))
+
+
 def with_sizes(df: DataFrame, text: str = "text") -> DataFrame:
     return df.withColumn("n_tokens", token_count(F.col(text)))
