@@ -27,7 +27,6 @@ from __future__ import annotations
 
 import math
 import struct
-import uuid
 from collections.abc import Callable
 from functools import cache
 
@@ -38,7 +37,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import shared_dir, stepwise
+from .common import scratch, stepwise
 
 #: Samples a second that frames are made from; samples of a frame and between frames.
 RATE, WINDOW, HOP = 8000, 2048, 512
@@ -329,7 +328,7 @@ def search(prints: DataFrame, queries: DataFrame, id_col: str = "doc_id", block_
     recording included.
     """
     spark = prints.sparkSession
-    folder = f"{shared_dir(spark)}/chroma-{uuid.uuid4().hex}"
+    folder = scratch(spark, "chroma")
     chosen = [F.col(id_col).cast("long").alias("id"), "codes", "votes"]
     spoken = F.size("codes") > 0
     # Recordings with equal integers are one class, told by 64-bit hashes and compared by bytes.

@@ -12,7 +12,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..store import cut, shared_dir  # noqa: F401
+from ..store import cut, scratch  # noqa: F401
 
 #: ASCII white space beside the blank.
 WHITE = ["\t", "\n", "\x0b", "\x0c", "\r"]

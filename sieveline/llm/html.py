@@ -33,7 +33,6 @@ from __future__ import annotations
 import marshal
 import math
 import re
-import uuid
 from collections import Counter
 from collections.abc import Generator, Iterator
 from functools import lru_cache
@@ -45,7 +44,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_dir
+from .common import scratch
 
 #: Different pages of a host on which a constant block counts as template.
 MIN_PAGES = 5
@@ -492,7 +491,7 @@ def extract(pages: DataFrame, html_col: str = "html", url_col: str = "url", text
     host = F.lower(F.regexp_extract(F.coalesce(F.col(url_col), F.lit("")), r"^[A-Za-z][A-Za-z0-9+.-]*://([^/?#]*)", 1))
     keyed = pages.select(*[F.col(f"`{c}`") for c in keep], F.col(f"`{html_col}`").cast("string").alias("__html"), host.alias("__host"))
     keyed = keyed.withColumn("__key", F.xxhash64("__host", "__html"))
-    folder = f"{shared_dir(spark)}/skeletons-{uuid.uuid4().hex}"
+    folder = scratch(spark, "skeletons")
     source = keyed.select(F.col("__key").alias("key"), F.col("__host").alias("host"), F.col("__html").alias("html"))
     source.mapInArrow(_skeletons, "key long, host string, tree binary, page long, layout long").write.parquet(f"{folder}/trees")
     trees = spark.read.schema("key long, host string, tree binary, page long, layout long").parquet(f"{folder}/trees")

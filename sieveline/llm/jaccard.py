@@ -32,7 +32,6 @@ results; other columns are ignored.
 from __future__ import annotations
 
 import math
-import uuid
 
 import numpy as np
 import pyarrow as pa
@@ -41,7 +40,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.components import components
-from .common import shared_dir, stepwise
+from .common import scratch, stepwise
 
 SHINGLE_WORDS, PERCENT = 5, 80
 #: Listed shingles of sets that are mostly uncrowded; None lists the whole prefix of every set.
@@ -344,7 +343,7 @@ def _linked(pairs: DataFrame, arrays: DataFrame, percent: int) -> DataFrame:
 def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", width: int = SHINGLE_WORDS, percent: int = PERCENT, listed: int | None = LISTED) -> DataFrame:
     """One row per document: doc_id, n_shingles, component_id (smallest id reachable by links)."""
     spark = docs.sparkSession
-    folder = f"{shared_dir(spark)}/jaccard-{uuid.uuid4().hex}"
+    folder = scratch(spark, "jaccard")
 
     def kept(df: DataFrame, name: str) -> DataFrame:
         df.write.parquet(f"{folder}/{name}")

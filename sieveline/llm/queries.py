@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import uuid
 from functools import partial
 
 import public_tokenizers
@@ -10,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import bpe, chroma, html, jaccard, langid, mixing, pii, quality, suffixes, warc
-from ..store import shared_dir, stored
+from ..store import scratch, stored
 from .common import table
 
 VOCABULARY = public_tokenizers.path("byte_bpe_multi_50k.tiktoken")
@@ -74,7 +73,7 @@ def op8_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op9_warc(spark: SparkSession, sf_dir: str) -> DataFrame:
     plan = warc.record_plan(table(spark, sf_dir, "pages"))
-    folder = f"{shared_dir(spark)}/archives-{uuid.uuid4().hex}"
+    folder = scratch(spark, "archives")
     return warc.read_archives(warc.write_archives(plan, folder)).select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
 
 

@@ -27,7 +27,6 @@ table gives an empty one; other columns are carried unless they clash with the n
 
 from __future__ import annotations
 
-import uuid
 
 import numpy as np
 import pyarrow as pa
@@ -35,7 +34,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import shared_dir
+from .common import scratch
 
 LENGTH, K = 200, 32
 #: Longer texts are looked at in overlapping pieces.
@@ -281,7 +280,7 @@ def repeated_spans(docs: DataFrame, id_col: str = "doc_id", text_col: str = "tex
     With ``keep_first`` the first occurrence of every string, by id then position, stays.
     """
     spark = docs.sparkSession
-    folder = f"{shared_dir(spark)}/suffixes-{uuid.uuid4().hex}"
+    folder = scratch(spark, "suffixes")
     k = min(K, max(1, length // 4))
 
     def kept(df: DataFrame, name: str) -> DataFrame:
