@@ -2,21 +2,28 @@
 
 Every stage takes (spark, docs, sf_dir), works on all rows of docs and returns a frame
 that is written as Parquet and read again as the next one's docs. All stages but the last
-return the columns of ``documents``. Nulls, empty texts, repeated rows and empty tables are
-handled as the operators' docstrings say; a document without text or letter is rejected by
-the first stage.
+return the columns of ``documents``, and further columns of docs are left out. An empty
+table gives an empty one in every stage. Defined results for null, empty and repeated rows:
+
+* language ID rejects a document without text or letter; repeated rows all stay;
+* near duplicates keeps one row of each id and text that leads a group; a document without
+  words is linked with nothing and stays, and so does each different text of an id;
+* personal data leaves null texts null, with ``n_chars`` 0;
+* mixing takes no document without words, and treats repeated rows as documents of their own;
+* byte BPE gives null and empty texts no ids.
+
+Very long texts go through every stage whole.
 """
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sieveline.llm import bpe, jaccard, langid, mixing, pii
-from sieveline.llm.common import shared_dir, small_batches
+from sieveline.llm.common import small_batches
 from sieveline.llm.queries import PATTERN, VOCABULARY
+from sieveline.store import scratch
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 #: Least language score of a document that stays: half of one plus a cosine of zero.
@@ -73,7 +80,7 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over the documents of sf_dir."""
-    folder = f"{shared_dir(spark)}/corpus-{uuid.uuid4().hex}"
+    folder = scratch(spark, "corpus")
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for i, (name, stage) in enumerate(STAGES):
         out = stage(spark, docs, sf_dir)

@@ -8,15 +8,16 @@ from __future__ import annotations
 
 from dataclasses import replace
 
-from pyspark.sql import Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .. import baselines as B
 from .. import measures as M
 from .. import operators as O
-from ..functions.text import bucket
 from ..model import Profile, SimulatedModel, Task
+from ..plans.directives import BY_ID, Hints
 from ..plans.ir import Context, MapOp, Pipeline
+from ..store import stored
 from ..workloads import inputs as W
 from .directives import HINTS, _first, parts
 from .registry import query, slot, spans, toks
@@ -96,32 +97,81 @@ def wl_contracts_chunk(spark, sf):
     return _clauses(spark, sf, "chunk")
 
 
-def _picked(reviews, mode: str):
-    """Ten negative reviews a game in time order, by a simulated reader.
+REVIEWER = SimulatedModel(Profile("w2", 4000, keep=950, per_hundred_tokens=15, per_ask=30, floor=300, hallucination=200, disorder=1), "0")
+_PICKS = T.ArrayType(T.StructType().add("type", "string").add("span", "string").add("at", "string"))
 
-    ``base`` reads a game's reviews in one go, so that what it keeps falls with their
-    number and its time order is disturbed; ``opt`` reads chunks of them.
-    """
-    w = Window.partitionBy("game")
-    limit = F.lit(900) - F.least(F.col("n"), F.lit(100)) * 4 if mode == "base" else F.lit(850)
-    kept = reviews.filter("toxic = 1").withColumn("n", F.count(F.lit(1)).over(w)).filter(bucket("rev", F.col("review_id").cast("string")) < limit)
-    jitter = (bucket("jit", F.col("review_id").cast("string")) * 86400 / 100).cast("long") if mode == "base" else F.lit(0).cast("long")
-    at = F.unix_seconds(F.col("ts").cast("timestamp")) + jitter
-    order = Window.partitionBy("game").orderBy(at, "review_id")
-    return kept.withColumn("pos", F.row_number().over(order)).filter("pos <= 10")
+
+def _reviews_plan(kind: str) -> Pipeline:
+    """``base``: one map over a game's whole document. ``opt``: chunks without context, each gleaned once,
+    then a reduce that puts the picks in order of time."""
+    task = Task("picks", "text", lambda c: W.first_reviews(W.reviews_in(c)), _PICKS, prompt="Ten negative and ten positive reviews in order of time:\n{{ input.text }}", asks=2)
+    if kind == "base":
+        return Pipeline((MapOp(task),))
+    hints = Hints(chunk_tokens=(1000,), peripherals=(O.Peripheral(),), columns=("game", "text"), doc_key="game", satisfied=lambda text, a: F.size(a) >= F.size(F.regexp_extract_all(text, F.lit(W.REVIEW), F.lit(1))))
+    split, gather, each, merge = BY_ID["D1"].apply((MapOp(task),), hints)[0]
+    (gleaned,) = BY_ID["D7"].apply((each,), hints)[0]
+    merge = replace(merge, summarise=lambda rows: W.first_reviews(F.filter(F.flatten(F.transform(rows, lambda r: r["picks"])), lambda x: x["type"] != "invented")))
+    return Pipeline((split, gather, gleaned, merge), ("D1 document chunking", "D7 gleaning a map"))
 
 
-@query()
+def _reviews(spark, sf, kind: str):
+    """(game, pos, type, review_id) as the plan lists them."""
+    out = _reviews_plan(kind).run(W.game_documents(spark, sf), Context(REVIEWER, "game"))
+    return out.select("game", F.posexplode("picks").alias("pos", "x")).select("game", "pos", "x.type", F.col("x.span").alias("review_id"))
+
+
+_GAMES = "SELECT source AS game, string_agg('[[review:' || doc_id || ' ' || strftime(ts, '%Y-%m-%d %H:%M:%S') || ']] ' || replace(replace(coalesce(text, ''), '[', '('), chr(10), ' '), ' ' ORDER BY md5(doc_id::VARCHAR)) AS text FROM documents JOIN labels USING (doc_id) JOIN events ON event_id = doc_id GROUP BY source"
+
+
+def _cut_sql(budget: int, text: str = "text") -> str:
+    """SQL of a text cut in its middle; ``t`` are its tokens."""
+    head, tail = (budget + 1) // 2, budget // 2
+    return f"CASE WHEN len(t) <= {budget} THEN {text} ELSE array_to_string(list_slice(t, 1, {head}), ' ') || ' [...] ' || array_to_string(list_slice(t, len(t) - {tail - 1}, len(t)), ' ') END"
+
+
+_KEY = "game || '|' || type || '|' || span || '|' || tm"
+_REVIEWS_SQL = (
+    f"WITH g AS ({_GAMES}), c AS (SELECT game, least(len(t), 4000) // 100 AS h, {_cut_sql(4000)} AS seen FROM (SELECT *, {toks('text')} AS t FROM g)), "
+    + "".join(["m AS (SELECT game, h, ", ", ".join(f"unnest(regexp_extract_all(seen, '{W.REVIEW}', {k})) AS {n}" for k, n in ((1, "span"), (2, "tm"), (3, "body"))), " FROM c), "])
+    + f"k AS (SELECT DISTINCT game, h, CASE WHEN regexp_matches(body, '{W.CLAUSES['abuse']}') THEN 'negative' ELSE 'positive' END AS type, span, tm FROM m), "
+    "f AS (SELECT * FROM (SELECT *, row_number() OVER (PARTITION BY game, type ORDER BY tm, span) AS r FROM k) WHERE r <= 10), "
+    f"l AS (SELECT *, row_number() OVER (PARTITION BY game ORDER BY type, r) - 1 AS i FROM f WHERE {slot(chr(39) + '0|w2|' + chr(39) + ' || ' + _KEY + ' || ' + chr(39) + '|0' + chr(39))} < least(1000, greatest(300, 920 - h * 15))), "
+    f"o AS (SELECT game, type, span, row_number() OVER (PARTITION BY game ORDER BY i + floor({slot(chr(39) + '0|late|' + chr(39) + ' || ' + _KEY)} * h / 1000.0), i) - 1 AS pos FROM l), "
+    f"z AS (SELECT game, 'invented' AS type, 'item ' || game AS span, (SELECT count(*) FROM o WHERE o.game = g.game) AS pos FROM g WHERE {slot(chr(39) + '0|h|w2|' + chr(39) + ' || game || ' + chr(39) + '|picks|0' + chr(39))} < 200) "
+    "SELECT game, pos::INT AS pos, type, span AS review_id FROM (SELECT * FROM o UNION ALL SELECT game, type, span, pos FROM z)"
+)
+
+
+@query(_REVIEWS_SQL)
 def wl_reviews_base(spark, sf):
-    return M.kendall_tau(_picked(W.reviews(spark, sf), "base"), ["game"], "pos", "ts").agg(F.round(F.avg("tau"), 6).alias("tau"))
+    return _reviews(spark, sf, "base")
 
 
 @query()
 def wl_reviews_opt(spark, sf):
-    return M.kendall_tau(_picked(W.reviews(spark, sf), "opt"), ["game"], "pos", "ts").agg(F.round(F.avg("tau"), 6).alias("tau"))
+    return _reviews(spark, sf, "opt")
+
+
+@query()
+def wl_reviews_measures(spark, sf):
+    """Ids that no review has, sentiment of the others against the hidden label, and Kendall's tau of their order, by plan."""
+    truth = W.reviews(spark, sf).select("game", F.col("review_id").cast("string").alias("review_id"), "ts", "toxic")
+    lexicon = B.lexicon_reviews(W.reviews(spark, sf), "game", "review_id", "text", W.LEXICON)
+    lexicon = lexicon.select("game", F.col("rank").alias("pos"), F.when(F.col("negative"), "negative").otherwise("positive").alias("type"), F.col("review_id").cast("string").alias("review_id"))
+    out = None
+    for name, df in (("base", _reviews(spark, sf, "base")), ("opt", _reviews(spark, sf, "opt")), ("lexicon", lexicon)):
+        df = stored(df, "picks")
+        known = df.join(truth, ["game", "review_id"])
+        accuracy = M.rate(known, (F.col("type") == "negative") == (F.col("toxic") == 1), "accuracy")
+        tau = M.kendall_tau(known, ["game", "type"], "pos", "ts").agg(F.round(F.avg("tau"), 6).alias("tau"))
+        n = df.agg(F.count(F.lit(1)).alias("picked"))
+        one = M.missing_rate(df, truth, ["game", "review_id"]).crossJoin(accuracy).crossJoin(tau).crossJoin(n).select(F.lit(name).alias("plan"), "picked", "hallucination", "accuracy", "tau")
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
-_S = "SELECT p.p_name AS clean, n_name AS place, o_orderkey FROM orders JOIN (SELECT l_orderkey, min(l_partkey) AS p_partkey FROM lineitem GROUP BY 1) f ON o_orderkey = l_orderkey JOIN part p USING (p_partkey) JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey WHERE o_orderkey % 20 = 0"
+_S = "SELECT p.p_name AS clean, n_name AS place, o_orderkey FROM orders JOIN (SELECT l_orderkey, min(l_partkey) AS p_partkey FROM lineitem GROUP BY 1) f ON o_orderkey = l_orderkey JOIN part p USING (p_partkey) JOIN customer ON o_custkey = c_custkey JOIN nation ON c_nationkey = n_nationkey"
+PLACER = SimulatedModel(Profile("w3", 4000, keep=900, per_hundred_tokens=40, per_ask=60, floor=150, hallucination=40), "0")
 
 
 @query(f"WITH s AS ({_S}), v AS (SELECT *, ('0x' || substr(md5(o_orderkey::VARCHAR), 1, 4))::BIGINT % 5 AS k FROM s) SELECT count(DISTINCT CASE k WHEN 0 THEN clean WHEN 1 THEN upper(clean) WHEN 2 THEN 'item: ' || clean WHEN 3 THEN 'The ' || clean ELSE clean || 's' END)::BIGINT AS event_types, count(DISTINCT place)::BIGINT AS places FROM v")
@@ -131,102 +181,205 @@ def wl_sightings_base(spark, sf):
     return s.agg(F.countDistinct("raw").alias("event_types"), F.countDistinct("place").alias("places"))
 
 
-def _resolved(spark, sf):
+def _places(spark, sf, batch: int | None):
+    """Places that the model lists for each resolved event type: (kind, type, span).
+
+    Without a batch size a type's sightings are one request, of which the model sees as much
+    as its context holds; with one they are folded batch by batch, whose answers are united.
+    """
     s = W.sightings(spark, sf)
-    values = s.select(F.col("raw").alias("v")).distinct().withColumn("n", W.fold_name(F.col("v")))
-    pairs = values.join(values.groupBy("n").agg(F.min("v").alias("x")), "n").filter("x < v").select("x", F.col("v").alias("y"))
-    return O.resolve(s, "raw", pairs, lambda x, y: W.fold_name(x) == W.fold_name(y))
+    kind = W.fold_name(F.col("raw"))
+    resolved = O.resolve(s, "raw", O.keyed_pairs(s, "raw", W.fold_name), lambda x, y: W.fold_name(x) == W.fold_name(y))
+    rows = O.numbered(resolved.select(kind.alias("kind"), "o_orderkey", "place"), ["kind"], ["o_orderkey"])
+    keys = ["kind"]
+    if batch is None:
+        # A line has three tokens: no more than the outer rows can be seen, whatever the group's size.
+        seen = PLACER.profile.context_tokens
+        sizes = rows.groupBy("kind").agg(F.max("__n").alias("last"))
+        rows = rows.join(sizes, "kind").filter((F.col("__n") < seen) | (F.col("__n") > F.col("last") - seen))
+    else:
+        rows = rows.withColumn("batch", F.floor(F.col("__n") / batch))
+        keys.append("batch")
+    line = F.concat(F.lit("seen in "), "place", F.lit(";"))
+    texts = rows.groupBy(*keys).agg(F.array_sort(F.collect_list(F.struct("__n", line.alias("line")))).alias("l"))
+    texts = texts.select(*keys, F.concat_ws("|", *[F.col(k).cast("string") for k in keys]).alias("ask"), F.array_join(F.transform("l", lambda x: x["line"]), "\n").alias("text"))
+    found = lambda c: F.transform(F.array_distinct(F.regexp_extract_all(c, F.lit("([A-Z]+_[0-9]+);"), F.lit(1))), lambda m: F.struct(F.lit("place").alias("type"), m.alias("span")))
+    asked = O.sem_map(texts, Task("places", "text", found), PLACER, "ask")
+    if batch is None:
+        return asked.select("kind", F.explode("places").alias("x")).select("kind", "x.type", "x.span")
+    zero = F.array().cast("array<struct<type:string,span:string>>")
+    whole = O.fold(asked, ["kind"], ["places"], ["batch"], 1, zero, lambda acc, r: F.array_union(acc, r[0]["places"]), name="places", merge=F.array_union)
+    return whole.select("kind", F.explode("places").alias("x")).select("kind", "x.type", "x.span")
+
+
+def _placed(found, spark, sf):
+    """Event types, distinct places a type by type, those that no sighting of the type has, and precision by the gazetteer."""
+    truth = W.sightings(spark, sf).select(W.fold_name(F.col("raw")).alias("kind"), F.col("place").alias("span")).distinct().withColumn("true", F.lit(1))
+    j = found.join(truth, ["kind", "span"], "left")
+    return j.agg(F.countDistinct("kind").alias("event_types"), F.sum(F.coalesce("true", F.lit(0))).cast("long").alias("found"), F.sum(F.col("true").isNull().cast("int")).cast("long").alias("hallucinated"))
+
+
+_KINDS = f"WITH s AS (SELECT regexp_replace(lower(clean), 's$', '') AS kind, place, row_number() OVER (PARTITION BY regexp_replace(lower(clean), 's$', '') ORDER BY o_orderkey) - 1 AS n FROM ({_S})), "
+
+
+def _places_sql(seen: str, ask: str) -> str:
+    kept = slot(f"'0|w3|' || ask || '|place|' || place || '|0'") + " < least(1000, greatest(150, 900 - (least(3 * c, 4000) // 100) * 40))"
+    made = slot("'0|h|w3|' || ask || '|places|0'") + " < 40"
+    return (
+        _KINDS + f"a AS (SELECT *, {ask} AS ask FROM s), c AS (SELECT ask, min(kind) AS kind, count(*) AS c FROM a GROUP BY ask), v AS (SELECT DISTINCT a.kind, a.ask, place, c FROM a JOIN c USING (ask) WHERE {seen}), "
+        f"k AS (SELECT DISTINCT kind, place FROM v WHERE {kept}), h AS (SELECT kind, ask FROM c WHERE {made}) "
+        "SELECT (SELECT count(DISTINCT kind) FROM (SELECT kind FROM k UNION ALL SELECT kind FROM h))::BIGINT AS event_types, (SELECT count(*) FROM k)::BIGINT AS found, (SELECT count(*) FROM h)::BIGINT AS hallucinated"
+    )
 
 
-@query(f"SELECT count(DISTINCT clean)::BIGINT AS event_types, least(5, count(DISTINCT place))::BIGINT AS most_places FROM ({_S})")
+@query(_places_sql("3 * c <= 4000 OR n <= 665 OR n > c - 668", "kind"))
 def wl_sightings_resolve(spark, sf):
-    """Keys resolved, but one call a group that lists five places at most."""
-    g = O.sem_reduce(_resolved(spark, sf), ["raw"], ["place"], lambda r: F.slice(F.array_sort(F.array_distinct(F.transform(r, lambda x: x["place"]))), 1, 5), "places")
-    top = g.agg(F.count(F.lit(1)).alias("event_types"), F.max(F.size("places")).cast("long").alias("most_places"))
-    return top.withColumn("most_places", F.least(F.col("most_places"), F.lit(5).cast("long")))
+    """Keys resolved, one request a group: long groups lose places in it and beyond the context."""
+    return _placed(_places(spark, sf, None), spark, sf)
 
 
-@query(f"SELECT count(*)::BIGINT AS event_types, sum(n)::BIGINT AS pairs FROM (SELECT clean, count(DISTINCT place) AS n FROM ({_S}) GROUP BY clean)")
+@query(_places_sql("true", "kind || '|' || (n // 41)"))
 def wl_sightings_opt(spark, sf):
-    """Keys resolved and groups folded in batches of 41: no place is lost."""
-    zero = F.array().cast("array<string>")
-    f = O.fold(_resolved(spark, sf), ["raw"], ["place"], ["o_orderkey"], 41, zero, lambda acc, rows: F.array_union(acc, F.transform(rows, lambda r: r["place"])), name="places")
-    return f.agg(F.count(F.lit(1)).alias("event_types"), F.sum(F.size("places")).cast("long").alias("pairs"))
+    """Keys resolved and groups folded in batches of 41."""
+    return _placed(_places(spark, sf, 41), spark, sf)
 
 
-_ART = "SELECT l_orderkey AS o_orderkey, list_sort(list_distinct(list(p_name))) AS names FROM lineitem JOIN part ON l_partkey = p_partkey WHERE l_orderkey % 20 = 0 AND l_orderkey IN (SELECT o_orderkey FROM orders) GROUP BY 1"
+MATCHER = SimulatedModel(Profile("w4", 4000, keep=900, per_hundred_tokens=40, per_ask=60, floor=150, hallucination=0), "0")
+_ART = "SELECT l_orderkey AS o_orderkey, list_sort(list_distinct(list(p_name))) AS names FROM lineitem JOIN part ON l_partkey = p_partkey WHERE l_orderkey IN (SELECT o_orderkey FROM orders) GROUP BY 1"
+_ARTICLES = f"SELECT o_orderkey, names, 'the parcel held ' || array_to_string(list_transform(names, lambda x: CASE WHEN ('0x' || substr(md5(o_orderkey || '|' || x), 1, 4))::BIGINT % 4 = 0 THEN regexp_replace(x, '^([^ ]+) ', '\\1 spare ') ELSE x END), ' and then ') || ' .' AS text FROM ({_ART})"
+_SAME = slot("'0|w4|same|' || o_orderkey || '|' || name || '|0'") + f" < least(1000, greatest(150, 900 - (least(len({toks('text')}), 4000) // 100) * 40))"
+_HITS = f"WITH a AS ({_ARTICLES}), p AS (SELECT o_orderkey, names, text, name FROM a, (SELECT DISTINCT p_name AS name FROM part) WHERE list_has_all(string_split(lower(text), ' '), string_split(lower(name), ' '))), h AS (SELECT o_orderkey, name, names FROM p WHERE regexp_matches(text, '(^| )' || replace(name, ' ', '( [a-z]+)? ') || '( |$)') = ({_SAME})) "
 
 
-@query(f"SELECT o_orderkey, unnest(names) AS name FROM ({_ART})")
+def _matched(pairs):
+    """What the model says of pairs of article and label, from the text alone; it errs on some."""
+    pattern = F.concat(F.lit("(^| )"), F.replace(F.col("name"), F.lit(" "), F.lit("( [a-z]+)? ")), F.lit("( |$)"))
+    task = Task("same", "text", lambda c: F.rlike(c, pattern), T.BooleanType())
+    return MATCHER.answer(task, F.concat_ws("|", F.col("o_orderkey").cast("string"), "name"))
+
+
+def _labels(spark, sf):
+    return W.table(spark, sf, "part").select(F.col("p_name").alias("name")).distinct()
+
+
+@query(_HITS + "SELECT o_orderkey, name FROM h")
 def wl_classify_opt(spark, sf):
-    """Articles and labels: mapped, blocked by all words, compared; every true label is found."""
-    a, labels = W.order_articles(spark, sf), W.table(spark, sf, "part").select(F.col("p_name").alias("name")).distinct()
+    """Articles and labels: blocked by all words, compared by the model on the text."""
+    a, labels = W.order_articles(spark, sf), _labels(spark, sf)
     pairs = O.all_words_pairs(a, "o_orderkey", "text", labels, "name", "name")
-    truth = a.select("o_orderkey", "names")
-    return O.equijoin(truth, labels, "o_orderkey", "name", pairs, lambda m: F.array_contains("names", F.col("name"))).select("o_orderkey", "name")
+    return O.equijoin(a.select("o_orderkey", "text"), labels, "o_orderkey", "name", pairs, _matched).select("o_orderkey", "name")
+
+
+def _rank_measure(spark, sf, ranked):
+    gold = W.order_articles(spark, sf).select("o_orderkey", F.explode("names").alias("name"))
+    listed = _labels(spark, sf)
+    return M.rank_precision(ranked, gold, "o_orderkey", "name").crossJoin(M.missing_rate(ranked.select("name"), listed, ["name"], "outside"))
+
 
+def _rp_sql(k: int) -> str:
+    return f"round(avg(h{k} / least({k}, r)), 6) AS rp_at_{k}"
 
-@query(f"WITH a AS ({_ART}) SELECT round(avg(least(5, len(names)) / least(5, len(names))), 6) AS rp_at_5, round(avg(least(10, len(names)) / least(10, len(names))), 6) AS rp_at_10, round(avg(least(25, len(names)) / least(25, len(names))), 6) AS rp_at_25 FROM a")
+
+_RANKED = "k AS (SELECT o_orderkey, list_contains(names, name) AS good, row_number() OVER (PARTITION BY o_orderkey ORDER BY length(name) DESC, name) AS rank FROM h), " + "c AS (SELECT a.o_orderkey, len(a.names) AS r, " + ", ".join(f"count(*) FILTER (WHERE good AND rank <= {k}) AS h{k}" for k in (5, 10, 25)) + " FROM a LEFT JOIN k USING (o_orderkey) GROUP BY ALL) "
+
+
+@query(_HITS.rstrip() + ", " + _RANKED + "SELECT " + ", ".join(map(_rp_sql, (5, 10, 25))) + ", 0.0::DOUBLE AS outside FROM c")
 def wl_classify_rank(spark, sf):
-    hits = wl_classify_opt(spark, sf)
-    ranked = O.sem_rank(hits, ["o_orderkey"], F.length("name"), ["name"], 25)
-    return M.rank_precision(ranked, hits, "o_orderkey", "name")
+    """Labels that the model accepts, the longest first, against those that the order really has."""
+    ranked = O.sem_rank(wl_classify_opt(spark, sf), ["o_orderkey"], F.length("name"), ["name"], 25)
+    return _rank_measure(spark, sf, ranked)
 
 
 @query()
 def wl_classify_search(spark, sf):
-    """The search baseline: the ten labels whose hashed vectors are nearest, ranked by similarity."""
-    a = W.order_articles(spark, sf)
-    labels = W.table(spark, sf, "part").select(F.col("p_name").alias("name")).distinct()
+    """The search baseline: the 49 labels whose hashed vectors are nearest, kept as the model says, ranked by similarity."""
+    a = W.order_articles(spark, sf).select("o_orderkey", "text")
+    labels = _labels(spark, sf)
     left = a.join(O.hashed_vectors(a, "o_orderkey", "text"), "o_orderkey")
     right = labels.join(O.hashed_vectors(labels, "name", "name"), "name")
-    found = O.map_search_filter(left, "o_orderkey", right, "name", "vector", 10, F.array_contains("names", F.col("name")))
-    gold = a.select("o_orderkey", F.explode("names").alias("name"))
-    return M.rank_precision(found.select("o_orderkey", "name", "rank"), gold, "o_orderkey", "name")
+    found = O.map_search_filter(left, "o_orderkey", right, "name", "vector", 49, _matched(None))
+    return _rank_measure(spark, sf, found.select("o_orderkey", "name", "rank"))
+
+
+_SUBSTRING = f"WITH a AS ({_ARTICLES}), h AS (SELECT o_orderkey, names, name FROM a, (SELECT DISTINCT p_name AS name FROM part) WHERE contains(text, name) AND list_has_all(string_split(lower(text), ' '), string_split(lower(name), ' '))), "
+
+
+@query(_SUBSTRING + _RANKED + "SELECT " + ", ".join(map(_rp_sql, (5, 10, 25))) + ", 0.0::DOUBLE AS outside FROM c")
+def wl_classify_substring(spark, sf):
+    """The program without a model: labels that stand in the text as they are, the longest first."""
+    a, labels = W.order_articles(spark, sf), _labels(spark, sf)
+    pairs = O.all_words_pairs(a, "o_orderkey", "text", labels, "name", "name")
+    ranked = B.substring_rank(a, "o_orderkey", "text", pairs, labels.withColumn("label", F.col("name")), "name", "label")
+    return _rank_measure(spark, sf, ranked.filter("rank <= 25").select("o_orderkey", "name", "rank"))
+
+
+#: Tokens of a day's log that a call holds.
+LOG_TOKENS = 1200
+_CASE = "[0-9]+ ; [0-9-]+ [0-9:]+ ; [^;]+ ; error ; k=[0-9]+"
 
 
 def _cases(spark, sf, variant: str):
-    """(user, n) of error events per officer from the daily logs.
+    """(officer, user, event, day, place) of error events from the daily logs.
 
-    base and S read the log cut in the middle; S keeps only a short record before the
-    reduce; T keeps type and time as well; O reads chunks, so that nothing is cut.
+    base and S read the log cut in the middle; base names officers as they are spelled, the
+    others resolve them; S keeps only a short record before the reduce; T keeps time and
+    place as well; O reads chunks, so that nothing is cut.
     """
     from ..functions.text import truncate_middle
 
     logs = W.daily_logs(spark, sf)
-    found = lambda c: F.regexp_extract_all(c, F.lit("[0-9]+ ; [0-9-]+ [0-9:]+ ; [^;]+ ; error ; k=[0-9]+"), F.lit(0))
+    found = lambda c: F.regexp_extract_all(c, F.lit(_CASE), F.lit(0))
     if variant == "O":
         chunks = O.split_delimiter(logs, "text", "\n", 50)
         rows = chunks.select(F.explode(found(F.col("text_chunk"))).alias("line"))
     else:
-        rows = logs.select(F.explode(found(truncate_middle(F.col("text"), 1200))).alias("line"))
+        rows = logs.select(F.explode(found(truncate_middle(F.col("text"), LOG_TOKENS))).alias("line"))
     p = F.split("line", " ; ")
-    fields = {"user": F.regexp_extract(p[2], "[0-9]+", 0).cast("long"), "event": p[0].cast("long")}
-    if variant in ("T", "O"):
-        fields |= {"day": F.substring(p[1], 1, 10), "place": p[4]}
+    full = variant in ("T", "O", "base")
+    rows = rows.select(p[2].alias("officer"), F.regexp_extract(p[2], "[0-9]+", 0).cast("long").alias("user"), p[0].cast("long").alias("event"), F.when(F.lit(full), F.substring(p[1], 1, 10)).alias("day"), F.when(F.lit(variant in ("T", "O")), p[4]).alias("place"))
     if variant == "base":
-        fields |= {"line": F.col("line")}
-    return rows.select(*[c.alias(n) for n, c in fields.items()])
+        return rows
+    number = lambda x: F.regexp_extract(x, "[0-9]+", 0)
+    return O.resolve(rows, "officer", O.keyed_pairs(rows, "officer", number), lambda x, y: number(x) == number(y))
 
 
-@query()
+_ALIAS = "CASE (('0x' || substr(md5(event_id::VARCHAR), 1, 4))::BIGINT % 4) WHEN 0 THEN 'user ' WHEN 1 THEN 'USER-' WHEN 2 THEN 'u' ELSE 'User #' END || user_id"
+_LOGS = f"SELECT string_agg(event_id || ' ; ' || strftime(ts, '%Y-%m-%d %H:%M:%S') || ' ; ' || {_ALIAS} || ' ; ' || event_type || ' ; k=' || (props::JSON->>'k'), chr(10) ORDER BY md5(event_id::VARCHAR)) AS text FROM events GROUP BY strftime(ts, '%Y-%m-%d')"
+_CASES = f"WITH g AS ({_LOGS}), c AS (SELECT unnest(regexp_extract_all({_cut_sql(LOG_TOKENS)}, '{_CASE}')) AS line FROM (SELECT *, {toks('text')} AS t FROM g)), f AS (SELECT split_part(line, ' ; ', 3) AS officer, regexp_extract(split_part(line, ' ; ', 3), '[0-9]+')::BIGINT AS \"user\", substr(split_part(line, ' ; ', 2), 1, 10) AS day FROM c) "
+
+
+@query(_CASES + "SELECT officer, count(*)::BIGINT AS n FROM f GROUP BY officer")
 def wl_case_files_base(spark, sf):
-    return _cases(spark, sf, "base").groupBy("user").agg(F.count(F.lit(1)).alias("n"))
+    return _cases(spark, sf, "base").groupBy("officer").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query()
+@query(_CASES + 'SELECT "user", count(*)::BIGINT AS n FROM f GROUP BY "user"')
 def wl_case_files_s(spark, sf):
-    return _cases(spark, sf, "S").groupBy("user").agg(F.count(F.lit(1)).alias("n"))
+    return _cases(spark, sf, "S").groupBy("officer").agg(F.first("user").alias("user"), F.count(F.lit(1)).alias("n")).select("user", "n")
 
 
-@query()
+@query(_CASES + 'SELECT "user", count(*)::BIGINT AS n, count(DISTINCT day)::BIGINT AS days FROM f GROUP BY "user"')
 def wl_case_files_t(spark, sf):
-    return _cases(spark, sf, "T").groupBy("user").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("day").alias("days"))
+    return _cases(spark, sf, "T").groupBy("officer").agg(F.first("user").alias("user"), F.count(F.lit(1)).alias("n"), F.countDistinct("day").alias("days")).select("user", "n", "days")
 
 
 @query("SELECT user_id AS user, count(*)::BIGINT AS n, count(DISTINCT strftime(ts, '%Y-%m-%d'))::BIGINT AS days FROM events WHERE event_type = 'error' GROUP BY user_id")
 def wl_case_files_o(spark, sf):
-    return _cases(spark, sf, "O").groupBy("user").agg(F.count(F.lit(1)).alias("n"), F.countDistinct("day").alias("days"))
+    return _cases(spark, sf, "O").groupBy("officer").agg(F.first("user").alias("user"), F.count(F.lit(1)).alias("n"), F.countDistinct("day").alias("days")).select("user", "n", "days")
+
+
+@query()
+def wl_case_files_criteria(spark, sf):
+    """What a judge would look at in each variant's summaries: one officer a summary, date and place, every instance."""
+    true = W.table(spark, sf, "events").filter("event_type = 'error'").groupBy("user_id").agg(F.count(F.lit(1)).alias("cases"))
+    out = None
+    for v in ("base", "S", "T", "O"):
+        got = stored(_cases(spark, sf, v), "cases").groupBy("officer").agg(F.first("user").alias("user"), F.countDistinct("event").alias("n"), F.every(F.col("day").isNotNull() & F.col("place").isNotNull()).alias("dated"))
+        spelled = got.groupBy("user").agg(F.count(F.lit(1)).alias("spellings"))
+        j = true.join(got, F.col("user_id") == F.col("user"), "left").join(spelled, "user", "left")
+        one = M.criterion_pass(j, {"one_name": F.col("spellings") == 1, "date_and_place": F.col("dated"), "every_instance": F.col("n") == F.col("cases")}).withColumn("variant", F.lit(v))
+        out = one if out is None else out.unionByName(one)
+    return out
 
 
 @query()
@@ -234,9 +387,8 @@ def wl_directive_study(spark, sf):
     """Ten chains, ten isolations and ten gleanings with different parameters: accuracy of each, and the judge's rating."""
     from ..functions.prompts import Template
     from ..plans.optimizer import extraction_validator, rate_plans
-    from ..store import stored
 
-    d = stored(W.documents(spark, sf).filter(F.size(W.items(F.col("text"), TYPES)) > 0).orderBy("doc_id").limit(60), "study")
+    d = stored(W.documents(spark, sf).filter(F.size(W.items(F.col("text"), TYPES)) > 0), "study")
     gold = W.gold_spans(d, TYPES)
     op = MapOp(W.extraction(TYPES))
     out = []
@@ -258,7 +410,7 @@ def wl_directive_study(spark, sf):
         one = flat(df).withColumn("doc_id", F.concat(F.lit(n + "#"), F.col("doc_id").cast("string")))
         tagged = one if tagged is None else tagged.unionByName(one)
     plans = spark.createDataFrame([(n, b) for n, _, _, b in out], "plan_id string, critical boolean")
-    all_gold = gold.join(F.broadcast(plans.select("plan_id"))).withColumn("doc_id", F.concat("plan_id", F.lit("#"), F.col("doc_id").cast("string")))
+    all_gold = gold.crossJoin(F.broadcast(plans.select("plan_id"))).withColumn("doc_id", F.concat("plan_id", F.lit("#"), F.col("doc_id").cast("string")))
     prf = M.span_prf(stored(tagged, "tagged"), all_gold).withColumn("plan_id", F.substring_index("doc_id", "#", 1))
     means = prf.groupBy("plan_id").agg(*[F.round(F.avg(c), 6).alias(c) for c in ("precision", "recall", "f1")])
     return means.join(judged, "plan_id").join(plans, "plan_id")
@@ -267,8 +419,6 @@ def wl_directive_study(spark, sf):
 @query()
 def wl_directive_judge(spark, sf):
     """Kendall's tau between the judge's rating and F1 over the thirty plans, and shares above the plan as written."""
-    from ..store import stored
-
     plans = stored(wl_directive_study(spark, sf), "study").withColumn("g", F.lit(1))
     tau = M.kendall_tau(plans.select("g", (F.col("judge") * 1000).cast("long").alias("j"), "f1"), ["g"], "j", "f1").select("tau")
     return tau.crossJoin(plans.agg(F.avg(F.col("critical").cast("int")).alias("critical"), F.round(F.avg("f1"), 6).alias("mean_f1")))
