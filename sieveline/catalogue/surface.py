@@ -12,7 +12,7 @@ from ..model import Task
 from ..plans.directives import BY_ID, Hints
 from ..plans.ir import GatherOp, Pipeline, SplitOp
 from ..store import scratch
-from ..streaming import drain, resolve_batches
+from ..streaming import drain, drain_deliveries, resolve_batches
 from ..workloads import inputs as W
 from .registry import SQL, query, toks
 from .semantic import _LINES, _SPLIT
@@ -34,6 +34,22 @@ def stream_interval_join(spark, sf):
     return drain(clicks.join(bought, F.expr("u = v AND s >= t AND s <= t + INTERVAL 6 HOURS")).select("click", "purchase"))
 
 
+@query("WITH e AS (SELECT event_type = 'purchase' OR ts >= TIMESTAMP '2024-01-15' AS second, ts, date_trunc('day', ts)::TIMESTAMP AS d FROM events), w AS (SELECT max(ts) FILTER (NOT second) - INTERVAL 1 DAY AS before, max(ts) - INTERVAL 1 DAY AS after FROM e) SELECT strftime(d, '%Y-%m-%d') AS day, count(*)::BIGINT AS n FROM e, w WHERE (NOT second OR d + INTERVAL 1 DAY > before) AND d + INTERVAL 1 DAY <= after GROUP BY d")
+def stream_late_data(spark, sf):
+    """Events a day; the second delivery holds all from the fifteenth on and every purchase.
+
+    Purchases of days that the watermark of the first delivery has closed are too late.
+    """
+    events = W.table(spark, sf, "events").select("event_type", F.col("ts").cast("timestamp").alias("ts"))
+    second = (F.col("event_type") == "purchase") | (F.col("ts") >= F.lit("2024-01-15").cast("timestamp"))
+
+    def per_day(stream):
+        g = stream.withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day")).count()
+        return g.select(F.date_format("window.start", "yyyy-MM-dd").alias("day"), F.col("count").alias("n"))
+
+    return drain_deliveries([events.filter(~second), events.filter(second)], per_day)
+
+
 @query("SELECT DISTINCT event_type AS value, upper(event_type) AS canonical FROM events")
 def stream_resolve_batches(spark, sf):
     """Values that a mapping table does not have yet are resolved batch by batch."""

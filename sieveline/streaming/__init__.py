@@ -40,6 +40,21 @@ def drain(stream: DataFrame, mode: str = "append") -> DataFrame:
     return spark.read.schema(stream.schema).parquet(f"{folder}/out")
 
 
+def drain_deliveries(parts: list[DataFrame], plan: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """Run a plan over parts that arrive one after another, each in a run of its own.
+
+    State and watermark pass from run to run through the checkpoint, so what is late does not
+    depend on the order in which a file source lists its files. Appends the rows that are final.
+    """
+    spark = parts[0].sparkSession
+    folder = f"{shared_dir(spark)}/stream-{uuid.uuid4().hex}"
+    for part in parts:
+        part.write.mode("append").parquet(f"{folder}/in")
+        stream = plan(spark.readStream.schema(parts[0].schema).parquet(f"{folder}/in"))
+        stream.writeStream.format("parquet").option("path", f"{folder}/out").option("checkpointLocation", f"{folder}/state").trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{folder}/out")
+
+
 def fold_counts(stream: DataFrame, key: str) -> DataFrame:
     """Stateful fold of a stream: per key the running count and sum, updated batch by batch."""
     import pandas as pd

@@ -144,7 +144,7 @@ def test_gleaning_never_loses_items(spark, sf):
     assert j.agg(F.max("c"), F.max("calls")).first() == (3, 5)
 
 
-@pytest.mark.parametrize("name", ["d01_chunked_extract", "d06_multilevel", "d09_resolve_keys", "d11_isolate", "composite_case_files", "gather_prev_next", "resolve_part_names", "metric_span_prf", "wl_contracts_opt_items", "stream_fold_state"])
+@pytest.mark.parametrize("name", ["d01_chunked_extract", "d06_multilevel", "d09_resolve_keys", "d11_isolate", "composite_case_files", "gather_prev_next", "resolve_part_names", "metric_span_prf", "wl_contracts_opt_items", "stream_fold_state", "stream_late_data"])
 def test_oracle(spark, sf, name):
     import duckdb
 
