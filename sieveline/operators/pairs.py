@@ -76,7 +76,11 @@ def combined(rules: list[DataFrame], keys: list[str], how: str = "or") -> DataFr
 def hashed_vectors(df: DataFrame, id_col: str, text: str, dims: int = 64) -> DataFrame:
     """(id, vector): L2-normalised counts of hashed character trigrams."""
     t = F.lower(F.coalesce(F.col(text), F.lit("")))
-    grams = df.select(id_col, F.explode(F.transform(F.sequence(F.lit(1), F.greatest(F.length(t) - 2, F.lit(1))), lambda i: F.substring(t, i, F.lit(3)))).alias("g"))
+    # Characters beside themselves shifted: substring() would walk from a text's start for each trigram.
+    chars = F.split(t, "")
+    both = lambda x, k: F.zip_with(x, F.slice(chars, F.lit(k), F.greatest(F.size(chars), F.lit(1))), lambda a, b: F.concat(a, b))
+    threes = F.filter(both(both(chars, 2), 3), lambda g: g.isNotNull())
+    grams = df.select(id_col, F.explode(F.when(F.length(t) < 3, F.array(t)).otherwise(threes)).alias("g"))
     slot = F.conv(F.substring(F.md5("g"), 1, 8), 16, 10).cast("long") % dims
     counts = grams.groupBy(id_col, slot.alias("d")).agg(F.count(F.lit(1)).cast("double").alias("c"))
     vec = F.map_from_entries(F.collect_list(F.struct(F.col("d").cast("int"), "c")))
