@@ -40,10 +40,11 @@ def _buckets(n: Column) -> Column:
 
 
 def source_targets(sized: DataFrame, share: float = SHARE, weights: tuple[int, ...] = WEIGHTS, max_epochs: int = MAX_EPOCHS) -> DataFrame:
-    """One row per source of rows (source, size): source_size, n_docs, weight, tilt, target."""
+    """One row per source of rows (source, size): nth (its number), source_size, n_docs, weight, tilt, target."""
     per = sized.groupBy("source").agg(F.sum("size").alias("source_size"), F.count(F.lit(1)).alias("n_docs"))
     order = Window.orderBy(F.col("source").asc_nulls_last())
-    place = (F.row_number().over(order) - 1) % len(weights)
+    per = per.withColumn("nth", F.row_number().over(order))
+    place = (F.col("nth") - 1) % len(weights)
     pick = lambda xs: F.element_at(F.array(*map(F.lit, xs)), F.col("place") + 1)
     per = per.withColumn("place", place).withColumn("weight", pick(weights)).withColumn("tilt", pick([TILT[i % len(TILT)] for i in range(len(weights))]))
     everything = Window.partitionBy(F.lit(0))
@@ -58,7 +59,7 @@ def source_targets(sized: DataFrame, share: float = SHARE, weights: tuple[int, .
     per = per.withColumn("level", F.first(F.when(under, F.col("level")), ignorenulls=True).over(fill.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)))
     cap = (F.lit(max_epochs) * F.col("source_size")).cast("double")
     target = F.least(cap, F.coalesce(F.col("weight") * F.col("level"), cap))
-    return per.select("source", "source_size", "n_docs", "weight", "tilt", target.alias("target"))
+    return per.select("source", "nth", "source_size", "n_docs", "weight", "tilt", target.alias("target"))
 
 
 def invert_demand(share_of_target: Column, tilt: Column) -> Column:
@@ -82,12 +83,13 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     keyed = d.join(targets.withColumnRenamed("source", "of"), F.col("source").eqNullSafe(F.col("of"))).drop("of").withColumn("key", key)
     # Buckets split the range of the key, so that their order is the key's.
     keyed = keyed.withColumn("bucket", F.shiftright(number * _buckets(F.col("n_docs")), 32))
-    sums = keyed.groupBy("source", "bucket").agg(F.sum("size").alias("in_bucket"))
-    before = Window.partitionBy("source").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    starts = sums.select(F.col("source").alias("of"), F.col("bucket").alias("b"), F.coalesce(F.sum("in_bucket").over(before), F.lit(0)).alias("start"))
-    inside = Window.partitionBy("source", "bucket").orderBy("key", F.col("doc_id").asc_nulls_last(), "size").rowsBetween(Window.unboundedPreceding, -1)
+    sums = keyed.groupBy("nth", "bucket").agg(F.sum("size").alias("in_bucket"))
+    before = Window.partitionBy("nth").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
+    starts = sums.select("nth", "bucket", F.coalesce(F.sum("in_bucket").over(before), F.lit(0)).alias("start"))
+    inside = Window.partitionBy("nth", "bucket").orderBy("key", F.col("doc_id").asc_nulls_last(), "size").rowsBetween(Window.unboundedPreceding, -1)
     run = keyed.withColumn("c", F.coalesce(F.sum("size").over(inside), F.lit(0)))
-    run = run.join(starts, F.col("source").eqNullSafe(F.col("of")) & (F.col("bucket") == F.col("b"))).withColumn("c", F.col("c") + F.col("start"))
+    # The window's keys, which are never null: its rows, whole texts with carry, stay where they are.
+    run = run.join(starts, ["nth", "bucket"]).withColumn("c", F.col("c") + F.col("start"))
     goal = F.floor(F.col("target") + 0.5)
     taken, positions = F.lit(0).cast("long"), []
     for epoch in range(max_epochs):
