@@ -63,6 +63,7 @@ class Profile:
     """Limits, prices per million tokens and error rates (permille) of a model.
 
     ``disorder``: places by which an item of a list may be late, per hundred tokens of input.
+    ``whole``: a text over the context is read in parts, so that nothing of it is left out.
     """
 
     name: str = "small"
@@ -76,6 +77,7 @@ class Profile:
     hallucination: int = 20
     gleaning_bonus: int = 150
     disorder: int = 0
+    whole: bool = False
 
 
 class PerfectModel:
@@ -94,7 +96,11 @@ class SimulatedModel:
 
     def counted(self, content: Column) -> Column:
         """What the model sees of a text and its number of tokens, for tasks that share them."""
-        return F.struct(token_count(content).alias("n"), truncate_middle(content, self.profile.context_tokens).alias("seen"))
+        return F.struct(token_count(content).alias("n"), self.seen(content).alias("seen"))
+
+    def seen(self, content: Column) -> Column:
+        """What the model sees of a text."""
+        return content if self.profile.whole else truncate_middle(content, self.profile.context_tokens)
 
     def bound(self, task: Task, turn: int, n: Column) -> Column:
         p = self.profile
@@ -104,7 +110,7 @@ class SimulatedModel:
 
     def answer(self, task: Task, doc_id: Column, turn: int = 0, counted: Column | None = None) -> Column:
         content = F.col(task.content)
-        seen = task.reference(counted["seen"] if counted is not None else truncate_middle(content, self.profile.context_tokens))
+        seen = task.reference(counted["seen"] if counted is not None else self.seen(content))
         n = counted["n"] if counted is not None else token_count(content)
         who, bound = doc_id.cast("string"), self.bound(task, turn, n)
         if not task.is_list:
