@@ -12,6 +12,7 @@ from ..model import Profile, SimulatedModel, Task, ledger
 from ..operators.pairs import cosine, normalized, resolve_stepwise
 from ..plans import directives as D
 from ..plans.optimizer import required_sample, size_biased_sample
+from ..store import stored
 from ..workloads import inputs as W
 from .registry import query, slot, spans, toks
 
@@ -93,9 +94,14 @@ def reduce_global(spark, sf):
     return O.sem_reduce(W.table(spark, sf, "events"), [], ["event_type"], kinds, "types", merge=merge)
 
 
-def _repeat_users(spark, sf, size):
+def _placed_events(spark, sf):
+    """Events with their place in their type by time, written once for all folds over them."""
+    e = W.table(spark, sf, "events").select("event_type", "user_id", "ts", "event_id")
+    return stored(O.numbered(e, ["event_type"], ["ts", "event_id"], "place").select("event_type", "user_id", "place"), "placed")
+
+
+def _repeat_users(placed, size):
     """Users named in more than one event of their type; the scratchpad holds all seen so far."""
-    e = W.table(spark, sf, "events")
     zero = F.struct(F.array().cast("array<bigint>").alias("out"), F.array().cast("array<bigint>").alias("seen"))
 
     def step(acc, rows):
@@ -104,7 +110,11 @@ def _repeat_users(spark, sf, size):
         again = F.array_intersect(F.array_distinct(users), acc["seen"])
         return F.struct(F.array_union(acc["out"], F.array_union(inside, again)).alias("out"), F.array_union(acc["seen"], users).alias("seen"))
 
-    return O.fold(e, ["event_type"], ["user_id"], ["ts", "event_id"], size, zero, step, lambda s: F.array_sort(s["out"]), "users")
+    def merge(a, b):
+        both = F.array_union(F.array_union(a["out"], b["out"]), F.array_intersect(a["seen"], b["seen"]))
+        return F.struct(both.alias("out"), F.array_union(a["seen"], b["seen"]).alias("seen"))
+
+    return O.fold(placed, ["event_type"], ["user_id"], [], size, zero, step, lambda s: F.array_sort(s["out"]), "users", merge, segment=32, places="place")
 
 
 _REPEAT_SQL = "SELECT event_type, count(*)::BIGINT AS n, sum(user_id)::BIGINT AS users FROM (SELECT event_type, user_id FROM events GROUP BY ALL HAVING count(*) > 1) GROUP BY event_type"
@@ -112,15 +122,15 @@ _REPEAT_SQL = "SELECT event_type, count(*)::BIGINT AS n, sum(user_id)::BIGINT AS
 
 @query(f"SELECT r.*, c.n_calls FROM ({_REPEAT_SQL}) r JOIN (SELECT event_type, ceil(count(*) / 41.0)::BIGINT AS n_calls FROM events GROUP BY 1) c USING (event_type)")
 def fold_repeat_users(spark, sf):
-    f = _repeat_users(spark, sf, 41)
+    f = _repeat_users(_placed_events(spark, sf), 41)
     return f.select("event_type", F.size("users").cast("long").alias("n"), F.aggregate("users", F.lit(0).cast("long"), lambda a, x: a + x).alias("users"), "n_calls")
 
 
 @query(f"SELECT b.size, r.event_type, r.n FROM (VALUES (1), (7), (64)) b(size) CROSS JOIN ({_REPEAT_SQL}) r")
 def fold_batch_invariance(spark, sf):
-    out = None
+    out, placed = None, _placed_events(spark, sf)
     for size in (1, 7, 64):
-        f = _repeat_users(spark, sf, size).select(F.lit(size).alias("size"), "event_type", F.size("users").cast("long").alias("n"))
+        f = _repeat_users(placed, size).select(F.lit(size).alias("size"), "event_type", F.size("users").cast("long").alias("n"))
         out = f if out is None else out.unionByName(f)
     return out
 
