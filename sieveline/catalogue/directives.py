@@ -13,6 +13,7 @@ from ..model import Profile, SimulatedModel, Task
 from ..plans.directives import BY_ID, Hints, first_tokens, union_items
 from ..plans.ir import Context, EquijoinOp, GatherOp, MapOp, Pipeline, ProjectOp, ReduceOp, SplitOp, UnnestOp
 from ..plans.optimizer import RuleGenerator, Search, duel_plans, extraction_validator, optimize, pareto, plan_scores, rate_plans, run_adaptive
+from ..store import stored
 from ..workloads import inputs as W
 from .registry import query, spans, toks
 from .semantic import _LINES, _PASSAGE_SQL, _SPLIT, CONTACT_SQL, flat
@@ -177,7 +178,8 @@ def composite_case_files(spark, sf):
             ProjectOp("event", lambda: F.col("cases.type")),
         )
     )
-    flatted = plan.run(logs)
+    # Read by blocking, counts and the replacement: the logs are written and cut once.
+    flatted = stored(plan.run(logs).select("officer", "event"), "cases")
     number = lambda x: F.regexp_extract(x, "[0-9]+", 0)
     values = flatted.select("officer").distinct().withColumn("n", number(F.col("officer")))
     pairs = values.join(values.groupBy("n").agg(F.min("officer").alias("x")), "n").filter("x < officer").select("x", F.col("officer").alias("y"))
