@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from sieveline.llm import bpe, jaccard, langid, mixing, pii
-from sieveline.llm.common import small_batches
+from sieveline.llm.common import small_batches, unpacked
 from sieveline.llm.queries import PATTERN, VOCABULARY
 from sieveline.store import scratch
 
@@ -56,9 +56,10 @@ def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The mix in training order: each document as often as at least half of its words are taken."""
+    small_batches(spark)
     copies = mixing.mix(docs.select(*COLUMNS), carry=True).select("row", "size", F.inline("positions"))
     taken = copies.filter(2 * F.col("n_words") >= F.col("size")).orderBy("position", "row.doc_id", "epoch")
-    return taken.select("row.*").select(*COLUMNS)
+    return taken.select("row.*").withColumn("text", unpacked(F.col("text"))).select(*COLUMNS)
 
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -58,6 +58,32 @@ def stepwise(run: Callable) -> Callable:
     return steps
 
 
+def packed(text: Column) -> Column:
+    """A text compressed by itself, its length in bytes before it; null stays null."""
+
+    @F.arrow_udf("binary")
+    def pack(texts: pa.Array) -> pa.Array:
+        codec = pa.Codec("zstd")
+        out = [None if t is None else len(t).to_bytes(8, "little") + codec.compress(t, asbytes=True) for t in texts.cast(pa.large_binary()).to_pylist()]
+        release()
+        return pa.array(out, pa.binary())
+
+    return pack(text)
+
+
+def unpacked(data: Column) -> Column:
+    """The text that :func:`packed` has compressed."""
+
+    @F.arrow_udf("string")
+    def unpack(data: pa.Array) -> pa.Array:
+        codec = pa.Codec("zstd")
+        out = [None if x is None else codec.decompress(x[8:], int.from_bytes(x[:8], "little"), asbytes=True) for x in data.to_pylist()]
+        release()
+        return pa.array(out, pa.binary()).cast(pa.string())
+
+    return unpack(data)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 

@@ -23,7 +23,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import words
+from .common import packed, words
 
 #: Weights of the sources in order, repeating.
 WEIGHTS = (3, 1, 2)
@@ -74,9 +74,11 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
 
     ``taken`` counts the words the mix takes of the document over all epochs; the last
     epoch may end inside a document. ``positions`` has the training time of each copy.
-    With ``carry`` the original columns come along in ``row``.
+    With ``carry`` the original columns come along in ``row``, the text packed: it is shuffled
+    for the running sums and, by those who sort the mix, once more a copy.
     """
-    d = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), F.size(words(F.col(text_col))).cast("long").alias("size"), *([F.struct(*[F.col(c) for c in docs.columns]).alias("row")] if carry else []))
+    row = [packed(F.col(c)).alias(c) if c == text_col else F.col(c) for c in docs.columns]
+    d = docs.select(F.col(id_col).alias("doc_id"), F.col(source_col).alias("source"), F.size(words(F.col(text_col))).cast("long").alias("size"), *([F.struct(*row).alias("row")] if carry else []))
     targets = source_targets(d.select("source", "size"), share, weights, max_epochs)
     key = F.md5(F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
     number = F.conv(F.substring(key, 1, 8), 16, 10).cast("long")
