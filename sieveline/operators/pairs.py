@@ -103,24 +103,61 @@ def _blocks(right: DataFrame, right_id: str, vector: str) -> Iterator[tuple[list
             yield [r[0] for r in rows], np.array([r[1] for r in rows], np.float64)
 
 
-def similar(left: DataFrame, right: DataFrame, left_id: str, right_id: str, vector: str, threshold: float | None = None, k: int | None = None) -> DataFrame:
+def _codes(planes: np.ndarray, vectors: np.ndarray) -> np.ndarray:
+    """The number that the signs of each vector make in each round; a sum a vector, so that blocks do not matter."""
+    signs = np.einsum("nd,rbd->nrb", vectors, planes) >= 0
+    return signs @ (1 << np.arange(planes.shape[1]))
+
+
+def _meeting(planes: np.ndarray, block: np.ndarray) -> Callable:
+    """Places and similarities of the pairs of vectors and a block that share a bucket and reach a threshold."""
+    codes = _codes(planes, block)
+    buckets = [{c: np.flatnonzero(column == c) for c in np.unique(column).tolist()} for column in codes.T]
+
+    def pairs(vectors, threshold):
+        own, keys, sims = _codes(planes, vectors), [], []
+        for column, members in zip(own.T, buckets):
+            for c in np.unique(column).tolist():
+                if c in members:
+                    rows, cols = np.flatnonzero(column == c), members[c]
+                    s = np.round(vectors[rows] @ block[cols].T, 6)
+                    i, j = np.nonzero(s >= threshold)
+                    keys.append(rows[i] * len(block) + cols[j])
+                    sims.append(s[i, j])
+        if not keys:
+            return np.zeros(0, int), np.zeros(0, int), np.zeros(0)
+        key, first = np.unique(np.concatenate(keys), return_index=True)
+        return key // len(block), key % len(block), np.concatenate(sims)[first]
+
+    return pairs
+
+
+def similar(left: DataFrame, right: DataFrame, left_id: str, right_id: str, vector: str, threshold: float | None = None, k: int | None = None, planes: np.ndarray | None = None) -> DataFrame:
     """(left_id, right_id, sim): dot products that reach a threshold, or the k largest of each left row.
 
     Blocks of at most about :data:`BLOCK_ROWS` vectors of the right side go to the tasks of
     the left side one by one, so that neither side has to fit anywhere and no pair that
-    fails is ever a row. Ties go to the smaller id. Null vectors have no pairs.
+    fails is ever a row. Ties go to the smaller id. Null vectors have no pairs. With
+    ``planes`` (rounds, bits, dims) only pairs of equal signs in some round are compared.
     """
     schema = T.StructType([T.StructField(left_id, left.schema[left_id].dataType), T.StructField(right_id, right.schema[right_id].dataType), T.StructField("sim", T.DoubleType())])
     kinds = [pa.from_numpy_dtype(np.int64) if isinstance(f.dataType, T.LongType) else pa.int32() if isinstance(f.dataType, T.IntegerType) else pa.string() for f in schema.fields[:2]]
     slim = left.filter(F.col(vector).isNotNull()).select(left_id, vector)
 
     def product(ids, block):
+        met = None if planes is None else _meeting(planes, block)
+
         def run(batches):
             for batch in batches:
                 for at in range(0, batch.num_rows, STEP_ROWS):
                     own, vectors = (batch.column(i).slice(at, STEP_ROWS).to_pylist() for i in range(2))
-                    sims = np.round(np.array(vectors, np.float64) @ block.T, 6)
                     rows: list = []
+                    vectors = np.array(vectors, np.float64)
+                    if met:
+                        at_left, at_right, s = met(vectors, threshold)
+                        rows = [(own[i], ids[j], x) for i, j, x in zip(at_left.tolist(), at_right.tolist(), s.tolist())]
+                        vectors = vectors[:0]
+                    sims = np.round(vectors @ block.T, 6) if len(vectors) else ()
                     for i, s in enumerate(sims):
                         if k is None:
                             pick = np.flatnonzero(s >= threshold)
@@ -145,21 +182,14 @@ def cosine_pairs(left: DataFrame, right: DataFrame, left_id: str, right_id: str,
 
     With ``rounds`` None the comparison is exact, by blocks of the right side. Else
     candidates share the signs of ``bits`` fixed random projections in at least one of
-    ``rounds`` rounds.
+    ``rounds`` rounds. Candidates are compared where they meet, inside a block of the right
+    side: only pairs that reach the threshold are rows.
     """
     if rounds is None:
         return similar(left, right, left_id, right_id, vector, threshold)
-    r = right.select(right_id, F.col(vector).alias("rv"))
-    l = left.select(left_id, F.col(vector).alias("lv"))  # noqa: E741
     planes = np.random.Generator(np.random.Philox(key=7)).standard_normal((rounds, bits, dims))
-
-    def keys(v):
-        sign = lambda p: F.when(cosine(F.col(v), F.array(*[F.lit(float(x)) for x in p])) >= 0, "1").otherwise("0")
-        return F.explode(F.array(*[F.concat(F.lit(f"{i}:"), *[sign(p) for p in planes[i]]) for i in range(rounds)]))
-
-    pairs = l.withColumn("k", keys("lv")).join(r.withColumn("k", keys("rv")), "k").drop("k").dropDuplicates([left_id, right_id])
-    pairs = pairs.withColumn("sim", F.round(cosine(F.col("lv"), F.col("rv")), 6)).filter(F.col("sim") >= threshold)
-    return pairs.select(left_id, right_id, "sim")
+    pairs = similar(left, right, left_id, right_id, vector, threshold, planes=planes)
+    return pairs.dropDuplicates([left_id, right_id])
 
 
 def likely_pairs(pairs: DataFrame, sim: str, n: int, ties: list[str]) -> DataFrame:
