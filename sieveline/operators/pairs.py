@@ -8,8 +8,10 @@ with blocks of the smaller side.
 
 from __future__ import annotations
 
+import hashlib
 import math
 from collections.abc import Callable, Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -73,19 +75,39 @@ def combined(rules: list[DataFrame], keys: list[str], how: str = "or") -> DataFr
     return out
 
 
+def text_vector(text: Column, dims: int = 64) -> Column:
+    """L2-normalised counts of a text's hashed character trigrams, lower-cased; a shorter text is one of its own."""
+    slots: dict = {}
+
+    def slot(gram: str) -> int:
+        return int(hashlib.md5(gram.encode()).hexdigest()[:8], 16) % dims
+
+    @F.arrow_udf("array<double>")
+    def vectors(texts: pa.Array) -> pa.Array:
+        rows = texts.to_pylist()
+        sizes = np.array([len(t) for t in rows], np.int64)
+        chars = np.frombuffer("".join(rows).encode("utf-32-le"), np.uint32).astype(np.int64)
+        row = np.repeat(np.arange(len(rows)), sizes)
+        # A trigram is a number of three code points; it must not go over into the next text.
+        inside = np.flatnonzero(row[2:] == row[:-2]) if len(row) > 2 else np.zeros(0, np.int64)
+        grams, at = np.unique((chars[inside] << 42) | (chars[inside + 1] << 21) | chars[inside + 2], return_inverse=True)
+        for g in grams.tolist():
+            if g not in slots:
+                slots[g] = slot("".join(chr(g >> n & 0x1FFFFF) for n in (42, 21, 0)))
+        found = np.array([slots[g] for g in grams.tolist()], np.int64)[at] if len(grams) else inside
+        counts = np.bincount(row[inside] * dims + found, minlength=len(rows) * dims).reshape(-1, dims).astype(np.float64)
+        for i in np.flatnonzero(sizes < 3).tolist():
+            counts[i, slot(rows[i])] = 1.0
+        counts /= np.sqrt((counts * counts).sum(axis=1, keepdims=True))
+        ends = pa.array(np.arange(len(rows) + 1, dtype=np.int32) * dims)
+        return pa.ListArray.from_arrays(ends, pa.array(counts.ravel()))
+
+    return vectors(F.lower(F.coalesce(text, F.lit(""))))
+
+
 def hashed_vectors(df: DataFrame, id_col: str, text: str, dims: int = 64) -> DataFrame:
-    """(id, vector): L2-normalised counts of hashed character trigrams."""
-    t = F.lower(F.coalesce(F.col(text), F.lit("")))
-    # Characters beside themselves shifted: substring() would walk from a text's start for each trigram.
-    chars = F.split(t, "")
-    both = lambda x, k: F.zip_with(x, F.slice(chars, F.lit(k), F.greatest(F.size(chars), F.lit(1))), lambda a, b: F.concat(a, b))
-    threes = F.filter(both(both(chars, 2), 3), lambda g: g.isNotNull())
-    grams = df.select(id_col, F.explode(F.when(F.length(t) < 3, F.array(t)).otherwise(threes)).alias("g"))
-    slot = F.conv(F.substring(F.md5("g"), 1, 8), 16, 10).cast("long") % dims
-    counts = grams.groupBy(id_col, slot.alias("d")).agg(F.count(F.lit(1)).cast("double").alias("c"))
-    vec = F.map_from_entries(F.collect_list(F.struct(F.col("d").cast("int"), "c")))
-    out = counts.groupBy(id_col).agg(vec.alias("m"), F.sqrt(F.sum(F.col("c") * F.col("c"))).alias("norm"))
-    return out.select(id_col, F.transform(F.sequence(F.lit(0), F.lit(dims - 1)), lambda i: F.coalesce(F.element_at("m", i), F.lit(0.0)) / F.col("norm")).alias("vector"))
+    """(id, vector) of each row: see :func:`text_vector`."""
+    return df.select(id_col, text_vector(F.col(text), dims).alias("vector"))
 
 
 def cosine(a: Column, b: Column) -> Column:
@@ -280,11 +302,52 @@ def equijoin(left: DataFrame, right: DataFrame, left_id: str, right_id: str, can
     return hits.unionByName(left.join(ids, left_id, "left_anti"), allowMissingColumns=True)
 
 
+def nearest(left: DataFrame, right: DataFrame, right_id: str, vector: str, k: int) -> list[DataFrame]:
+    """The left side without its vector, and with ``near``: the k most similar (right_id, sim) of each row, in order.
+
+    One frame for each block of the right side. Null vectors have no row. Ties go to the smaller id.
+    """
+    slim = left.filter(F.col(vector).isNotNull())
+    kept = [c for c in left.columns if c != vector]
+    kind = right.schema[right_id].dataType
+    schema = T.StructType([left.schema[c] for c in kept] + [T.StructField("near", T.ArrayType(T.StructType([T.StructField(right_id, kind), T.StructField("sim", T.DoubleType())])))])
+
+    def product(ids, block):
+        def run(batches):
+            names = pa.array(ids)
+            for batch in batches:
+                for at in range(0, batch.num_rows, STEP_ROWS):
+                    step = batch.slice(at, STEP_ROWS)
+                    vectors = step.column(len(kept)).flatten().to_numpy(zero_copy_only=False).astype(np.float64).reshape(step.num_rows, -1)
+                    sims = np.round(vectors @ block.T, 6)
+                    if sims.shape[1] > k:
+                        rows, cols = np.nonzero(sims >= np.partition(sims, -k, axis=1)[:, -k, None])
+                    else:
+                        rows, cols = np.nonzero(np.isfinite(sims))
+                    order = np.lexsort((cols, -sims[rows, cols], rows))
+                    rows, cols = rows[order], cols[order]
+                    first = np.arange(len(rows)) - np.searchsorted(rows, rows) < k
+                    rows, cols = rows[first], cols[first]
+                    ends = pa.array(np.searchsorted(rows, np.arange(step.num_rows + 1)).astype(np.int32))
+                    pairs = pa.StructArray.from_arrays([names.take(pa.array(cols)), pa.array(sims[rows, cols])], names=[right_id, "sim"])
+                    yield pa.RecordBatch.from_arrays([*step.columns[:-1], pa.ListArray.from_arrays(ends, pairs)], names=[*kept, "near"])
+
+        return run
+
+    return [slim.select(*kept, vector).mapInArrow(product(ids, block), schema) for ids, block in _blocks(right, right_id, vector)]
+
+
 def map_search_filter(left: DataFrame, left_id: str, right: DataFrame, right_id: str, vector: str, k: int, keep: Column) -> DataFrame:
     """The search baseline: the k most similar labels of each row, then a filter, ranked by similarity."""
-    near = similar(left, right, left_id, right_id, vector, k=k)
+    blocks = nearest(left, right, right_id, vector, k)
     w = Window.partitionBy(left_id).orderBy(F.col("sim").desc(), right_id)
-    # Each block of labels gave its own k.
-    near = near.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).drop("rank")
-    hits = left.drop(vector).join(near, left_id).join(right.drop(vector), right_id).filter(keep)
+    kept = [c for c in left.columns if c != vector]
+    if len(blocks) == 1:
+        near = blocks[0].select(*kept, F.inline("near"))
+    else:
+        # Each block of labels gave its own k.
+        near = similar(left, right, left_id, right_id, vector, k=k) if not blocks else reduce(DataFrame.unionByName, [b.select(left_id, F.inline("near")) for b in blocks])
+        near = near.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k).drop("rank")
+        near = left.drop(vector).join(near, left_id)
+    hits = near.join(right.drop(vector), right_id).filter(keep)
     return hits.withColumn("rank", F.row_number().over(w))
