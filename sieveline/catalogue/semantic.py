@@ -12,7 +12,6 @@ from ..model import Profile, SimulatedModel, Task, ledger
 from ..operators.pairs import cosine, normalized, resolve_stepwise
 from ..plans import directives as D
 from ..plans.optimizer import required_sample, size_biased_sample
-from ..store import stored
 from ..workloads import inputs as W
 from .registry import query, slot, spans, toks
 
@@ -95,9 +94,19 @@ def reduce_global(spark, sf):
 
 
 def _placed_events(spark, sf):
-    """Events with their place in their type by time, written once for all folds over them."""
+    """Events with their place in their type by time, numbered once for all folds over them."""
     e = W.table(spark, sf, "events").select("event_type", "user_id", "ts", "event_id")
-    return stored(O.numbered(e, ["event_type"], ["ts", "event_id"], "place").select("event_type", "user_id", "place"), "placed")
+    return O.numbered(e, ["event_type"], ["ts", "event_id"], "place").select("event_type", "user_id", "place")
+
+
+def _repeated(users):
+    """Of sorted users those that equal the one before them."""
+    return F.filter(users, lambda u, i: (i > 0) & u.eqNullSafe(F.get(users, i - 1)))
+
+
+def _once(value, use):
+    """``use`` of a value that is made once: as a lambda's own variable."""
+    return F.get(F.transform(F.array(value), use), F.lit(0))
 
 
 def _repeat_users(placed, size):
@@ -105,16 +114,19 @@ def _repeat_users(placed, size):
     zero = F.struct(F.array().cast("array<bigint>").alias("out"), F.array().cast("array<bigint>").alias("seen"))
 
     def step(acc, rows):
-        users = F.transform(rows, lambda r: r["user_id"])
-        inside = F.filter(F.array_distinct(users), lambda u: F.size(F.filter(users, lambda v: v == u)) > 1)
-        again = F.array_intersect(F.array_distinct(users), acc["seen"])
-        return F.struct(F.array_union(acc["out"], F.array_union(inside, again)).alias("out"), F.array_union(acc["seen"], users).alias("seen"))
+        def after(users):
+            again = F.array_union(_repeated(users), F.array_intersect(users, acc["seen"]))
+            return F.struct(F.array_union(acc["out"], again).alias("out"), F.array_union(acc["seen"], users).alias("seen"))
+
+        return _once(F.sort_array(F.transform(rows, lambda r: r["user_id"])), after)
 
-    def merge(a, b):
-        both = F.array_union(F.array_union(a["out"], b["out"]), F.array_intersect(a["seen"], b["seen"]))
-        return F.struct(both.alias("out"), F.array_union(a["seen"], b["seen"]).alias("seen"))
+    def merge_all(states):
+        # Each scratchpad names a user once, so that equal neighbours come from two of them.
+        of = lambda k: F.flatten(F.transform(states, lambda s: s[k]))
+        return _once(F.sort_array(of("seen")), lambda users: F.struct(F.array_union(of("out"), _repeated(users)).alias("out"), F.array_distinct(users).alias("seen")))
 
-    return O.fold(placed, ["event_type"], ["user_id"], [], size, zero, step, lambda s: F.array_sort(s["out"]), "users", merge, segment=32, places="place")
+    f = O.fold(placed, ["event_type"], ["user_id"], [], size, zero, step, lambda s: F.sort_array(s["out"]), "users", segment=max(8, 32 // size), places="place", merge_all=merge_all)
+    return f.filter(F.size("users") > 0)
 
 
 _REPEAT_SQL = "SELECT event_type, count(*)::BIGINT AS n, sum(user_id)::BIGINT AS users FROM (SELECT event_type, user_id FROM events GROUP BY ALL HAVING count(*) > 1) GROUP BY event_type"
@@ -122,8 +134,9 @@ _REPEAT_SQL = "SELECT event_type, count(*)::BIGINT AS n, sum(user_id)::BIGINT AS
 
 @query(f"SELECT r.*, c.n_calls FROM ({_REPEAT_SQL}) r JOIN (SELECT event_type, ceil(count(*) / 41.0)::BIGINT AS n_calls FROM events GROUP BY 1) c USING (event_type)")
 def fold_repeat_users(spark, sf):
-    f = _repeat_users(_placed_events(spark, sf), 41)
-    return f.select("event_type", F.size("users").cast("long").alias("n"), F.aggregate("users", F.lit(0).cast("long"), lambda a, x: a + x).alias("users"), "n_calls")
+    f = _repeat_users(_placed_events(spark, sf), 41).filter("event_type IS NOT NULL")
+    total = F.aggregate("users", F.lit(None).cast("long"), lambda a, x: F.coalesce(a + x, a, x))
+    return f.select("event_type", F.size("users").cast("long").alias("n"), total.alias("users"), "n_calls")
 
 
 @query(f"SELECT b.size, r.event_type, r.n FROM (VALUES (1), (7), (64)) b(size) CROSS JOIN ({_REPEAT_SQL}) r")
