@@ -294,9 +294,9 @@ def block_embedding_exact(spark, sf):
 
 @query()
 def block_embedding_buckets(spark, sf):
-    """Recall of sign buckets against the exact pairs."""
+    """Recall of sign buckets against the exact pairs, of every vector with all."""
     e = W.table(spark, sf, "embeddings")
-    left = e.filter("vec_id % 20 = 0").select(F.col("vec_id").alias("a_id"), "embedding")
+    left = e.select(F.col("vec_id").alias("a_id"), "embedding")
     right = e.select(F.col("vec_id").alias("b_id"), "embedding")
     exact = O.cosine_pairs(left, right, "a_id", "b_id", "embedding", 0.5).select("a_id", "b_id")
     near = O.cosine_pairs(left, right, "a_id", "b_id", "embedding", 0.5, rounds=12, bits=4).select("a_id", "b_id").withColumn("hit", F.lit(1))

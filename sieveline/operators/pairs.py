@@ -24,6 +24,8 @@ from .components import components  # noqa: F401
 
 #: Vectors of the smaller side that are sent to the tasks at once; rows of the other side in one product.
 BLOCK_ROWS, STEP_ROWS = 16_384, 256
+#: Vectors that meet a block's buckets at once, and pairs found there that go out at once.
+MEET_ROWS, PAIR_ROWS = 2_048, 65_536
 
 
 def words(text: Column) -> Column:
@@ -131,25 +133,41 @@ def _codes(planes: np.ndarray, vectors: np.ndarray) -> np.ndarray:
     return signs @ (1 << np.arange(planes.shape[1]))
 
 
+def _reaching(sims: np.ndarray, threshold: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows, columns and values of what reaches the threshold to six places; only what comes near it is rounded."""
+    at = np.flatnonzero(sims.ravel() >= threshold - 1e-6)
+    values = np.round(sims.ravel()[at], 6)
+    at, values = at[values >= threshold], values[values >= threshold]
+    return at // sims.shape[1], at % sims.shape[1], values
+
+
 def _meeting(planes: np.ndarray, block: np.ndarray) -> Callable:
-    """Places and similarities of the pairs of vectors and a block that share a bucket and reach a threshold."""
+    """Places and similarities of the pairs of vectors and a block that share a bucket and reach a threshold.
+
+    A pair comes from the first round in which it meets, so that none is held to be compared with the others.
+    """
     codes = _codes(planes, block)
     buckets = [{c: np.flatnonzero(column == c) for c in np.unique(column).tolist()} for column in codes.T]
 
     def pairs(vectors, threshold):
-        own, keys, sims = _codes(planes, vectors), [], []
-        for column, members in zip(own.T, buckets):
-            for c in np.unique(column).tolist():
-                if c in members:
-                    rows, cols = np.flatnonzero(column == c), members[c]
-                    s = np.round(vectors[rows] @ block[cols].T, 6)
-                    i, j = np.nonzero(s >= threshold)
-                    keys.append(rows[i] * len(block) + cols[j])
-                    sims.append(s[i, j])
-        if not keys:
-            return np.zeros(0, int), np.zeros(0, int), np.zeros(0)
-        key, first = np.unique(np.concatenate(keys), return_index=True)
-        return key // len(block), key % len(block), np.concatenate(sims)[first]
+        own, found, n = _codes(planes, vectors), [], 0
+        for r, members in enumerate(buckets):
+            for c in np.unique(own[:, r]).tolist():
+                if c not in members:
+                    continue
+                rows, cols = np.flatnonzero(own[:, r] == c), members[c]
+                there = block[cols].T
+                for at in range(0, len(rows), STEP_ROWS):
+                    i, j, s = _reaching(vectors[rows[at : at + STEP_ROWS]] @ there, threshold)
+                    i, j = rows[at + i], cols[j]
+                    new = ~(own[i, :r] == codes[j, :r]).any(axis=1)
+                    found.append((i[new], j[new], s[new]))
+                    n += len(found[-1][0])
+                    if n >= PAIR_ROWS:
+                        yield tuple(map(np.concatenate, zip(*found)))
+                        found, n = [], 0
+        if n:
+            yield tuple(map(np.concatenate, zip(*found)))
 
     return pairs
 
@@ -168,25 +186,24 @@ def similar(left: DataFrame, right: DataFrame, left_id: str, right_id: str, vect
 
     def product(ids, block):
         met = None if planes is None else _meeting(planes, block)
+        step = MEET_ROWS if met else STEP_ROWS
 
         def run(batches):
+            others = pa.array(ids, kinds[1])
             for batch in batches:
-                for at in range(0, batch.num_rows, STEP_ROWS):
-                    own, vectors = (batch.column(i).slice(at, STEP_ROWS).to_pylist() for i in range(2))
-                    rows: list = []
+                for at in range(0, batch.num_rows, step):
+                    own, vectors = (batch.column(i).slice(at, step).to_pylist() for i in range(2))
                     vectors = np.array(vectors, np.float64)
-                    if met:
-                        at_left, at_right, s = met(vectors, threshold)
-                        rows = [(own[i], ids[j], x) for i, j, x in zip(at_left.tolist(), at_right.tolist(), s.tolist())]
-                        vectors = vectors[:0]
-                    sims = np.round(vectors @ block.T, 6) if len(vectors) else ()
-                    for i, s in enumerate(sims):
-                        if k is None:
-                            pick = np.flatnonzero(s >= threshold)
-                        else:
-                            least = np.partition(s, len(s) - k)[len(s) - k] if len(s) > k else -np.inf
-                            pick = np.flatnonzero(s >= least)
-                            pick = pick[np.argsort(-s[pick], kind="stable")[:k]]
+                    if k is None:
+                        mine = pa.array(own, kinds[0])
+                        for i, j, s in met(vectors, threshold) if met else [_reaching(vectors @ block.T, threshold)]:
+                            yield pa.RecordBatch.from_arrays([mine.take(pa.array(i)), others.take(pa.array(j)), pa.array(s)], names=schema.names)
+                        continue
+                    rows: list = []
+                    for i, s in enumerate(np.round(vectors @ block.T, 6)):
+                        least = np.partition(s, len(s) - k)[len(s) - k] if len(s) > k else -np.inf
+                        pick = np.flatnonzero(s >= least)
+                        pick = pick[np.argsort(-s[pick], kind="stable")[:k]]
                         rows += [(own[i], ids[j], float(s[j])) for j in pick.tolist()]
                     yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows) if rows else [[]] * 3, (*kinds, pa.float64()))], names=schema.names)
 
