@@ -91,7 +91,7 @@ def gather(df: DataFrame, doc_id: str, order: str, content: str, peripheral: Per
     out = df.withColumn("__i", F.row_number().over(w)).withColumn("__n", F.count(F.lit(1)).over(Window.partitionBy(doc_id)))
     n, i = F.col("__n"), F.col("__i")
     shown = lambda key: F.struct(F.col(key or content).cast("string").alias("x"))
-    text = lambda xs: F.transform(xs, lambda x: x["x"])
+    text = lambda xs: xs["x"]
     columns: dict[str, Column] = {}
 
     def keep(name: str, value: Column) -> Column:
@@ -121,7 +121,11 @@ def gather(df: DataFrame, doc_id: str, order: str, content: str, peripheral: Per
         prev = F.when(i > 1, F.array(_part(last, p.fraction, True))).otherwise(empty)
     else:
         near_end = frame("__tail", p.tail_key, -p.tail, -1) if p.tail else F.array().cast("array<struct<x:string>>")
-        middle = part(frame("__mid", p.middle_key, Window.unboundedPreceding, -1), head + 1, mid) if p.middle else gap(mid)
+        if p.middle and not p.head:
+            # All that stands before the nearest ones: nothing to cut, and null sections are not shown anyway.
+            middle = keep("__mid", F.collect_list(F.col(p.middle_key or content).cast("string")).over(w.rowsBetween(Window.unboundedPreceding, -p.tail - 1)))
+        else:
+            middle = part(frame("__mid", p.middle_key, Window.unboundedPreceding, -1), head + 1, mid) if p.middle else gap(mid)
         prev = F.concat(text(outermost("__head", p.head_key, p.head, w)), middle, part(near_end, F.size(near_end) - tail + 1, tail))
     near = F.least(F.lit(q.head), after)
     far = F.least(F.lit(q.tail), after - near)
@@ -138,8 +142,9 @@ def gather(df: DataFrame, doc_id: str, order: str, content: str, peripheral: Per
     parts = []
     if headers:
         parts.append(F.when(F.coalesce(F.col(headers), F.lit("")) != "", F.concat(F.lit("<headers>"), F.col(headers), F.lit("</headers>\n"))).otherwise(""))
-    wrap = lambda tag, xs: F.when(F.size(xs) > 0, F.concat(F.lit(f"<{tag}>"), F.array_join(xs, "\n"), F.lit(f"</{tag}>"))).otherwise("")
-    whole = F.concat(*parts, wrap("previous", prev), F.lit("<chunk>"), F.col(content), F.lit("</chunk>"), wrap("next", nxt))
+    # Each chunk of a side is shown or counted in a gap, so that the sections need not be made twice to see if there are any.
+    wrap = lambda tag, xs, chunks: F.when(chunks > 0, F.concat(F.lit(f"<{tag}>"), F.array_join(xs, "\n"), F.lit(f"</{tag}>"))).otherwise("")
+    whole = F.concat(*parts, wrap("previous", prev, before), F.lit("<chunk>"), F.col(content), F.lit("</chunk>"), wrap("next", nxt, after))
     return out.withColumns(columns).withColumn(rendered or f"{content}_rendered", whole).drop("__i", "__n", *columns)
 
 
